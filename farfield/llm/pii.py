@@ -1,0 +1,262 @@
+"""Personal data by candidate gradient boosting. DataFrame functions only.
+
+1. Base spans: e-mail addresses, IPv4 addresses, card and phone numbers by their patterns and checks. They always count.
+2. Candidates: two looser generators propose overlapping spans, anything like an address (also with "(at)" and "(dot)") and
+   anything like a grouped number.
+3. Each candidate has a few small features of format and context. Candidates with equal features are one cell, and their counts are all
+   that training needs: boosted trees are grown on at most a few thousand cells, with weak labels (the candidate overlaps a base span
+   of the kind). One fold of the documents is left out, and sets each kind's threshold: the least score from which on
+   `PRECISION` of that fold's candidates are right.
+4. Candidates over their threshold that touch no other span are added. The trees are evaluated as CASE expressions.
+
+Positions are code points. They are sums of the lengths of matches and of what lies between, so no text is searched again.
+Patterns may only start where a run of their characters does, or where the last match ended, which changes no match but
+keeps long runs from being scanned again and again.
+
+Defined results: null is an empty text; texts without spans have counts 0 and the hash of nothing; rows that repeat an id are
+documents of their own; an empty table gives an empty table; extra columns are not read.
+"""
+
+from __future__ import annotations
+
+import math
+from collections import defaultdict
+
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from farfield.llm.common import written
+
+KINDS = ("email", "ip", "card", "phone")
+#: By kind, with possessive forms where no match depends on giving back.
+PATTERNS = (
+    r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
+    r"(?:\G|(?<![0-9]))[0-9]++(?:\.[0-9]++){3}",
+    r"[0-9](?:[\x20-]?+[0-9])++",
+    r"\+[0-9][\x20().0-9-]+[0-9]",
+)
+CANDIDATES = (
+    r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++\x20?(?:@|\((?:at|AT)\)|\[(?:at|AT)\])\x20?[A-Za-z0-9-]++(?:\x20?(?:\.|\((?:dot|DOT)\)|\[(?:dot|DOT)\])\x20?[A-Za-z0-9-]++)++",
+    r"(?:\G|(?<![A-Za-z0-9(+]))[+(]?[0-9](?:[\x20().-]{0,2}+[0-9])++",
+)
+CONTEXT = 24
+PRECISION, LEAST = 0.98, 20
+TREES, RATE, FOLDS = 24, 0.3, 5
+
+
+def _spans(kind: int, text: Column, pattern: str, possible: Column) -> Column:
+    """array<struct<k, i, gap, before, m>> of the matches of a pattern: gap is the length of what lies before, since the last match."""
+    pair = F.zip_with(F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), lambda g, m: F.struct(g.alias("g"), m.alias("m")))
+    rows = F.transform(
+        pair,
+        lambda s, i: F.struct(
+            F.lit(kind).alias("k"), i.alias("i"), F.length(s["g"]).alias("gap"), F.lower(F.substring(s["g"], -CONTEXT, CONTEXT)).alias("before"), s["m"].alias("m")
+        ),
+    )
+    none = F.array().cast("array<struct<k:int,i:int,gap:int,before:string,m:string>>")
+    return F.when(possible, F.filter(rows, lambda s: s["m"].isNotNull())).otherwise(none)
+
+
+def _digits(m: Column) -> Column:
+    return F.regexp_replace(m, "[^0-9]", "")
+
+
+def _luhn(digits: Column) -> Column:
+    """Whether the check digit is right: from the right, every second digit counts twice, by its digit sum."""
+    each = F.split(F.reverse(digits), "")
+    total = F.aggregate(
+        F.transform(each, lambda d, i: F.struct(F.coalesce(d.try_cast("int"), F.lit(0)).alias("d"), (i % 2).alias("odd"))), F.lit(0),
+        lambda a, s: a + F.when(s["odd"] == 0, s["d"]).otherwise(s["d"] * 2 - F.when(s["d"] > 4, 9).otherwise(0)),
+    )
+    return total % 10 == 0
+
+
+def _checked(k: Column, m: Column) -> Column:
+    n = F.length(_digits(m))
+    parts_ok = F.forall(F.split(m, r"\."), lambda p: (F.length(F.ltrim(p, F.lit("0"))) <= 3) & (F.coalesce(F.right(p, F.lit(3)).try_cast("int"), F.lit(0)) <= 255))
+    return (
+        F.when(k == 0, True)
+        .when(k == 1, parts_ok)
+        .when(k == 2, n.between(13, 19) & F.when(n <= 19, _luhn(_digits(m))).otherwise(False))
+        .when(k == 3, n.between(9, 15))
+        .otherwise(False)
+    )
+
+
+def spans(docs: DataFrame) -> DataFrame:
+    """A written table: rid, doc_id, k (0 to 3 base, 4 and 5 candidates, null once for a text without any), start, end, m, before, ok."""
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    rows = docs.select(F.monotonically_increasing_id().alias("rid"), "doc_id", text.alias("text"))
+    t = F.col("text")
+    at, digit = t.contains("@"), t.rlike("[0-9]")
+    possible = (at, digit, digit, digit & t.contains("+"), at | t.rlike(r"[(\[](?:at|AT)[)\]]"), digit)
+    every = F.concat(*(_spans(k, t, p, ok) for k, (p, ok) in enumerate(zip(PATTERNS + CANDIDATES, possible))))
+    one = rows.select("rid", "doc_id", F.explode_outer(every).alias("s")).select("rid", "doc_id", "s.*").repartition("rid")
+    own = Window.partitionBy("rid", "k").orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
+    end = F.sum(F.col("gap") + F.length("m")).over(own)
+    return written(
+        one.select("rid", "doc_id", "k", "m", "before", (end - F.length("m")).alias("start"), end.alias("end"), F.coalesce(_checked(F.col("k"), F.col("m")), F.lit(False)).alias("ok")),
+        "spans",
+    )
+
+
+def _featured(found: DataFrame) -> DataFrame:
+    """Candidates with their features f0.., each a small number, the kinds of base spans that they overlap, and `free`: touched by none."""
+    by = Window.partitionBy("rid").orderBy("start", "k")
+    before, after = by.rowsBetween(Window.unboundedPreceding, -1), by.rowsBetween(1, Window.unboundedFollowing)
+    base = (F.col("k") < 4) & F.col("ok")
+    touch = lambda which: (F.coalesce(F.max(F.when(which, F.col("end"))).over(before), F.lit(0)) > F.col("start")) | (
+        F.coalesce(F.min(F.when(which, F.col("start"))).over(after), F.lit(1 << 60)) < F.col("end")
+    )
+    m, d = F.col("m"), F.length(_digits(F.col("m")))
+    flag = lambda c: c.cast("int")
+    parts = F.size(F.split(m, r"[^0-9]+"))
+    features = [
+        F.when(d < 7, 0).when(d < 9, 1).when(d < 12, 2).when(d < 13, 3).when(d < 16, 4).when(d < 17, 5).when(d < 20, 6).otherwise(7),
+        flag(m.contains("(")), flag(m.contains(" ")), flag(m.contains("-")), F.least(F.size(F.split(m, r"\.")) - 1, F.lit(4)),
+        F.least(parts, F.lit(5)), flag(m.contains("@")), flag(F.when(d.between(13, 19), _luhn(_digits(m))).otherwise(False)),
+        flag(F.when(m.rlike(r"^[0-9]{1,20}(?:\.[0-9]{1,20}){3}$"), _checked(F.lit(1), m)).otherwise(False)),
+        flag(F.col("before").rlike("phone|tel|call|fax|mobil|whatsapp")), flag(F.col("before").rlike("card|visa|credit|amex|pan")), flag(F.col("before").rlike("mail|contact|write")),
+    ]
+    marked = found.filter("k IS NOT NULL").select(
+        "rid", "doc_id", "k", "start", "end",
+        *(touch(base & (F.col("k") == k)).alias(f"y{k}") for k in range(4)),
+        (~touch(base) & ((F.col("k") == 4) | ~touch(F.col("k") == 4))).alias("free"),
+        *(f.cast("int").alias(f"f{n}") for n, f in enumerate(features)),
+        F.coalesce(F.pmod(F.xxhash64("doc_id"), F.lit(FOLDS)) == 0, F.lit(False)).alias("out"),
+    )
+    return marked.filter("k > 3")
+
+
+N_FEATURES = 12
+
+
+class Boosted:
+    """Boosted trees of depth two for one kind, on weighted cells; score is the log odds."""
+
+    def __init__(self, cells: list[tuple[tuple[int, ...], float, float]]):
+        total, positive = sum(n for _, n, _ in cells), sum(p for _, _, p in cells)
+        self.bias = math.log((positive + 0.5) / (total - positive + 0.5))
+        self.trees: list[tuple] = []
+        margin = [self.bias] * len(cells)
+        for _ in range(TREES):
+            grad, hess = [], []
+            for (_, n, p), z in zip(cells, margin):
+                q = 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
+                grad.append(p - n * q)
+                hess.append(n * q * (1 - q))
+            tree = self._grow(cells, grad, hess, list(range(len(cells))), 2)
+            self.trees.append(tree)
+            margin = [z + self.value(tree, c[0]) for z, c in zip(margin, cells)]
+
+    def _grow(self, cells, grad, hess, rows, depth):
+        g, h = sum(grad[r] for r in rows), sum(hess[r] for r in rows)
+        if depth:
+            best, base = (1e-6, -1, 0), g * g / (h + 1)
+            for f in range(N_FEATURES):
+                by: dict[int, list[float]] = defaultdict(lambda: [0.0, 0.0])
+                for r in rows:
+                    s = by[cells[r][0][f]]
+                    s[0] += grad[r]
+                    s[1] += hess[r]
+                gl = hl = 0.0
+                for v in sorted(by)[:-1]:
+                    gl, hl = gl + by[v][0], hl + by[v][1]
+                    gain = gl * gl / (hl + 1) + (g - gl) ** 2 / (h - hl + 1) - base
+                    if gain > best[0] + 1e-9:
+                        best = (gain, f, v)
+            _, f, v = best
+            if f >= 0:
+                sides = [r for r in rows if cells[r][0][f] <= v], [r for r in rows if cells[r][0][f] > v]
+                return (f, v, *(self._grow(cells, grad, hess, s, depth - 1) for s in sides))
+        return (RATE * g / (h + 1),)
+
+    def value(self, tree, x) -> float:
+        while len(tree) > 1:
+            tree = tree[2] if x[tree[0]] <= tree[1] else tree[3]
+        return tree[0]
+
+    def score(self, x) -> float:
+        return self.bias + sum(self.value(t, x) for t in self.trees)
+
+    def column(self) -> Column:
+        def of(tree) -> Column:
+            return F.lit(tree[0]) if len(tree) == 1 else F.when(F.col(f"f{tree[0]}") <= tree[1], of(tree[2])).otherwise(of(tree[3]))
+
+        out = F.lit(self.bias)
+        for t in self.trees:
+            out = out + of(t)
+        return out
+
+
+def threshold(model: Boosted, cells: list[tuple[tuple[int, ...], float, float]]) -> float:
+    """The least score from which on the cells are right often enough; infinite if they never are."""
+    best, n, p = math.inf, 0.0, 0.0
+    by: dict[float, list[float]] = defaultdict(lambda: [0.0, 0.0])
+    for x, a, b in cells:
+        s = by[model.score(x)]
+        s[0] += a
+        s[1] += b
+    for score in sorted(by, reverse=True):
+        n, p = n + by[score][0], p + by[score][1]
+        if p >= LEAST and p >= PRECISION * n:
+            best = score
+    return best
+
+
+def fit(candidates: DataFrame) -> dict[str, tuple[Boosted, float]]:
+    """A model and a threshold for each kind that has enough right candidates in both folds. Only cells reach the driver: at most the product of the
+    features' few values."""
+    f = [f"f{n}" for n in range(N_FEATURES)]
+    counts = candidates.groupBy("k", "out", *f).agg(F.count(F.lit(1)).alias("n"), *(F.sum(F.col(f"y{k}").cast("int")).alias(f"p{k}") for k in range(4))).collect()
+    models = {}
+    for k, kind in enumerate(KINDS):
+        own = sorted((r["out"], tuple(r[x] for x in f), float(r["n"]), float(r[f"p{k}"])) for r in counts if (r["k"] == 4) == (k == 0))
+        learn, held = ([c[1:] for c in own if c[0] is side] for side in (False, True))
+        if sum(c[2] for c in learn) >= LEAST:
+            model = Boosted(learn)
+            cut = threshold(model, held)
+            if cut < math.inf:
+                models[kind] = (model, cut)
+    return models
+
+
+def added(candidates: DataFrame, models: dict[str, tuple[Boosted, float]]) -> DataFrame:
+    """(rid, k, start, end) of the candidates that the models select; the kind of highest score over its threshold."""
+    free = candidates.filter("free")
+    over = [
+        F.when((F.col("k") == 4) == F.lit(k == 0), F.when(models[kind][0].column() >= models[kind][1], F.struct((models[kind][0].column() - models[kind][1]).alias("s"), F.lit(k).alias("k"))))
+        for k, kind in enumerate(KINDS) if kind in models
+    ]
+    if not over:
+        return free.filter("false").select("rid", "k", "start", "end")
+    best = F.greatest(*over) if len(over) > 1 else over[0]
+    return free.withColumn("best", best).filter("best IS NOT NULL").select("rid", F.col("best.k").alias("k"), "start", "end")
+
+
+def op9_pii(docs: DataFrame) -> DataFrame:
+    """doc_id, n_email, n_ip, n_card, n_phone (base spans), base_sha256, spans (base and added), n_added."""
+    found = spans(docs)
+    candidates = written(_featured(found), "candidates")
+    more = added(candidates, fit(candidates)).select("rid", F.lit(None).cast("long").alias("doc_id"), "k", "start", "end", F.lit(False).alias("base"))
+    base = found.select("rid", "doc_id", F.when((F.col("k") < 4) & F.col("ok"), F.col("k")).alias("k"), "start", "end", F.lit(True).alias("base"))
+    span = F.when(F.col("k").isNotNull(), F.struct("k", "start", "end"))
+    rows = base.union(more).groupBy("rid").agg(
+        F.max("doc_id").alias("doc_id"),
+        *(F.count_if(F.col("base") & (F.col("k") == k)).cast("long").alias(f"n_{kind}") for k, kind in enumerate(KINDS)),
+        F.sort_array(F.collect_list(F.when(F.col("base"), span))).alias("b"),
+        F.sort_array(F.collect_list(span)).alias("a"),
+        F.count_if(~F.col("base")).alias("n_added"),
+    )
+    names = F.array(*map(F.lit, KINDS))
+    said = lambda c: F.array_join(F.transform(c, lambda s: F.concat_ws(":", F.get(names, s["k"]), s["start"], s["end"])), ",")
+    return rows.select("doc_id", *(f"n_{k}" for k in KINDS), F.sha2(said("b"), 256).alias("base_sha256"), said("a").alias("spans"), F.col("n_added").cast("long").alias("n_added"))
+
+
+def redacted(docs: DataFrame) -> DataFrame:
+    """doc_id and the text with base spans replaced by their kinds in brackets: e-mail and phone first, as they are the longest."""
+    t = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    for k in (0, 3, 1):
+        t = F.regexp_replace(t, PATTERNS[k], f"[{KINDS[k]}]")
+    return docs.select("doc_id", t.alias("text"))
