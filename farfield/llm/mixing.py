@@ -32,7 +32,7 @@ SEED = 17
 ROUNDS = 24
 SHARDS = 64
 #: Documents of a source are ordered within so many hash buckets; slots are made in runs of so many.
-BUCKETS, RUN = 1024, 65_536
+BUCKETS, RUN = 1024, 4_096
 
 
 def sized(docs: DataFrame, *more: str) -> DataFrame:
@@ -104,7 +104,8 @@ def packed(sizes: DataFrame, block: int = BLOCK, seed: int = SEED) -> DataFrame:
 def slots(goals: DataFrame, shards: int = SHARDS, seed: int = SEED) -> DataFrame:
     """source, slot, shard, epoch, block: every slot of the mix."""
     runs = goals.filter("n_slots > 0").select("source", "n_blocks", "n_slots", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n_slots") - 1) / RUN))).alias("run"))
-    spread = runs.repartition(F.col("source"), F.col("run"))  # a hot source has many runs
+    # A hot source has many runs. The number is named, as runs are few bytes and would be brought together in one task again.
+    spread = runs.repartition(int(goals.sparkSession.conf.get("spark.sql.shuffle.partitions")), "source", "run")
     first = F.col("run") * RUN
     one = spread.select("source", "n_blocks", F.explode(F.sequence(first, F.least(first + RUN, F.col("n_slots")) - 1)).alias("slot"))
     epoch = F.floor(F.col("slot") / F.col("n_blocks")).cast("int")
@@ -119,7 +120,8 @@ def taken_pieces(sizes: DataFrame, goals: DataFrame) -> DataFrame:
     """rid, start, block, words, epoch, shard, slot: the blocks of the mix joined with the documents that they hold."""
     of = slots(goals).withColumnsRenamed({"source": "s", "block": "b"})
     pieces = packed(sizes)
-    return pieces.join(of, pieces["source"].eqNullSafe(of["s"]) & (pieces["block"] == of["b"])).select("rid", "source", "start", "block", "words", "epoch", "shard", "slot")
+    # Both sides grow with the corpus. What generates the slots is small, and Spark would take them for small too and broadcast them.
+    return pieces.hint("merge").join(of.hint("merge"), pieces["source"].eqNullSafe(of["s"]) & (pieces["block"] == of["b"])).select("rid", "source", "start", "block", "words", "epoch", "shard", "slot")
 
 
 def shard_counts(goals: DataFrame, shards: int = SHARDS) -> DataFrame:
