@@ -16,7 +16,7 @@ import base64
 import hashlib
 from collections.abc import Iterator
 from functools import lru_cache
-from itertools import islice
+from itertools import chain, islice
 
 import ahocorasick
 import numpy as np
@@ -125,8 +125,8 @@ class ByteBPE:
     def encode(self, text: str) -> list[int]:
         return [i for m in self.pattern.finditer(text) for i in self.encode_piece(m[0].encode())]
 
-    def digest(self, text: str) -> tuple[int, str, str]:
-        """Number of ids, SHA-256 of the ids, SHA-256 of the decoded bytes."""
+    def digest(self, text: str, into: list[int] | None = None) -> tuple[int, str, str]:
+        """Number of ids, SHA-256 of the ids, SHA-256 of the decoded bytes; the ids are appended to `into`, if it is given."""
         n, ids, decoded, first, seen = 0, hashlib.sha256(), hashlib.sha256(), True, self.pieces
         found = self.pattern.finditer(text) if len(text) > 1 << 20 else None
         some = self.pattern.findall(text) if found is None else [m[0] for m in islice(found, 1 << 16)]
@@ -134,21 +134,23 @@ class ByteBPE:
             got = list(map(seen.__getitem__, some))
             ids.update((("" if first else " ") + " ".join([g[0] for g in got])).encode())
             decoded.update(b"".join([g[1] for g in got]))
-            n += sum([g[2] for g in got])
+            n += sum([len(g[2]) for g in got])
+            if into is not None:
+                into.extend(chain.from_iterable([g[2] for g in got]))
             first = False
             some = [] if found is None else [m[0] for m in islice(found, 1 << 16)]
         return n, ids.hexdigest(), decoded.hexdigest()
 
 
 class _Pieces(dict):
-    """Piece to (ids as text, decoded bytes, number of ids)."""
+    """Piece to (ids as text, decoded bytes, ids)."""
 
     def __init__(self, bpe: ByteBPE):
         self.bpe = bpe
 
-    def __missing__(self, piece: str) -> tuple[str, bytes, int]:
+    def __missing__(self, piece: str) -> tuple[str, bytes, list[int]]:
         ids = self.bpe.encode_piece(piece.encode())
-        got = " ".join(map(str, ids)), self.bpe.decode(ids), len(ids)
+        got = " ".join(map(str, ids)), self.bpe.decode(ids), ids
         if len(piece) <= 64:
             if len(self) >= REMEMBERED:
                 self.clear()
@@ -168,34 +170,28 @@ def public_tokenizer() -> tuple[str, str]:
     return public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
 
 
-def digests(docs: DataFrame, path: str | None = None, pattern: str | None = None, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The kept columns, n_tokens, ids_sha256 and decoded_sha256 of each text. Without a path, executors ask for the public one."""
+def digests(docs: DataFrame, path: str | None = None, pattern: str | None = None, keep: tuple[str, ...] = ("doc_id",), with_ids: bool = False) -> DataFrame:
+    """The kept columns, n_tokens, ids_sha256, decoded_sha256 and, if asked for, ids of each text. Without a path, executors ask for the public one."""
     let_workers_import(docs.sparkSession)
     place = len(keep)
+    names = [*keep, "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = tokenizer(*((path, pattern) if path else public_tokenizer()))
         for b in batches:
-            got = [bpe.digest(t.as_py() or "") for t in b.column(place)]
+            ids: list[int] = []
+            got, ends = [], [0]
+            for t in b.column(place):
+                got.append(bpe.digest(t.as_py() or "", ids if with_ids else None))
+                ends.append(len(ids))
             new = [pa.array([g[k] for g in got], kind) for k, kind in enumerate((pa.int64(), pa.string(), pa.string()))]
-            yield pa.RecordBatch.from_arrays([*b.columns[:place], *new], names=[*keep, "n_tokens", "ids_sha256", "decoded_sha256"])
+            if with_ids:
+                new.append(pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids, pa.int32())))
+            yield pa.RecordBatch.from_arrays([*b.columns[:place], *new], names=names)
 
     columns = docs.select(*keep, F.col("text").cast("string").alias("__text"))
     ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in columns.schema.fields[:-1])
-    return columns.mapInArrow(run, f"{ddl}, n_tokens long, ids_sha256 string, decoded_sha256 string")
-
-
-def token_ids(docs: DataFrame, path: str | None = None, pattern: str | None = None) -> DataFrame:
-    """doc_id and ids array<int>: what a training run reads."""
-    let_workers_import(docs.sparkSession)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bpe = tokenizer(*((path, pattern) if path else public_tokenizer()))
-        for b in batches:
-            ids = pa.array([bpe.encode(t.as_py() or "") for t in b.column(1)], pa.list_(pa.int32()))
-            yield pa.RecordBatch.from_arrays([b.column(0), ids], names=["doc_id", "ids"])
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, ids array<int>")
+    return columns.mapInArrow(run, f"{ddl}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
 
 
 def op8_bpe(docs: DataFrame) -> DataFrame:
@@ -204,5 +200,4 @@ def op8_bpe(docs: DataFrame) -> DataFrame:
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline: the ids of each text, with its columns but the text."""
-    ids = digests(docs, keep=tuple(c for c in DOCUMENT_COLUMNS if c != "text"))
-    return ids
+    return digests(docs, keep=tuple(c for c in DOCUMENT_COLUMNS if c != "text"), with_ids=True)

@@ -21,6 +21,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +33,11 @@ from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, table, wri
 
 #: At most so many labelled rows are learned from, and so many candidates and features looked at.
 MAX_FIT, MAX_CANDIDATES, MAX_FEATURES = 20_000, 50_000, 3_000
+#: Least cautious share of toxic rows among those with a feature; least number of toxic rows with it (or 1 % of them, if
+#: that is more); least bias, so that a feature that is sure by itself is enough.
+LEAST_SHARE, LEAST_ROWS, LEAST_BIAS = 0.35, 4, -4.0
 FOLDS = 5
+BANDS, _PER_BAND = 8, 5
 CLASSES = 48
 STEMS = (4, 5, 6)
 
@@ -45,7 +50,7 @@ SPACERS = " .-_*~·"
 INVISIBLE = dict.fromkeys(map(ord, "​‌‍⁠﻿­"))
 
 #: Costs of the channel, in nats.
-STAND_IN, ITSELF, SYMBOL_GONE, SPACER_GONE, SPACER_STAYS, THIRD_GONE, SECOND_GONE = 1.2, 1.0, 3.0, 0.3, 1.0, 0.1, 2.0
+STAND_IN, ITSELF, ITSELF_BEFORE_LETTER, SYMBOL_GONE, SPACER_GONE, SPACER_STAYS, THIRD_GONE, SECOND_GONE = 1.2, 1.0, 4.5, 6.0, 0.3, 2.5, 0.1, 4.0
 #: A lattice is decoded in stretches of so many characters; the best path so far is settled in between.
 STRETCH = 512
 
@@ -53,6 +58,8 @@ _LETTER, _SYMBOL, _SPACER = r"[^\W\d_]", "[" + re.escape("".join(STANDS_FOR)) +
 _NOISE = re.compile(
     rf"(?<!\S)(?:{_LETTER}|{_SYMBOL})(?:{_SPACER}(?:{_LETTER}|{_SYMBOL})){{2,}}(?!\S)|{_LETTER}[{re.escape(''.join(STANDS_FOR) + SPACERS[1:])}]+{_LETTER}|({_LETTER})\1\1|(?<!\S){_SYMBOL}{_LETTER}{{2}}|{_LETTER}{{2}}[@$013]{{1,2}}(?![^\s.,;:!?])"
 )
+_FACTORS, _TERMS = (np.random.default_rng(k).integers(1, 1 << 61, BANDS * _PER_BAND, dtype=np.uint64) for k in (7, 8))
+_FACTORS |= np.uint64(1)
 _NOT_LETTERS = re.compile(r"[\W\d_]+")
 
 
@@ -134,7 +141,11 @@ class Restorer:
                 if ch in SPACERS or ch.isspace():
                     options += [(" ", 0, SPACER_STAYS), ("", -1, SPACER_GONE)]
                 else:
-                    options += [(ch, 0, ITSELF), ("", -1, SYMBOL_GONE)]
+                    k = i + 1
+                    while k < n and k < i + 4 and s[k] in SPACERS:
+                        k += 1
+                    before_letter = k < n and (char_class(s[k]) or (s[k] != ch and s[k] in STANDS_FOR))
+                    options += [(ch, 0, ITSELF_BEFORE_LETTER if before_letter else ITSELF), ("", -1, SYMBOL_GONE)]
                 if i and s[i - 1] == ch and ch in STANDS_FOR:
                     options.append(("", -1, THIRD_GONE))
             for (a, b), (score, path) in states.items():
@@ -220,6 +231,36 @@ def _learned_rows(docs: DataFrame, labels: DataFrame, max_fit: int) -> DataFrame
     return docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(ids), "doc_id").select("text", "toxic")
 
 
+def bands_of(words: list[str]) -> list[int]:
+    """MinHash bands of the long words; near copies share one of them, other texts hardly any."""
+    long = [w for w in words if len(w) >= 6] or words
+    if not long:
+        return []
+    h = np.array([crc32(w.encode()) for w in long], np.uint64)
+    mixed = (h[:, None] * _FACTORS[None] + _TERMS[None]) & np.uint64((1 << 61) - 1)
+    return [hash(tuple(r)) for r in (mixed >> np.uint64(20)).min(axis=0).reshape(BANDS, -1).tolist()]
+
+
+def _one_of_each(learned: DataFrame) -> DataFrame:
+    """The rows without near copies, so that words of a text that was copied often don't pass for signs of what it is. Runs on the
+    rows to learn from only, whose number is bounded."""
+    rows = sorted((r["h"], r["bands"]) for r in learned.select(F.xxhash64("words").alias("h"), "bands").collect())
+    above: dict[int, int] = {}
+
+    def top(x: int) -> int:
+        while above.setdefault(x, x) != x:
+            above[x] = x = above[above[x]]
+        return x
+
+    first: dict[tuple[int, int], int] = {}
+    for h, bands in rows:
+        for k, b in enumerate(bands):
+            x, y = top(h), top(first.setdefault((k, b), h))
+            above[max(x, y)] = min(x, y)
+    keep = learned.sparkSession.createDataFrame([(h,) for h, _ in rows if top(h) == h], "h long")
+    return written(learned.withColumn("h", F.xxhash64("words")).join(F.broadcast(keep), "h").select("words", "toxic"), "learned")
+
+
 class ToxicityModel:
     def __init__(self, chars: np.ndarray, weights: dict[str, float], bias: float):
         self.chars, self.weights, self.bias = chars, weights, bias
@@ -242,18 +283,24 @@ class ToxicityModel:
         return score
 
 
-def _logistic(rows: list[np.ndarray], y: np.ndarray, n: int, l2: float = 1e-4, steps: int = 400) -> tuple[np.ndarray, float]:
-    """Adam on the mean log loss of sparse 0/1 rows."""
-    doc, col = np.repeat(np.arange(len(rows)), [len(r) for r in rows]), np.concatenate(rows) if rows else np.zeros(0, int)
-    w, m, v = np.zeros(n + 1), np.zeros(n + 1), np.zeros(n + 1)
-    w[n] = np.log((y.sum() + 0.5) / (len(y) - y.sum() + 0.5))
+def _cautious(k: int, n: int, z: float = 2.5) -> float:
+    """Lower end of the Wilson interval of k of n."""
+    p = k / n
+    return (p + z * z / (2 * n) - z * np.sqrt(p * (1 - p) / n + z * z / (4 * n * n))) / (1 + z * z / n)
+
+
+def _logistic(rows: list[np.ndarray], y: np.ndarray, times: np.ndarray, n: int, bias: float, l2: float = 3e-5, steps: int = 400) -> np.ndarray:
+    """Adam on the mean log loss of sparse 0/1 rows, each with the number of times that it occurs, under a given bias."""
+    times = times / max(times.sum(), 1)
+    doc, col = np.repeat(np.arange(len(rows)), [len(r) for r in rows]), np.concatenate([np.zeros(0, int), *rows])
+    w, m, v = np.zeros(n), np.zeros(n), np.zeros(n)
     for t in range(1, steps + 1):
-        z = w[n] + np.bincount(doc, w[col], len(y))
-        err = 1 / (1 + np.exp(-np.clip(z, -30, 30))) - y
-        g = np.append(np.bincount(col, err[doc], n) / len(y) + l2 * w[:n], err.mean())
+        z = bias + np.bincount(doc, w[col], len(y))
+        err = times * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y)
+        g = np.bincount(col, err[doc], n) + l2 * w
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
         w -= 0.1 * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-8)
-    return w[:n], float(w[n])
+    return w
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> ToxicityModel:
@@ -265,10 +312,13 @@ def fit(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> ToxicityM
     def restored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer = Restorer(shared.value)
         for b in batches:
-            lines = [" ".join(sorted(words_of(restorer.restore(t.as_py() or "")[0]))) for t in b.column(0)]
-            yield pa.RecordBatch.from_arrays([pa.array(lines, pa.string()), b.column(1)], names=["words", "toxic"])
+            own = [sorted(words_of(restorer.restore(t.as_py() or "")[0])) for t in b.column(0)]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([" ".join(w) for w in own], pa.string()), b.column(1), pa.array([bands_of(w) for w in own], pa.list_(pa.int64()))], names=["words", "toxic", "bands"]
+            )
 
-    learned = written(_learned_rows(docs, labels, max_fit).select("text", F.col("toxic").cast("int").alias("toxic")).mapInArrow(restored, "words string, toxic int"), "learned")
+    learned = written(_learned_rows(docs, labels, max_fit).select("text", F.col("toxic").cast("int").alias("toxic")).mapInArrow(restored, "words string, toxic int, bands array<long>").groupBy("words").agg(F.max("toxic").alias("toxic"), F.min("bands").alias("bands")), "learned")
+    learned = _one_of_each(learned)
     n = {r["toxic"]: r["n"] for r in learned.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     n0, n1 = n.get(0, 0), n.get(1, 0)
     if not n0 or not n1:
@@ -285,22 +335,31 @@ def fit(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> ToxicityM
 
         return rows.select("words").mapInArrow(run, "f string, n long").groupBy("f").agg(F.sum("n").alias("n"))
 
-    often = min(5, max(1, n1 // 20))
+    often = max(LEAST_ROWS, n1 // 100)
     a = {r["f"]: r["n"] for r in counted(learned.filter("toxic = 1"), None).filter(F.col("n") >= often).orderBy(F.desc("n"), "f").limit(MAX_CANDIDATES).collect()}
     b = {r["f"]: r["n"] for r in counted(learned.filter("toxic = 0"), set(a)).collect()}
-    ratio = lambda f: np.log((a[f] + 0.5) / (n1 + 1)) - np.log((b.get(f, 0) + 0.5) / (n0 + 1))
-    picked = sorted((f for f in a if ratio(f) > 1.0), key=lambda f: (-a[f] * ratio(f), f))[:MAX_FEATURES]
+    # A feature counts if a cautious (Wilson) bound of the toxic share of its rows is high, and not only in this sample.
+    share = {f: _cautious(a[f], a[f] + b.get(f, 0)) for f in a}
+    picked = sorted((f for f in a if share[f] > LEAST_SHARE), key=lambda f: (-a[f] * share[f], f))[:MAX_FEATURES]
     at = {f: k for k, f in enumerate(picked)}
 
     def hits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """A row for each document, and one for each of its words that has features: a single word has to tell by itself, too."""
         for x in batches:
-            own = [sorted(at[f] for f in features_of(set((t.as_py() or "").split())) & at.keys()) for t in x.column(0)]
-            yield pa.RecordBatch.from_arrays([pa.array(own, pa.list_(pa.int32())), x.column(1)], names=["hits", "toxic"])
+            own, toxic = [], []
+            for t, y in zip(x.column(0), x.column(1)):
+                by_word = [h for w in (t.as_py() or "").split() if (h := sorted(at[f] for f in features_of({w}) & at.keys()))]
+                own += [sorted(set().union(*by_word)), *by_word]
+                toxic += [y.as_py()] * (1 + len(by_word))
+            yield pa.RecordBatch.from_arrays([pa.array(own, pa.list_(pa.int32())), pa.array(toxic, pa.int32())], names=["hits", "toxic"])
 
     got = learned.mapInArrow(hits, "hits array<int>, toxic int").groupBy("hits", "toxic").count().collect()
     got = sorted(((tuple(r["hits"]), r["toxic"], r["count"]) for r in got))
-    rows = [np.array(h, int) for h, _, k in got for _ in range(k)]
-    weights, bias = _logistic(rows, np.array([y for _, y, k in got for _ in range(k)], float), len(picked))
+    # rows without features set the bias, the others the weights over it
+    bare = {y: k for h, y, k in got if not h}
+    bias = max(LEAST_BIAS, float(np.log((bare.get(1, 0) + 0.5) / (bare.get(0, 0) + 5))))
+    told = [g for g in got if g[0]]
+    weights = _logistic([np.array(h, int) for h, _, _ in told], *(np.array([g[k] for g in told], float) for k in (1, 2)), len(picked), bias)
     return ToxicityModel(chars, {f: float(w) for f, w in zip(picked, weights) if abs(w) > 1e-4}, bias)
 
 
