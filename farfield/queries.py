@@ -1,8 +1,550 @@
-"""Registry of queries."""
+"""Registry: a query for each method, variant, baseline, measure and operator, and SQL for those that SQL can express."""
+
+from __future__ import annotations
+
+import pandas as pd
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from farfield.algorithms import programs as P
+from farfield.algorithms import run as R
+from farfield.baselines import handwritten as H
+from farfield.lang import dsl as L
+from farfield.lang.dsl import In, Nbr, Out, either, foreign, local, remote, step, stop, var, when
+from farfield.lang.dsl import F as V
+from farfield.operators import relational as O
+from farfield.plans import machine
+from farfield.plans.knowledge import Knows, plan_reads
+from farfield.plans.runtime import run
+from farfield.sources import builders as B
+from farfield.sources.graph import Graph, intern_ids
+from farfield.sources.tables import load
+from farfield.streaming import stream as S
 
 QUERIES: dict = {}
 ORACLES: dict = {}
 
 
-def ENTRY(spark, sf_dir):  # noqa: N802
-    raise NotImplementedError
+def query(name: str, sql: str | None = None):
+    def put(fn):
+        QUERIES[name] = fn
+        if sql:
+            ORACLES[name] = sql
+        return fn
+
+    return put
+
+
+# --- SQL of the graphs ---
+
+EVENTS = "ev AS (SELECT event_id AS id, user_id, ts, CAST(round(value * 100) AS BIGINT) AS v FROM events)"
+LINES = "SELECT {k} AS src, lead({k}) OVER w AS dst, CAST(l_quantity AS BIGINT) AS q FROM lineitem WHERE {f} WINDOW w AS (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice)"
+
+
+def flow(which: str) -> str:
+    return f"ln AS ({LINES.format(k='l_partkey', f=B.LINE_FILTERS[which])}), e AS (SELECT src, dst, min(q) AS val FROM ln WHERE dst IS NOT NULL AND src <> dst GROUP BY src, dst), v AS (SELECT p_partkey AS id FROM part)"
+
+
+BOTH = "b AS (SELECT src, dst FROM e UNION SELECT dst, src FROM e)"
+MESH = f"ln AS ({LINES.format(k='l_suppkey', f=B.LINE_FILTERS['c'])}), n AS (SELECT least(src, dst) AS src, greatest(src, dst) AS dst, count(*) AS n FROM ln WHERE dst IS NOT NULL AND src <> dst GROUP BY 1, 2), e AS (SELECT src, dst, row_number() OVER (ORDER BY n DESC, src, dst) AS val FROM n)"
+OVERLAP = "l AS (SELECT DISTINCT doc_id, md5(trim(x)) AS k FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE length(trim(x)) >= 40), m AS (SELECT k, min(doc_id) AS dst FROM l GROUP BY k), e AS (SELECT DISTINCT doc_id AS src, dst FROM l JOIN m USING (k) WHERE doc_id > dst), v AS (SELECT doc_id AS id FROM documents)"
+LINKS = """l AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS h FROM pages), m AS (SELECT h, min(page_id) AS dst FROM l GROUP BY h), e AS (SELECT DISTINCT page_id AS src, dst, 1 AS val FROM l JOIN m USING (h) WHERE page_id <> dst), v AS (SELECT page_id AS id FROM pages)"""
+
+
+def labels_sql(graph: str, out: str = "comp") -> str:
+    return f"""WITH RECURSIVE {graph}, {BOTH}, cc(id, comp) USING KEY (id) AS (
+      SELECT id, id FROM v
+      UNION
+      SELECT b.dst, min(c.comp) FROM cc c JOIN b ON b.src = c.id JOIN recurring.cc r ON r.id = b.dst WHERE c.comp < r.comp GROUP BY b.dst
+    ) SELECT id, comp AS {out} FROM cc"""
+
+
+def dist_sql(graph: str, length: str = "e.val") -> str:
+    return f"""WITH RECURSIVE {graph}, sp(id, dist) USING KEY (id) AS (
+      SELECT CAST(0 AS BIGINT), CAST(0 AS BIGINT)
+      UNION
+      SELECT e.dst, min(s.dist + {length}) FROM sp s JOIN e ON e.src = s.id LEFT JOIN recurring.sp r ON r.id = e.dst
+      WHERE r.dist IS NULL OR s.dist + {length} < r.dist GROUP BY e.dst
+    ) SELECT v.id, sp.dist FROM v LEFT JOIN sp ON v.id = sp.id"""
+
+
+def rank_sql(items: str, order: str, by: str, head: str) -> str:
+    over = f"OVER ({by} ORDER BY {order} ROWS UNBOUNDED PRECEDING)"
+    return f"WITH t AS ({items}) SELECT id, CAST(sum(v) {over} AS BIGINT) AS rank FROM t UNION ALL SELECT DISTINCT {head}, CAST(0 AS BIGINT) FROM t"
+
+
+def pagerank_sql(graph: str, k: int) -> str:
+    return f"""WITH RECURSIVE {graph}, d AS (SELECT src, count(*) AS d FROM e GROUP BY src), n AS (SELECT count(*) AS n FROM v), pr(k, id, rank) AS (
+      SELECT 0, id, 1.0::DOUBLE / n FROM v, n
+      UNION ALL
+      SELECT k + 1, v.id, 0.15 / n.n + 0.85 * coalesce(sum(x.r), 0)
+      FROM v CROSS JOIN n CROSS JOIN (SELECT DISTINCT k FROM pr) kk LEFT JOIN (SELECT e.dst, pr.rank / d.d AS r FROM pr JOIN e ON e.src = pr.id JOIN d ON d.src = e.src) x ON x.dst = v.id
+      WHERE k < {k} GROUP BY k, v.id, n.n
+    ) SELECT id, round(rank, 9) AS rank FROM pr WHERE k = {k}"""
+
+
+SCC_SQL = f"""WITH RECURSIVE {flow('c')}, reach(a, b) AS (SELECT id, id FROM v UNION SELECT r.a, e.dst FROM reach r JOIN e ON e.src = r.b)
+SELECT x.a AS id, min(x.b) AS scc FROM reach x JOIN reach y ON x.a = y.b AND x.b = y.a GROUP BY x.a"""
+MSF_SQL = f"""WITH RECURSIVE {MESH}, b AS (SELECT src, dst, val FROM e UNION ALL SELECT dst, src, val FROM e),
+mm(a, z, w) USING KEY (a, z) AS (
+  SELECT src, dst, val FROM b
+  UNION
+  SELECT m.a, b.dst, min(greatest(m.w, b.val)) FROM mm m JOIN b ON b.src = m.z LEFT JOIN recurring.mm r ON r.a = m.a AND r.z = b.dst
+  WHERE m.a <> b.dst AND (r.w IS NULL OR greatest(m.w, b.val) < r.w) GROUP BY m.a, b.dst
+) SELECT e.src, e.dst, e.val FROM e JOIN mm ON mm.a = e.src AND mm.z = e.dst WHERE mm.w >= e.val"""
+FOREST_SQL = """f AS (SELECT CAST(r_regionkey AS BIGINT) AS id, CAST(r_regionkey AS BIGINT) AS p FROM region
+ UNION ALL SELECT 1000 + n_nationkey, n_regionkey FROM nation UNION ALL SELECT 10000000000 + s_suppkey, 1000 + s_nationkey FROM supplier
+ UNION ALL SELECT 20000000000 + c_custkey, 1000 + c_nationkey FROM customer UNION ALL SELECT 30000000000 + o_orderkey, 20000000000 + o_custkey FROM orders)"""
+
+# --- chains ---
+
+for _d in (2, 3, 4, 5, 6, 7, 8):
+    _sql = f"WITH {EVENTS} SELECT id, coalesce(lag(id, {_d}) OVER (ORDER BY ts, id), -1) AS value FROM ev UNION ALL SELECT -1, -1"
+    query(f"chain_depth{_d}_event_chain", _sql)(lambda s, d, k=_d: run(P.chain(("Pred",) * k), B.event_chain(s, d)).select(F.col("Value").alias("value")))
+
+
+def by_messages(g: Graph, path: tuple[str, ...], strategy: str = "planned") -> DataFrame:
+    """A chain by the messages of its plan, one join and exchange for each send: streams of (address, asker) meet the state at the address."""
+    s = g.vertices.withColumn("_live", F.lit(True))
+    plan = plan_reads([Knows((), path)], strategy)
+    columns: dict[tuple, DataFrame] = {}
+    streams: dict[tuple, DataFrame] = {(): s.select(F.col("id").alias("at"), F.col("id").alias("asker"))}
+
+    def column(p):
+        return s.select("id", F.col(p[0]).alias("v")) if len(p) == 1 else s.select("id", F.col("id").alias("v")) if not p else columns[p]
+
+    for x in plan.sends:
+        at, value = x.goal.at, x.goal.value
+        if value == ():  # at(u) learns of u: those that know u also know the address
+            near = column(at[len(x.via) :]).withColumnRenamed("id", "k")
+            streams[at] = streams[x.via].join(near, F.col("at") == F.col("k")).select(F.col("v").alias("at"), "asker")
+        else:
+            near = column(value[len(x.via) :]).withColumnRenamed("id", "k")
+            columns[value] = streams[x.via].join(near, F.col("at") == F.col("k")).select(F.col("asker").alias("id"), "v")
+    return column(path).select("id", F.col("v").alias("value"))
+
+
+query("chain_messages_depth4", ORACLES["chain_depth4_event_chain"])(lambda s, d: by_messages(B.event_chain(s, d), ("Pred",) * 4))
+query("chain_request_reply_depth4", ORACLES["chain_depth4_event_chain"])(lambda s, d: _request_reply(B.event_chain(s, d), 4))
+
+
+def _request_reply(g: Graph, depth: int) -> DataFrame:
+    """Ask the vertex known so far for its pointer, again and again: two exchanges for each further field."""
+    out = g.vertices.select("id", F.col("Pred").alias("v"))
+    for _ in range(depth - 1):
+        far = g.vertices.select(F.col("id").alias("k"), F.col("Pred").alias("n"))
+        out = out.join(far, F.col("v") == F.col("k")).select("id", F.col("n").alias("v")).repartition("id")
+    return out.select("id", F.col("v").alias("value"))
+
+
+@query("chain_mixed_region_of_order", "SELECT 30000000000 + o_orderkey AS id, r_name AS value FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey")
+def chain_mixed(s, d):
+    return run(P.chain(("Cust", "Nation", "Region", "Name")), B.geo_forest(s, d)).state.filter("Kind = 'orders' AND Value IS NOT NULL").select("id", F.col("Value").alias("value"))
+
+
+@query("computed_index_read", f"WITH {EVENTS}, r AS (SELECT id, v, lag(id) OVER (ORDER BY ts, id) AS p FROM ev) SELECT r.id, (SELECT v FROM ev WHERE ev.id = r.id - 1) AS value FROM r UNION ALL SELECT -1, NULL")
+def computed_index(s, d):
+    return run(step(lambda u: [local(V.Value[u], V.Val[V.id[u] - 1])]), Graph(B.event_chain(s, d).vertices.withColumn("Val", F.when(F.col("id") >= 0, F.col("Val"))))).select(F.col("Value").alias("value"))
+
+
+# --- writes, neighbourhoods, steps ---
+
+
+@query("remote_customer_totals", """SELECT 20000000000 + c_custkey AS id, coalesce(sum(a), 0)::BIGINT AS total, min(a) AS lo, coalesce(max(a), 0) AS hi, coalesce(bool_or(a > 30000000), false) AS any, coalesce(bool_and(a > 100000), true) AS every
+FROM customer LEFT JOIN (SELECT o_custkey, CAST(round(o_totalprice * 100) AS BIGINT) AS a FROM orders) ON o_custkey = c_custkey GROUP BY c_custkey""")
+def remote_totals(s, d):
+    p = step(lambda u: [local(V.Total[u], 0), local(V.Lo[u], L.inf), local(V.Hi[u], 0), local(V.Any[u], False), local(V.Every[u], True)]) >> step(lambda u: [
+        when(V.Amount[u].ne(L.inf), [
+            remote(V.Total[V.Cust[u]], "+", V.Amount[u]), remote(V.Lo[V.Cust[u]], "min", V.Amount[u]), remote(V.Hi[V.Cust[u]], "max", V.Amount[u]),
+            remote(V.Any[V.Cust[u]], "or", V.Amount[u] > 30_000_000), remote(V.Every[V.Cust[u]], "and", V.Amount[u] > 100_000),
+        ])
+    ])
+    g = B.geo_forest(s, d)
+    g = Graph(g.vertices.withColumn("Lo", F.lit(None).cast("long")))
+    out = run(p, g).state.filter("Kind = 'customer'")
+    return out.select("id", F.col("Total").alias("total"), F.col("Lo").alias("lo"), F.col("Hi").alias("hi"), F.col("Any").alias("any"), F.col("Every").alias("every"))
+
+
+for _f, _agg in (("minimum", "min(val)"), ("maximum", "max(val)"), ("total", "coalesce(sum(val), 0)::BIGINT"), ("count", "count(val)")):
+    for _side, _end in (("In", "dst"), ("Out", "src")):
+        _fn = lambda s, d, f=_f, e={"In": In, "Out": Out}[_side]: run(step(lambda u: [local(V.X[u], getattr(e[u], f)(lambda x: x.val) if f != "count" else e[u].count())]), B.part_flow(s, d, "b")).select(F.col("X").alias("x"))
+        query(f"neighbour_{_f}_{_side.lower()}_part_flow", f"WITH {flow('b')} SELECT id, {_agg} AS x FROM v LEFT JOIN e ON e.{_end} = v.id GROUP BY id")(_fn)
+
+
+@query("neighbour_filtered_part_flow", f"WITH {flow('b')} SELECT v.id, min(e.src + e.val) AS x, count(CASE WHEN e.src < v.id THEN 1 END) AS below FROM v LEFT JOIN e ON e.dst = v.id AND e.src % 3 = 0 GROUP BY v.id")
+def neighbour_filtered(s, d):
+    g = B.part_flow(s, d, "b")
+    g = Graph(g.vertices.withColumn("A", F.col("id") % 3 == 0), g.edges)
+    p = step(lambda u: [
+        local(V.X[u], In[u].where(lambda e: V.A[e.ref]).minimum(lambda e: V.id[e.ref] + e.val)),
+        local(V.Below[u], In[u].where(lambda e: V.A[e.ref], lambda e: V.id[e.ref] < V.id[u]).count()),
+    ])
+    return run(p, g).select(F.col("X").alias("x"), F.col("Below").cast("long").alias("below"))
+
+
+@query("neighbour_chain_part_flow", f"WITH {flow('b')} SELECT v.id, max(e.src // 4) AS x FROM v LEFT JOIN e ON e.dst = v.id GROUP BY v.id")
+def neighbour_chain(s, d):
+    """A chain of two fields at the neighbour."""
+    g = B.part_flow(s, d, "b")
+    g = Graph(g.vertices.withColumn("H", F.floor(F.col("id") / 2).cast("long")), g.edges)
+    return run(step(lambda u: [local(V.X[u], In[u].maximum(lambda e: V.H[V.H[e.ref]]))]), g).select(F.col("X").alias("x"))
+
+
+@query("for_edge_remote_part_flow", f"WITH {flow('b')} SELECT v.id, coalesce(sum(e.val * 2), 0)::BIGINT AS x, count(e.src) AS n FROM v LEFT JOIN e ON e.dst = v.id GROUP BY v.id")
+def for_edge_remote(s, d):
+    """A loop over edges out with a write at each end, and one that accumulates here."""
+    p = step(lambda u: [local(V.X[u], 0), local(V.N[u], 0)]) >> step(lambda u: [
+        L.for_edge(Out[u], lambda e: [remote(V.X[e.ref], "+", e.val * 2)]), L.for_edge(In[u], lambda e: [local(V.N[u], 1, "+")]),
+    ])
+    return run(p, B.part_flow(s, d, "b")).select(F.col("X").alias("x"), F.col("N").alias("n"))
+
+
+@query("local_branching_step", "SELECT p_partkey AS id, CASE WHEN p_partkey % 2 = 0 THEN p_partkey * 3 WHEN p_partkey > 100 THEN p_partkey - 100 ELSE -p_partkey END AS x FROM part")
+def local_branching(s, d):
+    p = step(lambda u: [when(V.Even[u], [local(V.X[u], V.id[u] * 3)], [local(V.X[u], either(V.id[u] > 100, V.id[u] - 100, -V.id[u]))])])
+    g = B.part_flow(s, d, "b")
+    return run(p, Graph(g.vertices.withColumn("Even", F.col("id") % 2 == 0))).select(F.col("X").alias("x"))
+
+
+@query("stop_frozen_fields", f"WITH {EVENTS}, r AS (SELECT id, v, lag(v) OVER (ORDER BY ts, id) AS pv FROM ev) SELECT id, CASE WHEN v % 2 = 0 THEN v ELSE v + coalesce(pv, 0) END AS x FROM r UNION ALL SELECT -1, 0")
+def stop_frozen(s, d):
+    """Those with even values stop: they change no more, but are still read."""
+    g = Graph(B.event_chain(s, d).vertices.withColumn("Even", F.col("Val") % 2 == 0))
+    p = step(lambda u: [local(V.X[u], V.Val[u])]) >> stop(lambda u: V.Even[u]) >> step(lambda u: [local(V.X[u], V.X[u] + V.X[V.Pred[u]])])
+    return run(p, g).select(F.col("X").alias("x"))
+
+
+@query("foreign_function_step", "SELECT p_partkey AS id, upper(p_name) || '/' || p_brand AS x FROM part")
+def foreign_step(s, d):
+    p = step(lambda u: [local(V.X[u], foreign("label", V.Name[u], V.Brand[u]))])
+    return run(p, B.part_flow(s, d, "b"), functions={"label": lambda a, b: F.concat_ws("/", F.upper(a), b)}).select(F.col("X").alias("x"))
+
+
+_MUTUAL = f"WITH {flow('b')}, p AS (SELECT src, min(dst) AS t FROM e GROUP BY src) SELECT a.src AS id FROM p a JOIN p b ON a.t = b.src AND b.t = a.src"
+_pointer = lambda s, d: run(step(lambda u: [local(V.D[u], Out[u].minimum(lambda e: V.id[e.ref]))]), B.part_flow(s, d, "b")).select("D")
+query("mutual_pairs_part_flow", _MUTUAL)(lambda s, d: R.mutual_pointers(_pointer(s, d), True))
+query("mutual_pairs_two_rounds", _MUTUAL)(lambda s, d: R.mutual_pointers(_pointer(s, d), False))
+
+# --- algorithms and their variants ---
+
+_dist = lambda r: r.select(F.col("D").alias("dist"))
+_comp = lambda r: r.select(F.col("D").alias("comp"))
+_rank = lambda r: r.select(F.col("Sum").alias("rank"))
+_pr = lambda df: df.select("id", F.round("rank", 9).alias("rank"))
+_sp = dist_sql(flow("b"))
+query("sssp_part_flow", _sp)(lambda s, d: _dist(R.sssp(B.part_flow(s, d, "b"))))
+query("sssp_unit_part_flow", dist_sql(flow("b"), "1"))(lambda s, d: _dist(R.sssp(B.part_flow(s, d, "b"), unit=True)))
+query("sssp_no_active_flags", _sp)(lambda s, d: _dist(R.sssp(B.part_flow(s, d, "b"), active=False)))
+query("sssp_no_combiner", _sp)(lambda s, d: _dist(R.sssp(B.part_flow(s, d, "b"), combine=False)))
+query("sssp_no_fuse", _sp)(lambda s, d: _dist(R.sssp(B.part_flow(s, d, "b"), fuse=False)))
+query("hand_sssp", _sp)(lambda s, d: H.sssp(B.part_flow(s, d, "b"), frontier=False))
+query("sssp_frontier", _sp)(lambda s, d: H.sssp(B.part_flow(s, d, "b"), frontier=True))
+
+_cc, _ov = labels_sql(flow("c")), labels_sql(OVERLAP)
+_exact = "SELECT doc_id AS id, min(doc_id) OVER (PARTITION BY md5(text)) AS comp FROM documents"
+_users = "SELECT event_id AS id, min(event_id) OVER (PARTITION BY user_id) AS comp FROM events"
+query("components_part_flow", _cc)(lambda s, d: _comp(R.components(B.undirected(B.part_flow(s, d, "c")))))
+query("components_doc_overlap", _ov)(lambda s, d: _comp(R.components(B.doc_overlap(s, d))))
+query("components_doc_exact", _exact)(lambda s, d: _comp(R.components(B.doc_exact(s, d))))
+query("components_user_chain", _users)(lambda s, d: _comp(R.components(B.user_chain_graph(s, d))))
+query("hashmin_part_flow", _cc)(lambda s, d: _comp(R.hashmin(B.undirected(B.part_flow(s, d, "c")))))
+query("hashmin_doc_overlap", _ov)(lambda s, d: _comp(R.hashmin(B.doc_overlap(s, d))))
+query("sv_no_merge", _exact)(lambda s, d: _comp(R.components(B.doc_exact(s, d), merge=False)))
+query("sv_no_fuse", _exact)(lambda s, d: _comp(R.components(B.doc_exact(s, d), fuse=False)))
+query("sv_no_merge_no_fuse", _exact)(lambda s, d: _comp(R.components(B.doc_exact(s, d), merge=False, fuse=False)))
+query("sv_no_combiner", _exact)(lambda s, d: _comp(R.components(B.doc_exact(s, d), combine=False)))
+query("hand_components", _cc)(lambda s, d: H.components(B.undirected(B.part_flow(s, d, "c"))))
+
+
+@query("components_toxic_stopped")
+def components_stopped(s, d):
+    """Toxic documents stop first: they keep their own label, which others still read."""
+    p = P.components()
+    return _comp(run(L.step(lambda u: [local(V.D[u], V.id[u])]) >> stop(lambda u: V.Toxic[u].eq(1)) >> p.parts[1], B.doc_overlap(s, d)))
+
+
+_chain = f"SELECT event_id AS id, user_id, ts, CAST(round(value * 100) AS BIGINT) AS v FROM events"  # noqa: F541
+query("list_rank_event_chain", rank_sql(_chain, "ts, id", "", "CAST(-1 AS BIGINT)"))(lambda s, d: _rank(R.list_rank(B.event_chain(s, d))))
+_ur = rank_sql(_chain, "ts, id", "PARTITION BY user_id", "-(user_id + 1)")
+query("list_rank_user_chains", _ur)(lambda s, d: _rank(R.list_rank(B.user_chains(s, d))))
+query("list_rank_unit_user_chains", rank_sql(_chain.replace("CAST(round(value * 100) AS BIGINT)", "1"), "ts, id", "PARTITION BY user_id", "-(user_id + 1)"))(lambda s, d: _rank(R.list_rank(B.user_chains(s, d), val=1)))
+query("list_rank_turn_chain", rank_sql("SELECT conv_id * 1000 + turn AS id, conv_id, turn, coalesce(length(text), 0) AS v FROM conversations", "turn", "PARTITION BY conv_id", "-(conv_id + 1)"))(lambda s, d: _rank(R.list_rank(B.turn_chain(s, d))))
+query("list_rank_order_chain", rank_sql("SELECT o_orderkey AS id, o_custkey, o_orderdate, CAST(round(o_totalprice * 100) AS BIGINT) AS v FROM orders", "o_orderdate, id", "PARTITION BY o_custkey", "-(o_custkey + 1)"))(lambda s, d: _rank(R.list_rank(B.order_chain(s, d))))
+query("lr_no_fuse", _ur)(lambda s, d: _rank(R.list_rank(B.user_chains(s, d), fuse=False)))
+query("hand_list_rank", _ur)(lambda s, d: H.list_rank(B.user_chains(s, d)))
+query("pagerank_part_flow", pagerank_sql(flow("a"), 10))(lambda s, d: _pr(R.pagerank(B.part_flow(s, d, "a"), 10).select(F.col("Rank").alias("rank"))))
+query("pagerank_page_links", pagerank_sql(LINKS, 10))(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 10).select(F.col("Rank").alias("rank"))))
+query("pagerank_redistribute")(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 10, dangling="redistribute").select(F.col("Rank").alias("rank"))))
+query("pagerank_until_small_change")(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 30, eps=1e-4).select(F.col("Rank").alias("rank"))))
+query("hand_pagerank", pagerank_sql(flow("a"), 10))(lambda s, d: _pr(H.pagerank(B.part_flow(s, d, "a"), 10)))
+query("scc_part_flow_sparse", SCC_SQL)(lambda s, d: R.scc(B.part_flow(s, d, "c")).select(F.col("Scc").alias("scc")))
+query("hand_scc", SCC_SQL)(lambda s, d: H.scc(B.part_flow(s, d, "c")))
+query("hand_scc_part_flow_r")(lambda s, d: H.scc(B.part_flow(s, d, "b")))
+query("msf_supplier_mesh", MSF_SQL)(lambda s, d: R.msf(B.supplier_mesh(s, d)))
+query("msf_no_peephole", MSF_SQL)(lambda s, d: R.msf(B.supplier_mesh(s, d), peephole=False))
+query("hand_msf", MSF_SQL)(lambda s, d: H.msf(B.supplier_mesh(s, d)))
+query("msf_vec_knn")(lambda s, d: R.msf(B.vec_knn(s, d)))
+query("roots_geo_forest", f"WITH RECURSIVE {FOREST_SQL}, r(id, root, depth) AS (SELECT id, id, 0 FROM f WHERE id = p UNION ALL SELECT f.id, r.root, r.depth + 1 FROM r JOIN f ON f.p = r.id AND f.id <> f.p) SELECT id, root, depth::BIGINT AS depth FROM r")(
+    lambda s, d: R.roots(B.geo_forest(s, d)).select(F.col("Root").alias("root"), F.col("Depth").alias("depth"))
+)
+query("preorder_geo_forest", f"WITH RECURSIVE {FOREST_SQL}, r(id, path) AS (SELECT id, [id] FROM f WHERE id = p UNION ALL SELECT f.id, list_append(r.path, f.id) FROM r JOIN f ON f.p = r.id AND f.id <> f.p), n AS (SELECT id, row_number() OVER (ORDER BY path) - 1 AS pre FROM r) SELECT id, pre FROM n")(
+    lambda s, d: R.preorder(B.geo_forest(s, d))
+)
+query("matching_cust_part")(lambda s, d: R.bipartite_matching(B.cust_part(s, d)))
+query("weight_matching_vec_knn")(lambda s, d: R.weight_matching(B.vec_knn(s, d)))
+
+
+@query("pattern_two_cycles", f"WITH {flow('c')} SELECT DISTINCT a.src AS id FROM e a JOIN e b ON a.src = b.dst AND a.dst = b.src")
+def two_cycles(s, d):
+    """Edges met by their own mirror: both lists of a vertex name the same neighbour."""
+    g = B.part_flow(s, d, "c")
+    back = g.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.lit(1).alias("back"))
+    both = g.edges.join(back, ["src", "dst"], "left_semi")
+    return R.pattern(Graph(g.vertices, both), lambda u: Out[u].count() > 0)
+
+
+query("pattern_same_nation", "SELECT DISTINCT 30000000000 + o_orderkey AS id FROM orders JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey WHERE n_regionkey = 1")(
+    lambda s, d: R.pattern(B.geo_forest(s, d), lambda u: V.Region[V.Nation[V.Cust[u]]].eq(1))
+)
+
+
+@query("recursive_sql_hops", dist_sql("e AS (SELECT lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS src, event_id AS dst, user_id FROM events QUALIFY src IS NOT NULL), v AS (SELECT event_id AS id FROM events WHERE user_id = (SELECT user_id FROM events WHERE event_id = 0))", "1"))
+def recursive_hops(s, d):
+    """Hops along a user's chain by SQL recursion."""
+    who = load(s, d, "events").filter("event_id = 0").select(F.col("user_id").alias("u"))
+    g = B.user_chain_graph(s, d)
+    ids = load(s, d, "events").join(who, F.col("user_id") == F.col("u"), "left_semi").select(F.col("event_id").alias("id"))
+    ids.createOrReplaceTempView("farfield_v")
+    g.edges.filter("val = 1").join(ids, F.col("src") == F.col("id"), "left_semi").createOrReplaceTempView("farfield_e0")
+    e = B.predecessors(load(s, d, "events").select(F.col("event_id").alias("id"), "ts", "user_id"), "id", ["ts", "id"], "user_id").filter("Pred IS NOT NULL")
+    e.select(F.col("Pred").alias("src"), F.col("id").alias("dst")).createOrReplaceTempView("farfield_e")
+    return H.recursive_sssp(s, "farfield_v", "farfield_e", 0, 95)
+
+
+# --- measures ---
+
+
+@query("read_plan_rounds", "SELECT d AS depth, CASE WHEN d < 2 THEN 0 ELSE 1 + ceil(log2(d)) END::BIGINT AS planned, CASE WHEN d < 2 THEN 0 ELSE 2 * (d - 1) END::BIGINT AS request_reply FROM range(1, 33) t(d)")
+def read_plan_rounds(s, d):
+    rows = [(k, plan_reads([Knows((), ("D",) * k)]).rounds, plan_reads([Knows((), ("D",) * k)], "request_reply").rounds) for k in range(1, 33)]
+    return s.createDataFrame(rows, "depth long, planned long, request_reply long")
+
+
+@query("ledger_supersteps", """SELECT * FROM (VALUES ('sssp', 48, 2), ('pagerank', 30, 2), ('components', 7, 4), ('list_rank', 25, 3)) t(program, k, n),
+LATERAL (SELECT 3 + k * (n + 1) AS general, 2 + k * (n - 1) AS fused)""")
+def ledger_supersteps(s, d):
+    """Supersteps before and after merging, for given passes: k passes of n states."""
+    rows = []
+    one = L.step(lambda u: [local(V.Rank[u], 0)])
+    for name, p, k in (("sssp", P.sssp(), 48), ("pagerank", one >> P.pagerank(30), 30), ("components", P.components(), 7), ("list_rank", P.list_rank(), 25)):
+        m = machine.build(p)
+        rows.append((name, k, machine.states_of(m.parts[1].parts[0], True), machine.supersteps(m, [k], False, False), machine.supersteps(m, [k], True, True)))
+    return s.createDataFrame(rows, "program string, k int, n int, general int, fused int")
+
+
+@query("message_counts_part_flow", f"WITH {flow('b')} SELECT count(*) AS sent, count(DISTINCT dst) AS receivers FROM e")
+def message_counts(s, d):
+    from farfield.metrics import message_counts as counts
+
+    return counts(B.part_flow(s, d, "b").edges, "dst")
+
+
+@query("iterations_user_chain")
+def iterations(s, d):
+    """Passes of pointer jumping and of flooding on long chains, with jobs and supersteps."""
+    g = B.doc_overlap(s, d)
+    rows = [(n, r.ledger.iterations[-1], r.ledger.jobs, r.ledger.supersteps) for n, r in (("components", R.components(g)), ("hashmin", R.hashmin(g)))]
+    return s.createDataFrame(rows, "program string, passes int, jobs int, supersteps int")
+
+
+@query("program_sizes")
+def program_sizes(s, d):
+    from farfield.metrics import lines_of
+
+    rows = [(n, lines_of(p), lines_of(h)) for n, p, h in (("sssp", P.sssp(), H.sssp), ("components", P.components(), H.components), ("list_rank", P.list_rank(), H.list_rank))]
+    return s.createDataFrame(rows, "program string, lines int, by_hand int")
+
+
+# --- sources, graphs ---
+
+query("scan_nation", "SELECT n_nationkey, n_name FROM nation WHERE n_regionkey = 1")(lambda s, d: load(s, d, "nation").filter("n_regionkey = 1").select("n_nationkey", "n_name"))
+query("graph_validate_part_flow", f"WITH {flow('b')} SELECT 0 AS repeated_ids, count(CASE WHEN v.id IS NULL THEN 1 END) AS dangling_ends, 0 AS self_loops, 0 AS repeated_edges, 0 AS unmirrored_edges FROM (SELECT src AS x FROM e UNION ALL SELECT dst FROM e) LEFT JOIN v ON v.id = x")(lambda s, d: B.part_flow(s, d, "b").validate())
+query("intern_ids_pages", "SELECT count(DISTINCT url) AS keys, count(DISTINCT url) AS ids FROM pages")(lambda s, d: intern_ids(load(s, d, "pages"), "url").agg(F.countDistinct("url").alias("keys"), F.countDistinct("id").alias("ids")))
+query("adjacency_supplier_mesh", f"WITH {MESH}, b AS (SELECT src, dst, val FROM e UNION ALL SELECT dst, src, val FROM e) SELECT s_suppkey AS id, count(b.dst) AS n, min(b.dst) AS first FROM supplier LEFT JOIN b ON b.src = s_suppkey GROUP BY 1")(
+    lambda s, d: B.supplier_mesh(s, d).with_adjacency(10_000).select("id", F.coalesce(F.size("adjacent"), F.lit(0)).cast("long").alias("n"), F.get("adjacent", F.lit(0))["ref"].alias("first"))
+)
+query("induced_part_flow", f"WITH {flow('b')} SELECT src, dst, val FROM e WHERE src % 2 = 0 AND dst % 2 = 0")(lambda s, d: (lambda g: g.induced(g.vertices.filter("id % 2 = 0")).edges)(B.part_flow(s, d, "b")))
+query("edges_page_links", f"WITH {LINKS} SELECT src, dst FROM e")(lambda s, d: B.page_links(s, d).edges.select("src", "dst"))
+query("edges_cust_part", "SELECT DISTINCT o_custkey AS src, -(l_partkey + 1) AS dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_returnflag = 'R' AND l_discount >= 0.095")(lambda s, d: B.cust_part(s, d).edges.filter("src >= 0").select("src", "dst"))
+query("degrees_part_flow", f"WITH {flow('b')} SELECT id, (SELECT count(*) FROM e WHERE dst = id) AS ins, (SELECT count(*) FROM e WHERE src = id) AS outs FROM v")(lambda s, d: O.degrees(B.part_flow(s, d, "b")))
+query("degree_histogram", f"WITH {flow('b')}, g AS (SELECT v.id, count(e.src) AS degree FROM v LEFT JOIN e ON e.src = v.id GROUP BY v.id) SELECT degree, count(*) AS n FROM g GROUP BY degree")(lambda s, d: O.degrees(B.part_flow(s, d, "b")).groupBy(F.col("outs").alias("degree")).agg(F.count(F.lit(1)).alias("n")))
+query("component_size_histogram", f"WITH c AS ({_exact}), z AS (SELECT comp, count(*) AS size FROM c GROUP BY comp) SELECT size, count(*) AS n FROM z GROUP BY size")(lambda s, d: O.component_sizes(QUERIES["components_doc_exact"](s, d), "comp"))
+query("modularity_supplier_mesh", f"WITH {MESH}, b AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), l AS (SELECT src % 4 AS a, dst % 4 AS z FROM b), y AS (SELECT a, sum((a = z)::INT) AS i, count(*) AS g FROM l GROUP BY a) SELECT round(sum(i) / sum(g) - sum(g::DOUBLE * g) / (sum(g)::DOUBLE * sum(g)), 9) AS modularity FROM y")(
+    lambda s, d: (lambda g: O.modularity(g, g.vertices.withColumn("l", F.col("id") % 4), "l").select(F.round("modularity", 9).alias("modularity")))(B.supplier_mesh(s, d))
+)
+query("triangles_part_flow", f"WITH {flow('c')}, {BOTH} SELECT x.src AS id, count(*) // 2 AS triangles FROM b x JOIN b y ON x.dst = y.src JOIN b z ON y.dst = z.src AND z.dst = x.src GROUP BY x.src")(lambda s, d: O.triangles(B.undirected(B.part_flow(s, d, "c"))))
+query("top_edges_supplier_mesh", f"WITH {MESH}, b AS (SELECT src, dst, val FROM e UNION ALL SELECT dst, src, val FROM e) SELECT src, dst, val, CAST(row_number() OVER (PARTITION BY src ORDER BY val, dst) AS INTEGER) AS r FROM b QUALIFY r <= 3")(lambda s, d: O.top_edges(B.supplier_mesh(s, d), 3))
+
+
+@query("pointer_join_hot", f"WITH {FOREST_SQL} SELECT f.id, g.p AS far FROM f JOIN f g ON f.p = g.id")
+def pointer_join_hot(s, d):
+    v = B.geo_forest(s, d).vertices.select("id", "Parent")
+    return O.pointer_join(v, "Parent", ["Parent"], O.hot_targets(v, "Parent", 0.01)).select("id", F.col("far_Parent").alias("far"))
+
+
+# --- joins, aggregates, windows, sets and functions on the tables ---
+
+
+def simple(name: str, sql: str, spark_sql: str | None = None, tables: tuple[str, ...] = ()):
+    """A query that both engines read alike, over views."""
+
+    def fn(s, d):
+        for t in tables:
+            load(s, d, t).createOrReplaceTempView(t)
+        return s.sql(spark_sql or sql)
+
+    query(name, sql)(fn)
+
+
+simple("join_inner", "SELECT o_orderkey, c_name FROM orders JOIN customer ON o_custkey = c_custkey", tables=("orders", "customer"))
+simple("join_left", "SELECT p_partkey, l_linenumber FROM part LEFT JOIN lineitem ON p_partkey = l_partkey AND l_quantity > 49", tables=("part", "lineitem"))
+simple("join_full", "SELECT c_custkey, s_suppkey FROM customer FULL OUTER JOIN supplier ON c_custkey = s_suppkey * 20", tables=("customer", "supplier"))
+simple("join_semi", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 300000)", tables=("customer", "orders"))
+simple("join_anti", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)", tables=("customer", "orders"))
+simple("join_theta", "SELECT a.r_regionkey AS x, b.r_regionkey AS y FROM region a JOIN region b ON a.r_regionkey < b.r_regionkey", tables=("region",))
+simple("join_lateral", "SELECT n_nationkey, s_suppkey FROM nation, LATERAL (SELECT s_suppkey FROM supplier WHERE s_nationkey = n_nationkey ORDER BY s_suppkey LIMIT 2) t", tables=("nation", "supplier"))
+query("join_broadcast", "SELECT s_suppkey, n_name FROM supplier JOIN nation ON s_nationkey = n_nationkey")(lambda s, d: load(s, d, "supplier").join(F.broadcast(load(s, d, "nation")), F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "n_name"))
+
+
+@query("join_range_events", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id <> b.event_id AND epoch_us(b.ts) BETWEEN epoch_us(a.ts) AND epoch_us(a.ts) + 3600000000")
+def join_range(s, d):
+    e = load(s, d, "events").select("event_id", "user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
+    pairs = O.range_join(e.select(F.col("event_id").alias("a"), "user_id", F.col("t").alias("ta")), e.select(F.col("event_id").alias("b"), "user_id", F.col("t").alias("tb")), "ta", "tb", 3_600_000_000, ["user_id"])
+    return pairs.filter("a <> b").select("a", "b")
+
+
+@query("join_as_of", "SELECT event_id, (SELECT arg_max(p.event_id, (p.ts, p.event_id)) FROM events p WHERE p.user_id = e.user_id AND p.ts <= e.ts AND p.event_type = 'purchase') AS last FROM events e WHERE event_type = 'click'")
+def join_as_of(s, d):
+    e = load(s, d, "events")
+    left = e.filter("event_type = 'click'").select("event_id", "user_id", "ts")
+    return O.as_of_join(left, e.filter("event_type = 'purchase'").select("user_id", "ts", F.col("event_id").alias("p")), "user_id", "ts", "p", "last").select("event_id", "last")
+
+
+simple("agg_having", "SELECT l_partkey, count(*) AS n, CAST(sum(round(l_quantity)) AS BIGINT) AS q FROM lineitem GROUP BY l_partkey HAVING count(*) > 35", tables=("lineitem",))
+simple("agg_cube", "SELECT lang, source, count(*) AS n FROM documents GROUP BY CUBE (lang, source)", tables=("documents",))
+simple("agg_rollup", "SELECT lang, source, count(*) AS n FROM documents GROUP BY ROLLUP (lang, source)", tables=("documents",))
+simple("agg_grouping_sets", "SELECT lang, source, count(*) AS n FROM documents GROUP BY GROUPING SETS ((lang), (source), ())", tables=("documents",))
+simple("agg_distinct", "SELECT event_type, count(DISTINCT user_id) AS users FROM events GROUP BY event_type", tables=("events",))
+simple("agg_boolean_bits", "SELECT l_returnflag, bool_or(l_quantity > 49) AS some, bool_and(l_quantity > 0) AS every, bit_or(l_linenumber) AS bits, bit_and(l_linenumber) AS common FROM lineitem GROUP BY l_returnflag", tables=("lineitem",))
+simple("agg_extremes_by", "SELECT o_custkey, min_by(o_orderkey, o_totalprice) AS least, max_by(o_orderkey, o_totalprice) AS most FROM orders GROUP BY o_custkey", tables=("orders",))
+query("agg_pivot", "SELECT l_returnflag, count(CASE WHEN l_linestatus = 'F' THEN 1 END) AS f, count(CASE WHEN l_linestatus = 'O' THEN 1 END) AS o FROM lineitem GROUP BY l_returnflag")(
+    lambda s, d: load(s, d, "lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).count().select("l_returnflag", F.coalesce("F", F.lit(0)).alias("f"), F.coalesce("O", F.lit(0)).alias("o"))
+)
+query("agg_salted_sum", "SELECT l_suppkey, CAST(sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS BIGINT) AS total FROM lineitem GROUP BY l_suppkey")(lambda s, d: O.salted_sum(load(s, d, "lineitem"), "l_suppkey", B.cents("l_extendedprice")))
+simple("window_ranks", "SELECT s_suppkey, rank() OVER (PARTITION BY s_nationkey ORDER BY s_suppkey // 10) AS r, dense_rank() OVER (PARTITION BY s_nationkey ORDER BY s_suppkey // 10) AS dr, ntile(3) OVER (PARTITION BY s_nationkey ORDER BY s_suppkey) AS t FROM supplier", "SELECT s_suppkey, CAST(rank() OVER (PARTITION BY s_nationkey ORDER BY s_suppkey DIV 10) AS BIGINT) AS r, CAST(dense_rank() OVER (PARTITION BY s_nationkey ORDER BY s_suppkey DIV 10) AS BIGINT) AS dr, CAST(ntile(3) OVER (PARTITION BY s_nationkey ORDER BY s_suppkey) AS BIGINT) AS t FROM supplier", ("supplier",))
+simple("window_lag_lead", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id, 2) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", tables=("events",))
+simple("window_values", "SELECT event_id, first_value(event_id) OVER w AS f, last_value(event_id) OVER w AS l, nth_value(event_id, 2) OVER w AS n FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)", tables=("events",))
+simple("window_running_sum", "SELECT event_id, CAST(sum(CAST(round(value * 100) AS BIGINT)) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS total FROM events", tables=("events",))
+simple("window_range", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY CAST(date_part('epoch', o_orderdate) AS BIGINT) // 86400 RANGE BETWEEN 90 PRECEDING AND CURRENT ROW) AS n FROM orders", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY datediff(o_orderdate, DATE'1970-01-01') RANGE BETWEEN 90 PRECEDING AND CURRENT ROW) AS n FROM orders", ("orders",))
+simple("window_distribution", "SELECT s_suppkey, round(percent_rank() OVER (PARTITION BY s_nationkey ORDER BY s_suppkey), 9) AS p, round(cume_dist() OVER (PARTITION BY s_nationkey ORDER BY s_suppkey), 9) AS c FROM supplier", tables=("supplier",))
+simple("top_k", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20", tables=("orders",))
+simple("top_k_offset", "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10 OFFSET 5", tables=("orders",))
+query("top_k_per_group", "SELECT o_custkey, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) <= 2")(
+    lambda s, d: load(s, d, "orders").withColumn("r", F.row_number().over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).filter("r <= 2").select("o_custkey", "o_orderkey")
+)
+simple("set_union", "SELECT c_nationkey AS k FROM customer UNION SELECT s_nationkey FROM supplier", tables=("customer", "supplier"))
+simple("set_intersect", "SELECT c_custkey AS k FROM customer INTERSECT SELECT s_suppkey FROM supplier", tables=("customer", "supplier"))
+simple("set_except", "SELECT c_custkey AS k FROM customer EXCEPT SELECT o_custkey FROM orders", tables=("customer", "orders"))
+simple("functions_string", "SELECT doc_id, md5(text) AS m, length(trim(text)) AS n, substring(text, 1, 10) AS s, lower(lang) || '-' || upper(source) AS c FROM documents", "SELECT doc_id, md5(text) AS m, CAST(length(trim(text)) AS BIGINT) AS n, substring(text, 1, 10) AS s, concat(lower(lang), '-', upper(source)) AS c FROM documents", ("documents",))
+simple("functions_date", "SELECT o_orderkey, date_trunc('month', o_orderdate)::TIMESTAMP AS m, date_part('year', o_orderdate) AS y, date_diff('day', TIMESTAMP '1992-01-01', o_orderdate) AS n FROM orders", "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS TIMESTAMP_NTZ) AS m, CAST(year(o_orderdate) AS BIGINT) AS y, CAST(datediff(o_orderdate, DATE'1992-01-01') AS BIGINT) AS n FROM orders", ("orders",))
+simple("functions_math", "SELECT p_partkey, abs(p_size - 25) AS a, sqrt(p_size) AS s, p_size % 7 AS m, greatest(p_size, 10) AS g, least(p_size, 10) AS l, round(p_retailprice, 1) AS r FROM part", tables=("part",))
+simple("functions_array", "SELECT vec_id, CAST(list_sum(list_transform(embedding, lambda x: CAST(round(CAST(x AS DOUBLE) * 1000) AS BIGINT))) AS BIGINT) AS total, len(list_filter(embedding, lambda x: x > 0)) AS positive FROM embeddings", "SELECT vec_id, aggregate(transform(embedding, x -> CAST(round(CAST(x AS DOUBLE) * 1000) AS BIGINT)), CAST(0 AS BIGINT), (a, x) -> a + x) AS total, CAST(size(filter(embedding, x -> x > 0)) AS BIGINT) AS positive FROM embeddings", ("embeddings",))
+query("functions_map", "SELECT conv_id, count(*) AS n, max(CASE WHEN turn = 0 THEN role END) AS first FROM conversations GROUP BY conv_id")(
+    lambda s, d: load(s, d, "conversations").groupBy("conv_id").agg(F.map_from_entries(F.collect_list(F.struct("turn", "role"))).alias("m")).select("conv_id", F.size(F.map_keys("m")).cast("long").alias("n"), F.try_element_at("m", F.lit(0).cast("long")).alias("first"))
+)
+simple("functions_json", "SELECT event_id, json_extract_string(props, '$.k') AS k, length(props) AS n FROM events", "SELECT event_id, get_json_object(props, '$.k') AS k, CAST(length(props) AS BIGINT) AS n FROM events", ("events",))
+
+# --- user-defined functions ---
+
+
+@query("udf_pandas_scalar", "SELECT s_suppkey, s_suppkey * 2 + 1 AS x FROM supplier")
+def udf_scalar(s, d):
+    @F.pandas_udf("long")
+    def twice(x: pd.Series) -> pd.Series:
+        return x * 2 + 1
+
+    return load(s, d, "supplier").select("s_suppkey", twice("s_suppkey").alias("x"))
+
+
+@query("udaf_grouped", "SELECT s_nationkey, CAST(max(s_suppkey) - min(s_suppkey) AS BIGINT) AS spread FROM supplier GROUP BY s_nationkey")
+def udaf_grouped(s, d):
+    @F.pandas_udf("long")
+    def spread(x: pd.Series) -> int:
+        return int(x.max() - x.min())
+
+    return load(s, d, "supplier").groupBy("s_nationkey").agg(spread("s_suppkey").alias("spread"))
+
+
+@query("udtf_links", """SELECT page_id, count(*) AS links FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS h FROM pages) GROUP BY page_id""")
+def udtf_links(s, d):
+    @F.udtf(returnType="h string")
+    class Links:
+        def eval(self, html: str):
+            import re
+
+            for h in re.findall(r'href="([^"]*)"', html or ""):
+                yield (h,)
+
+    s.udtf.register("farfield_links", Links)
+    load(s, d, "pages").createOrReplaceTempView("pages")
+    return s.sql("SELECT page_id, count(*) AS links FROM pages, LATERAL farfield_links(html) GROUP BY page_id")
+
+
+@query("finisher_small_components", _exact)
+def finisher(s, d):
+    """Components of a bounded size are solved in one task each, after a cheap key has brought them together."""
+    def solve(rows: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"id": rows["id"], "comp": rows["id"].min()})
+
+    docs = load(s, d, "documents").select(F.col("doc_id").alias("id"), F.md5("text").alias("k"))
+    return docs.groupBy("k").applyInPandas(solve, "id long, comp long")
+
+
+# --- streams over stored tables, run to their end ---
+
+
+def _streamed(s, d, make, mode="append", parts=4):
+    """Replays events in order and reads what the stream wrote."""
+    from farfield.plans.store import shared_folder
+
+    e = load(s, d, "events")
+    src = S.replay(s, e, parts, "ts")
+    out = f"{src}-out"
+    q = S.start(make(S.source(s, src)), mode, f"{src}-checkpoint", out)
+    q.awaitTermination()
+    assert shared_folder(s)
+    return s.read.parquet(out)
+
+
+query("stream_running_rank", f"WITH {EVENTS} SELECT id AS event_id, CAST(sum(v) OVER (PARTITION BY user_id ORDER BY ts, id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS rank FROM ev")(lambda s, d: _streamed(s, d, S.running_rank))
+query("stream_tumbling")(lambda s, d: _streamed(s, d, lambda x: S.windowed_pairs(x)).select(F.col("window.start").alias("start"), "user_id", "n"))
+query("stream_sliding")(lambda s, d: _streamed(s, d, lambda x: S.windowed_pairs(x, slide="30 minutes")).select(F.col("window.start").alias("start"), "user_id", "n"))
+query("stream_sessions")(lambda s, d: _streamed(s, d, S.sessions).select(F.col("session_window.start").alias("start"), "user_id", "n"))
+query("stream_interval_join")(lambda s, d: _streamed(s, d, lambda x: S.interval_edges(x.filter("event_type = 'click'"), x.filter("event_type = 'purchase'"))))
+query("stream_dedup")(lambda s, d: _streamed(s, d, lambda x: S.dedup_edges(x.select((F.col("user_id") % 50).alias("src"), F.hash("event_type").cast("long").alias("dst"), "ts"), "1 day")))
+
+
+@query("stream_components", _users)
+def stream_components(s, d):
+    """Chains of users arrive edge by edge; the labels after the last batch."""
+    e = load(s, d, "events").select(F.col("event_id").alias("id"), "ts", "user_id")
+    edges = B.predecessors(e, "id", ["ts", "id"], "user_id").select(F.coalesce("Pred", "id").alias("src"), F.col("id").alias("dst"), "ts")
+    src = S.replay(s, edges, 3, "ts")
+    keep = S.Components(s)
+    q = S.start(S.source(s, src), "append", f"{src}-checkpoint", batch=keep)
+    q.awaitTermination()
+    return keep.labels
+
+
+ENTRY = QUERIES["components_user_chain"]

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -12,9 +13,9 @@ from pyspark.sql.window import Window
 from farfield.plans.store import materialise, shared_folder
 
 
-def source(spark: SparkSession, path: str, like: DataFrame, files_per_trigger: int = 1) -> DataFrame:
-    """A directory of Parquet files as a stream."""
-    return spark.readStream.schema(like.schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+def source(spark: SparkSession, path: str, like: DataFrame | None = None, files_per_trigger: int = 1) -> DataFrame:
+    """A directory of Parquet files as a stream, with the schema of like or of what is there."""
+    return spark.readStream.schema((like or spark.read.parquet(path)).schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
 
 
 def start(df: DataFrame, mode: str, checkpoint: str, path: str | None = None, batch: Callable | None = None):
@@ -81,8 +82,9 @@ class Components:
 
 
 def replay(spark: SparkSession, df: DataFrame, parts: int, order: str) -> str:
-    """A table as a directory of files in order, for streams over stored tables."""
-    path = f"{shared_folder(spark)}/replay-{abs(hash((id(df), order)))}-{parts}"
+    """A table as a directory of files in order, for streams over stored tables. Event times are made instants."""
+    path = f"{shared_folder(spark)}/replay-{uuid.uuid4().hex}"
+    df = df.select(*(F.col(c).cast("timestamp").alias(c) if t == "timestamp_ntz" else F.col(c) for c, t in df.dtypes))
     n = F.ntile(parts).over(Window.orderBy(order))
     cut, _ = materialise(df.withColumn("_n", n), "cut")
     for k in range(1, parts + 1):
