@@ -16,7 +16,7 @@ import base64
 import hashlib
 from collections.abc import Iterator
 from functools import lru_cache
-from itertools import chain, islice
+from itertools import islice
 
 import ahocorasick
 import numpy as np
@@ -25,10 +25,10 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import
+from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, slices
 
 #: Pieces and pairs that a worker remembers at most; beyond it starts anew.
-REMEMBERED = 200_000
+REMEMBERED = 120_000
 _NEVER = 1 << 60
 
 
@@ -125,7 +125,7 @@ class ByteBPE:
     def encode(self, text: str) -> list[int]:
         return [i for m in self.pattern.finditer(text) for i in self.encode_piece(m[0].encode())]
 
-    def digest(self, text: str, into: list[int] | None = None) -> tuple[int, str, str]:
+    def digest(self, text: str, into: list[bytes] | None = None) -> tuple[int, str, str]:
         """Number of ids, SHA-256 of the ids, SHA-256 of the decoded bytes; the ids are appended to `into`, if it is given."""
         n, ids, decoded, first, seen = 0, hashlib.sha256(), hashlib.sha256(), True, self.pieces
         found = self.pattern.finditer(text) if len(text) > 1 << 20 else None
@@ -134,23 +134,23 @@ class ByteBPE:
             got = list(map(seen.__getitem__, some))
             ids.update((("" if first else " ") + " ".join([g[0] for g in got])).encode())
             decoded.update(b"".join([g[1] for g in got]))
-            n += sum([len(g[2]) for g in got])
+            n += sum([len(g[2]) for g in got]) // 4
             if into is not None:
-                into.extend(chain.from_iterable([g[2] for g in got]))
+                into.append(b"".join([g[2] for g in got]))
             first = False
             some = [] if found is None else [m[0] for m in islice(found, 1 << 16)]
         return n, ids.hexdigest(), decoded.hexdigest()
 
 
 class _Pieces(dict):
-    """Piece to (ids as text, decoded bytes, ids)."""
+    """Piece to (ids as text, decoded bytes, ids as 32-bit numbers)."""
 
     def __init__(self, bpe: ByteBPE):
         self.bpe = bpe
 
-    def __missing__(self, piece: str) -> tuple[str, bytes, list[int]]:
+    def __missing__(self, piece: str) -> tuple[str, bytes, bytes]:
         ids = self.bpe.encode_piece(piece.encode())
-        got = " ".join(map(str, ids)), self.bpe.decode(ids), ids
+        got = " ".join(map(str, ids)), self.bpe.decode(ids), np.array(ids, np.int32).tobytes()
         if len(piece) <= 64:
             if len(self) >= REMEMBERED:
                 self.clear()
@@ -178,15 +178,13 @@ def digests(docs: DataFrame, path: str | None = None, pattern: str | None = None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = tokenizer(*((path, pattern) if path else public_tokenizer()))
-        for b in batches:
-            ids: list[int] = []
-            got, ends = [], [0]
-            for t in b.column(place):
-                got.append(bpe.digest(t.as_py() or "", ids if with_ids else None))
-                ends.append(len(ids))
+        for b in slices(batches):
+            ids: list[bytes] = []
+            got = [bpe.digest(t.as_py() or "", ids if with_ids else None) for t in b.column(place)]
             new = [pa.array([g[k] for g in got], kind) for k, kind in enumerate((pa.int64(), pa.string(), pa.string()))]
             if with_ids:
-                new.append(pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(ids, pa.int32())))
+                ends = np.cumsum([0, *(g[0] for g in got)]).astype(np.int32)
+                new.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(ids), np.int32))))
             yield pa.RecordBatch.from_arrays([*b.columns[:place], *new], names=names)
 
     columns = docs.select(*keep, F.col("text").cast("string").alias("__text"))

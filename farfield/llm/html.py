@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from farfield.llm.common import let_workers_import
+from farfield.llm.common import let_workers_import, slices
 
 #: Elements that flow with the text, that have no end, that hold no text, and that hold no main text.
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
@@ -54,6 +54,8 @@ LABELLED = (
     (0, 0, 90, 0.0, 60, 0.0, 75, 0.0, 1), (0, 0, 45, 0.1, 3, 1.0, 70, 0.0, 1), (0, 0, 25, 0.0, 80, 0.0, 6, 0.5, 1),
     (0, 0, 18, 0.0, 4, 0.0, 60, 0.0, 1), (0, 0, 9, 0.0, 70, 0.0, 90, 0.0, 1), (0, 0, 6, 0.0, 40, 0.1, 55, 0.0, 1),
     (0, 0, 7, 0.0, 2, 1.0, 65, 0.0, 1), (0, 0, 10, 0.0, 55, 0.0, 12, 0.0, 1), (0, 0, 130, 0.25, 20, 0.0, 30, 0.3, 1),
+    (0, 0, 45, 0.0, 60, 0.0, 1, 1.0, 1), (0, 0, 22, 0.0, 90, 0.0, 2, 1.0, 1), (0, 0, 35, 0.0, 1, 1.0, 2, 1.0, 1),
+    (0, 0, 16, 0.0, 40, 0.0, 1, 1.0, 1), (0, 0, 80, 0.1, 2, 1.0, 3, 1.0, 1), (0, 0, 19, 0.0, 3, 1.0, 50, 0.0, 1),
     (0, 0, 1, 1.0, 1, 1.0, 1, 1.0, 0), (0, 0, 3, 1.0, 40, 0.0, 2, 1.0, 0), (0, 0, 12, 0.8, 9, 0.9, 5, 1.0, 0),
     (0, 0, 5, 0.0, 3, 1.0, 4, 1.0, 0), (0, 0, 30, 0.7, 10, 0.6, 12, 0.8, 0), (0, 0, 2, 0.0, 1, 1.0, 1, 1.0, 0),
     (0, 0, 8, 0.0, 6, 1.0, 0, 0.0, 0), (0, 0, 60, 0.9, 1, 1.0, 3, 1.0, 0), (0, 0, 4, 0.5, 2, 0.0, 2, 0.0, 0),
@@ -213,7 +215,7 @@ def extract(pages: DataFrame) -> DataFrame:
     let_workers_import(pages.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             texts = [main_text(h.as_py()) for h in b.column(2)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 

@@ -111,7 +111,7 @@ def _featured(found: DataFrame) -> DataFrame:
     )
     m, d = F.col("m"), F.length(_digits(F.col("m")))
     flag = lambda c: c.cast("int")
-    parts = F.size(F.split(m, r"[^0-9]+"))
+    parts = F.size(F.split(F.regexp_replace(m, "^[^0-9]+", ""), r"[^0-9]+"))
     features = [
         F.when(d < 7, 0).when(d < 9, 1).when(d < 12, 2).when(d < 13, 3).when(d < 16, 4).when(d < 17, 5).when(d < 20, 6).otherwise(7),
         flag(m.contains("(")), flag(m.contains(" ")), flag(m.contains("-")), F.least(F.size(F.split(m, r"\.")) - 1, F.lit(4)),

@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, table, written
+from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, slices, table, written
 
 #: At most so many labelled rows are learned from, and so many candidates and features looked at.
 MAX_FIT, MAX_CANDIDATES, MAX_FEATURES = 20_000, 50_000, 3_000
@@ -211,7 +211,7 @@ def character_model(docs: DataFrame) -> np.ndarray:
     let_workers_import(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = sum((trigram_counts(t.as_py() for t in b.column(0)) for b in batches), np.zeros(CLASSES**3, np.int64))
+        total = sum((trigram_counts(t.as_py() for t in b.column(0)) for b in slices(batches, 2048)), np.zeros(CLASSES**3, np.int64))
         seen = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(seen.astype(np.int32)), pa.array(total[seen])], names=["gram", "n"])
 
@@ -311,7 +311,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_fit: int = MAX_FIT) -> ToxicityM
 
     def restored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer = Restorer(shared.value)
-        for b in batches:
+        for b in slices(batches):
             own = [sorted(words_of(restorer.restore(t.as_py() or "")[0])) for t in b.column(0)]
             yield pa.RecordBatch.from_arrays(
                 [pa.array([" ".join(w) for w in own], pa.string()), b.column(1), pa.array([bands_of(w) for w in own], pa.list_(pa.int64()))], names=["words", "toxic", "bands"]
@@ -371,7 +371,7 @@ def score(docs: DataFrame, model: ToxicityModel, keep: tuple[str, ...] = ("doc_i
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         score = shared.value.scorer()
-        for b in batches:
+        for b in slices(batches):
             got = [score(t.as_py()) for t in b.column(place)]
             new = [pa.array([float(s) for s, _ in got], pa.float64()), pa.array([p for _, p in got], pa.int64())]
             yield pa.RecordBatch.from_arrays([*b.columns[:place], *new], names=[*keep, "__score", "__restored"])
