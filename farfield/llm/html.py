@@ -38,7 +38,8 @@ _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^
 _NAMED = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _SPLIT = re.compile(r"[\s_-]+|(?<=[a-z])(?=[A-Z])")
 
-FEATURES = ("chrome", "scope", "words", "links", "words_before", "links_before", "words_after", "links_after")
+#: place: 0 in something that pages use for menus and the like, 1 outside the page's article, 2 on a page without article, 3 in an article.
+FEATURES = ("place", "words", "links", "words_before", "links_before", "words_after", "links_after")
 
 #: chrome, scope (2 in an article or main element, 1 outside though the page has one, 0 the page has none), words, share of
 #: words in links, the same two of the block before and after, and whether it is main text.
@@ -56,6 +57,7 @@ LABELLED = (
     (0, 0, 7, 0.0, 2, 1.0, 65, 0.0, 1), (0, 0, 10, 0.0, 55, 0.0, 12, 0.0, 1), (0, 0, 130, 0.25, 20, 0.0, 30, 0.3, 1),
     (0, 0, 45, 0.0, 60, 0.0, 1, 1.0, 1), (0, 0, 22, 0.0, 90, 0.0, 2, 1.0, 1), (0, 0, 35, 0.0, 1, 1.0, 2, 1.0, 1),
     (0, 0, 16, 0.0, 40, 0.0, 1, 1.0, 1), (0, 0, 80, 0.1, 2, 1.0, 3, 1.0, 1), (0, 0, 19, 0.0, 3, 1.0, 50, 0.0, 1),
+    (0, 0, 60, 0.0, 75, 0.0, 0, 0.0, 1), (0, 0, 25, 0.0, 50, 0.0, 0, 0.0, 1), (0, 0, 110, 0.05, 1, 1.0, 0, 0.0, 1),
     (0, 0, 1, 1.0, 1, 1.0, 1, 1.0, 0), (0, 0, 3, 1.0, 40, 0.0, 2, 1.0, 0), (0, 0, 12, 0.8, 9, 0.9, 5, 1.0, 0),
     (0, 0, 5, 0.0, 3, 1.0, 4, 1.0, 0), (0, 0, 30, 0.7, 10, 0.6, 12, 0.8, 0), (0, 0, 2, 0.0, 1, 1.0, 1, 1.0, 0),
     (0, 0, 8, 0.0, 6, 1.0, 0, 0.0, 0), (0, 0, 60, 0.9, 1, 1.0, 3, 1.0, 0), (0, 0, 4, 0.5, 2, 0.0, 2, 0.0, 0),
@@ -95,8 +97,14 @@ class Tree:
 
 @lru_cache(1)
 def trained() -> Tree:
-    rows = np.array(LABELLED, float)
-    return Tree(rows[:, :-1], rows[:, -1])
+    # inside an article, blocks like those that are judged by their looks elsewhere are all main text
+    inside = tuple((0, 2, *r[2:-1], 1) for r in LABELLED if r[:2] == (0, 0))
+    rows = np.array(LABELLED + inside, float)
+    return Tree(np.column_stack([_place(rows[:, 0], rows[:, 1]), rows[:, 2:-1]]), rows[:, -1])
+
+
+def _place(chrome: np.ndarray, scope: np.ndarray) -> np.ndarray:
+    return np.where(chrome > 0, 0, np.array([2, 1, 3])[scope.astype(int)])
 
 
 def _is_chrome(name: str, attributes: str, in_article: bool) -> bool:
@@ -196,9 +204,9 @@ def features(blocks: list[tuple[str, int, int, int, int]]) -> np.ndarray:
     n = len(blocks)
     x = np.zeros((n, len(FEATURES)))
     chrome, article, words, linked = (np.array([b[k] for b in blocks], float) for k in (1, 2, 3, 4))
-    x[:, 0], x[:, 1] = chrome, np.where(article > 0, 2, 1 if (article > 0).any() else 0)
-    x[:, 2], x[:, 3] = words, np.minimum(linked / np.maximum(words, 1), 1)
-    x[1:, 4:6], x[:-1, 6:8] = x[:-1, 2:4], x[1:, 2:4]
+    scope = np.where(article > 0, 2, 1 if (article > 0).any() else 0)
+    x[:, 0], x[:, 1], x[:, 2] = _place(chrome, scope), words, np.minimum(linked / np.maximum(words, 1), 1)
+    x[1:, 3:5], x[:-1, 5:7] = x[:-1, 1:3], x[1:, 1:3]
     return x
 
 
