@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 from itertools import islice
@@ -27,8 +28,8 @@ from pyspark.sql import functions as F
 
 from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, slices
 
-#: Pieces and pairs that a worker remembers at most; beyond it starts anew.
-REMEMBERED = 120_000
+#: Pieces and pairs that a worker remembers: two generations of so many pieces, of which the older one goes when the younger is full.
+REMEMBERED, REMEMBERED_PAIRS = 100_000, 300_000
 _NEVER = 1 << 60
 
 
@@ -51,7 +52,7 @@ class ByteBPE:
         self.shorter = {r: next((self.rank_of[t[:k]] for k in range(len(t) - 1, 0, -1) if t[:k] in self.rank_of), -1) for r, t in self.bytes_of.items()}
         self.merged: dict[tuple[int, int], int] = {}
         self.parts: dict[int, tuple[int, int]] = {}
-        self.fits_known: dict[tuple[int, int], bool] = {}
+        self.fits_known: dict[int, bool] = {}
         for rank in sorted(self.bytes_of):
             t = self.bytes_of[rank]
             for k in range(1, len(t)):
@@ -87,11 +88,12 @@ class ByteBPE:
                 y = right.pop()
 
     def fits(self, a: int, b: int) -> bool:
-        known = self.fits_known.get((a, b))
+        pair = a << 32 | b
+        known = self.fits_known.get(pair)
         if known is None:
-            if len(self.fits_known) >= REMEMBERED:
+            if len(self.fits_known) >= REMEMBERED_PAIRS:
                 self.fits_known.clear()
-            known = self.fits_known[a, b] = self._fit(a, b)
+            known = self.fits_known[pair] = self._fit(a, b)
         return known
 
     def encode_piece(self, piece: bytes) -> list[int]:
@@ -146,13 +148,16 @@ class _Pieces(dict):
     """Piece to (ids as text, decoded bytes, ids as 32-bit numbers)."""
 
     def __init__(self, bpe: ByteBPE):
-        self.bpe = bpe
+        self.bpe, self.older = bpe, {}
 
     def __missing__(self, piece: str) -> tuple[str, bytes, bytes]:
-        ids = self.bpe.encode_piece(piece.encode())
-        got = " ".join(map(str, ids)), self.bpe.decode(ids), np.array(ids, np.int32).tobytes()
+        got = self.older.get(piece)
+        if got is None:
+            ids = self.bpe.encode_piece(piece.encode())
+            got = " ".join(map(str, ids)), self.bpe.decode(ids), array("i", ids).tobytes()
         if len(piece) <= 64:
             if len(self) >= REMEMBERED:
+                self.older = dict(self)
                 self.clear()
             self[piece] = got
         return got
