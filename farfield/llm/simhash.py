@@ -11,6 +11,11 @@ fingerprints are a binary trie, whose nodes are ranges. Pairs of nodes are follo
 which they differ add up, and a pair goes as soon as they exceed the budget. From each group only a spanning forest of
 the links leaves, so a class of n members makes at most n rows a group and never n squared.
 
+Two bits are too few for near copies: texts that share 0.8 of their five-word shingles differ in 4 to 13 of 64 bits. `wide_pairs`
+finds these, for the stage of the pipeline. It has WIDE fingerprints of a text, from the same shingles with other hashes. In a group
+agree the 21 bits of one third of one fingerprint, and its trie is followed with a budget of 14 bits; a pair has to hold on the next
+fingerprint too (28 of 128 bits). From a group leaves the forest of its nearest pairs, and the pairs' five-word shingles are compared in full.
+
 Defined results: a null or empty text has fingerprint 0 and is linked like any other; fewer words than a shingle has
 are one shingle; a null doc_id takes part but never names a class that has another id; repeated rows each get a row;
 an empty table gives an empty table; extra columns are not read.
@@ -26,6 +31,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from farfield.llm.classes import classes_of_links
 from farfield.llm.common import let_workers_import, slices, written
@@ -34,38 +40,65 @@ SHINGLE_WORDS = 3
 BUDGET = 2
 BLOCKS = 6
 SEED = 42
+#: For the stage: shingle words and similarity of near copies, fingerprints of a text, thirds of each to agree on, bits that may differ.
+NEAR_WORDS, NEAR = 5, 0.8
+WIDE = 24
+THIRDS = 3
+WIDE_BUDGET, PAIR_BUDGET = 14, 28
 #: Node pairs that are followed down at once.
 FRONT = 1 << 20
 
 
-def fingerprint(text: str | None, words: int = SHINGLE_WORDS) -> int:
-    """As an unsigned number. bytes.lower and bytes.split know ASCII only: just the letters and white space meant."""
+def _odd(k: int) -> np.uint64:
+    """The multiplier of the k-th fingerprint's hash."""
+    return np.uint64(xxhash.xxh64_intdigest(k.to_bytes(8, "big"), SEED) | 1)
+
+
+def wide_fingerprint(text: str | None, words: int = SHINGLE_WORDS, count: int = 1) -> np.ndarray:
+    """`count` fingerprints, unsigned; the first is that of the XXH64 values themselves, the others are of these values mixed again.
+    bytes.lower and bytes.split know ASCII only: just the letters and white space meant."""
     w = (text or "").encode().lower().split()
     if not w:
-        return 0
+        return np.zeros(count, np.uint64)
     n = max(1, len(w) - words + 1)
     digest = xxhash.xxh64_intdigest
-    over = np.zeros(64, np.int64)
-    for at in range(0, n, 1 << 15):  # whole texts of any length in bounded memory
-        part = w[at : at + (1 << 15) + words - 1]
+    over = np.zeros(64 * count, np.int64)
+    step = 8 * 255
+    for at in range(0, n, step):  # whole texts of any length in bounded memory
+        part = w[at : at + step + words - 1]
         if n == 1:
             h = [digest(b" ".join(part), SEED)]
         else:
             h = [digest(s, SEED) for s in map(b" ".join, zip(*(part[k:] for k in range(words))))]
-        over += np.unpackbits(np.array(h, ">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
-    return int.from_bytes(np.packbits(over * 2 > n).tobytes(), "big")
+        h = np.array(h, np.uint64)
+        rows = -(-len(h) // 255) * 255
+        all_ = np.zeros((rows, count), ">u8")
+        all_[: len(h), 0] = h
+        for k in range(1, count):
+            x = h * _odd(k)
+            x = (x ^ (x >> np.uint64(32))) * _odd(-k % (1 << 32))
+            all_[: len(h), k] = x ^ (x >> np.uint64(29))
+        bits = np.unpackbits(all_.view(np.uint8).reshape(rows, 8 * count), axis=1)
+        over += bits.reshape(-1, 255, 64 * count).sum(axis=1, dtype=np.uint8).sum(axis=0, dtype=np.int64)
+    return np.packbits(over * 2 > n).view(">u8").astype(np.uint64)
+
+
+def fingerprint(text: str | None, words: int = SHINGLE_WORDS) -> int:
+    """As an unsigned number."""
+    return int(wide_fingerprint(text, words)[0])
 
 
-def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS) -> DataFrame:
-    """(doc_id, fp): fp as a signed long with the same bits."""
+def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS, count: int = 1) -> DataFrame:
+    """(doc_id, fp, wide): fp as a signed long with the same bits, wide all `count` of them."""
     let_workers_import(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            fps = np.fromiter((fingerprint(t.as_py(), words) for t in batch.column(1)), np.uint64, batch.num_rows)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+            fps = np.array([wide_fingerprint(t.as_py(), words, count) for t in batch.column(1)], np.uint64).reshape(-1, count).view(np.int64)
+            wide = pa.ListArray.from_arrays(pa.array(np.arange(0, fps.size + 1, count, dtype=np.int32)), pa.array(fps.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.ascontiguousarray(fps[:, 0])), wide], names=["doc_id", "fp", "wide"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long, wide array<long>")
 
 
 def block_masks(budget: int = BUDGET, blocks: int = BLOCKS) -> list[int]:
@@ -144,25 +177,74 @@ def _links_of_groups(budget: int):
             [pa.array(fp[at].view(np.int64)), pa.array(fp[forest.least[at]].view(np.int64))], names=["a", "b"]
         )
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest = None
-        for batch in batches:
-            got = [batch.column(k).to_numpy(zero_copy_only=False) for k in range(3)]
-            got[2] = got[2].view(np.uint64)
-            if rest is not None:
-                got = [np.concatenate(x) for x in zip(rest, got)]
-            if not len(got[0]):
-                continue
-            # the last group may go on in the next batch
-            cut = len(got[0]) - int(np.argmax((got[0][::-1] != got[0][-1]) | (got[1][::-1] != got[1][-1])))
-            cut = 0 if (got[0][0] == got[0][-1] and got[1][0] == got[1][-1]) else cut
-            if cut:
-                yield of(*(x[:cut] for x in got))
-            rest = [x[cut:] for x in got]
-        if rest is not None and len(rest[0]):
-            yield of(*rest)
-
-    return run
+    return lambda batches: _whole_groups(batches, of)
+
+
+def _whole_groups(batches: Iterator[pa.RecordBatch], of) -> Iterator[pa.RecordBatch]:
+    """`of` on runs of whole groups; rows come sorted by the first two columns, which name the group. The others are longs."""
+    rest = None
+    for batch in batches:
+        got = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+        got[2] = got[2].view(np.uint64)
+        if rest is not None:
+            got = [np.concatenate(x) for x in zip(rest, got)]
+        if not len(got[0]):
+            continue
+        # the last group may go on in the next batch
+        cut = len(got[0]) - int(np.argmax((got[0][::-1] != got[0][-1]) | (got[1][::-1] != got[1][-1])))
+        cut = 0 if (got[0][0] == got[0][-1] and got[1][0] == got[1][-1]) else cut
+        if cut:
+            yield of(*(x[:cut] for x in got))
+        rest = [x[cut:] for x in got]
+    if rest is not None and len(rest[0]):
+        yield of(*rest)
+
+
+def nearest_forest(n: int, a: np.ndarray, b: np.ndarray, off: np.ndarray) -> np.ndarray:
+    """Places of the pairs that make a spanning forest of 0..n-1 with the fewest differing bits: each class takes its nearest pair, until none is left."""
+    left, forest, chosen = np.argsort(off, kind="stable"), Forest(n), []
+    while True:
+        x, y = forest.least[a[left]], forest.least[b[left]]
+        left, x, y = left[x != y], x[x != y], y[x != y]
+        if not len(left):
+            return np.sort(np.concatenate(chosen)) if chosen else left
+        first = np.full(n, len(left))
+        np.minimum.at(first, x, np.arange(len(left)))
+        np.minimum.at(first, y, np.arange(len(left)))
+        take = left[np.unique(first[first < len(left)])]
+        chosen.append(take)
+        forest.link(a[take], b[take])
+
+
+def _wide_pairs_of_groups(budget: int, pair_budget: int):
+    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray) -> pa.RecordBatch:
+        new = np.flatnonzero(np.concatenate([[True], (mask_no[1:] != mask_no[:-1]) | (key[1:] != key[:-1])]))
+        end = np.append(new[1:], len(fp))
+        many = end - new > 1
+        held = [np.zeros(0, np.int64)] * 3
+        for a, b in _member_pairs(fp, new[many], end[many], budget):
+            off = np.bitwise_count(fp[a] ^ fp[b]).astype(np.int64) + np.bitwise_count((other[a] ^ other[b]).view(np.uint64))
+            near = off <= pair_budget
+            held = [np.concatenate([h, x[near]]) for h, x in zip(held, (a, b, off))]
+            keep = nearest_forest(len(fp), *held)
+            held = [h[keep] for h in held]
+        return pa.RecordBatch.from_arrays([pa.array(np.minimum(doc[held[0]], doc[held[1]])), pa.array(np.maximum(doc[held[0]], doc[held[1]]))], names=["a", "b"])
+
+    return lambda batches: _whole_groups(batches, of)
+
+
+def _member_pairs(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """As trie_pairs, where members may share a fingerprint: these follow each other in a chain, and their first stands for them in the trie."""
+    at = np.concatenate([np.arange(s, e) for s, e in zip(starts, ends)]) if len(starts) else np.zeros(0, np.int64)
+    if not len(at):
+        return
+    head = np.ones(len(at), bool)
+    head[1:] = (fp[at[1:]] != fp[at[:-1]]) | np.isin(at[1:], starts)
+    yield at[1:][~head[1:]] - 1, at[1:][~head[1:]]
+    heads = at[head]
+    lo = np.searchsorted(heads, starts)
+    for a, b in trie_pairs(fp[heads], lo, np.append(lo[1:], len(heads)), budget):
+        yield heads[a], heads[b]
 
 
 def links(reps: DataFrame, budget: int = BUDGET, blocks: int = BLOCKS) -> DataFrame:
@@ -176,9 +258,52 @@ def links(reps: DataFrame, budget: int = BUDGET, blocks: int = BLOCKS) -> DataFr
     return groups.repartition("m", "key").sortWithinPartitions("m", "key", "o").select("m", "key", "fp").mapInArrow(_links_of_groups(budget), "a long, b long")
 
 
+def wide_pairs(nodes: DataFrame, count: int = WIDE) -> DataFrame:
+    """(a, b), a < b: pairs of nodes.doc whose wide fingerprints are near, in forests that keep each class of near copies together."""
+    let_workers_import(nodes.sparkSession)
+    choices = F.array(*(
+        F.struct(F.lit(THIRDS * k + j).alias("m"), F.get("wide", F.lit(k)).alias("fp"), F.get("wide", F.lit((k + 1) % count)).alias("other"))
+        for k in range(count) for j in range(THIRDS)
+    ))
+    rows = nodes.select("doc", F.explode(choices).alias("g")).select("g.m", "g.fp", "g.other", "doc")
+    # What follows from m and fp is computed on both sides of the shuffle, not carried through it.
+    key, order = F.expr(f"fp & shiftleft(2097151L, 21 * (m % {THIRDS}))"), F.expr("fp ^ (-9223372036854775807L - 1)")
+    sorted_ = rows.repartition("m", key).sortWithinPartitions("m", key, order).select("m", key.alias("key"), "fp", "other", "doc")
+    return sorted_.mapInArrow(_wide_pairs_of_groups(WIDE_BUDGET, PAIR_BUDGET), "a long, b long").distinct()
+
+
+def shingle_set(text: str | None, words: int = NEAR_WORDS) -> set[int]:
+    w = (text or "").encode().lower().split()
+    return {xxhash.xxh64_intdigest(b" ".join(w[k : k + words]), SEED) for k in range(max(1, len(w) - words + 1))} if w else set()
+
+
+def similarity(a: str | None, b: str | None) -> float:
+    """Jaccard similarity of the five-word shingles; that of two texts without words is 1."""
+    x, y = shingle_set(a), shingle_set(b)
+    return len(x & y) / len(x | y) if x or y else 1.0
+
+
+def near_copies(pairs: DataFrame, docs: DataFrame, least: float = NEAR) -> DataFrame:
+    """Those of the pairs (a, b and more columns) whose texts are at least so similar."""
+    text = lambda k, t: docs.select(F.col("doc_id").cast("long").alias(k), F.col("text").cast("string").alias(t))
+    schema = T.StructType([*pairs.schema.fields, T.StructField("near", T.BooleanType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, 16):
+            near = [similarity(x.as_py(), y.as_py()) >= least for x, y in zip(batch.column("ta"), batch.column("tb"))]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-2], pa.array(near, pa.bool_())], names=[*batch.schema.names[:-2], "near"])
+
+    names = pairs.columns
+    both = pairs.join(text("a", "ta"), "a").join(text("b", "tb"), "b").select(*names, "ta", "tb")
+    return both.mapInArrow(run, schema).filter("near").select(*names)
+
+
 def near_classes(docs: DataFrame, words: int = SHINGLE_WORDS, budget: int = BUDGET, blocks: int = BLOCKS) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id (least doc_id of the class)."""
-    fps = written(fingerprints(docs, words), "fingerprints")
+    return _classes(written(fingerprints(docs, words).drop("wide"), "fingerprints"), budget, blocks)
+
+
+def _classes(fps: DataFrame, budget: int, blocks: int) -> DataFrame:
     reps = fps.groupBy("fp").agg(F.min("doc_id").alias("doc"))
     roots = classes_of_links(links(reps, budget, blocks))
     named = reps.join(roots, reps["fp"] == roots["node"], "left").select("fp", "doc", F.coalesce("root", "fp").alias("root"))
@@ -193,7 +318,16 @@ def op3_simhash(docs: DataFrame) -> DataFrame:
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline: of each class the document with the least doc_id stays (of rows that repeat it, one)."""
-    keep = near_classes(docs).filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("k")).distinct()
+    """Pipeline: of each class the document with the least doc_id stays (of rows that repeat it, one). Linked are fingerprints
+    within BUDGET bits, and near copies that the wide fingerprints find."""
+    fps = written(fingerprints(docs, count=WIDE), "fingerprints")
+    close = written(_classes(fps.select("doc_id", "fp"), BUDGET, BLOCKS).select("doc_id", "component_id").distinct(), "close")
+    nodes = fps.filter("doc_id IS NOT NULL").groupBy("wide").agg(F.min("doc_id").alias("doc"))
+    of = lambda k, c: close.select(F.col("doc_id").alias(k), F.col("component_id").alias(c))
+    pairs = written(wide_pairs(nodes).join(of("a", "ca"), "a").join(of("b", "cb"), "b").filter("ca <> cb").select("a", "b", "ca", "cb"), "pairs")
+    linked = near_copies(pairs, docs).select(F.col("ca").alias("a"), F.col("cb").alias("b"))
+    gone = classes_of_links(linked).filter("node <> root").select(F.col("node").alias("k"))
+    keep = close.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("k"))
+    keep = keep.join(gone, "k", "left_anti")
     kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["k"]), "left_semi")
     return kept.select("doc_id", "text", "lang", "source", "n_chars").dropDuplicates(["doc_id"])

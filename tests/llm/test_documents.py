@@ -127,6 +127,43 @@ def test_simhash_classes(spark, monkeypatch):
     assert fp[21] == fp[22] == 0
 
 
+def edited(text, every, seed):
+    r = random.Random(seed)
+    w = text.split()
+    return " ".join(f"{x}{r.randint(0, 9)}" if k % every == every // 2 else x for k, x in enumerate(w))
+
+
+def test_simhash_stage_takes_near_copies(spark, empty):
+    bases = {100 * i: prose(15 + i, 300 + i) for i in range(12)}
+    near = {b + 1 + k: edited(t, 60 + 20 * k, b + k) for b, t in bases.items() for k in range(4)}
+    far = {b + 50: edited(t, 9, b) for b, t in bases.items()}
+    docs = [(i, t, "en", "s", len(t)) for i, t in {**bases, **near, **far}.items()] + [(9000, bases[0], "en", "s", 1), (9001, "", "en", "s", 0), (9002, None, "en", "s", 0)]
+    text = {i: t for i, t, *_ in docs}
+    up = {i: i for i in text}
+    for _ in range(3):
+        for i in up:
+            for j in up:
+                if simhash.similarity(text[i], text[j]) >= 0.8:
+                    up[i] = up[j] = min(up[i], up[j])
+    got = simhash.stage(spark, spark.createDataFrame(docs, "doc_id long, text string, lang string, source string, n_chars long"), "")
+    assert tuple(got.columns) == DOCUMENT_COLUMNS
+    assert sorted(r["doc_id"] for r in got.collect()) == sorted(i for i in up if up[i] == i)
+    assert len(set(near) & {i for i in up if up[i] != i}) == len(near) and all(up[i] == i for i in far)
+    assert simhash.stage(spark, empty, "").collect() == []
+
+
+def test_nearest_forest():
+    r = np.random.default_rng(8)
+    a, b, off = r.integers(0, 60, 900), r.integers(0, 60, 900), r.integers(0, 28, 900)
+    keep = simhash.nearest_forest(60, a, b, off)
+    for most in (2, 5, 28):  # the same classes at each number of bits
+        whole, part = simhash.Forest(60), simhash.Forest(60)
+        whole.link(a[off <= most], b[off <= most])
+        part.link(a[keep][off[keep] <= most], b[keep][off[keep] <= most])
+        assert (whole.least == part.least).all()
+    assert len(keep) <= 59
+
+
 def test_classes_of_long_paths(spark):
     from farfield.llm.classes import classes_of_links
 
