@@ -13,7 +13,7 @@ the links leaves, so a class of n members makes at most n rows a group and never
 
 Two bits are too few for near copies: texts that share 0.8 of their five-word shingles differ in 4 to 13 of 64 bits. `wide_pairs`
 finds these, for the stage of the pipeline. It has WIDE fingerprints of a text, from the same shingles with other hashes. In a group
-agree the 21 bits of one third of one fingerprint, and its trie is followed with a budget of 14 bits; a pair has to hold on the next
+agree the 21 bits of one third of one fingerprint, and its trie is followed with a budget of 14 bits; a pair has to hold on the first
 fingerprint too (28 of 128 bits). From a group leaves the forest of its nearest pairs, and the pairs' five-word shingles are compared in full.
 
 Defined results: a null or empty text has fingerprint 0 and is linked like any other; fewer words than a shingle has
@@ -223,9 +223,13 @@ def _wide_pairs_of_groups(budget: int, pair_budget: int):
         many = end - new > 1
         held = [np.zeros(0, np.int64)] * 3
         for a, b in _member_pairs(fp, new[many], end[many], budget):
-            off = np.bitwise_count(fp[a] ^ fp[b]).astype(np.int64) + np.bitwise_count((other[a] ^ other[b]).view(np.uint64))
-            near = off <= pair_budget
+            off = np.bitwise_count((other[a] ^ other[b]).view(np.uint64)).astype(np.int64)
+            near = np.bitwise_count(fp[a] ^ fp[b]) + off <= pair_budget
             held = [np.concatenate([h, x[near]]) for h, x in zip(held, (a, b, off))]
+            # All groups put pairs in the same order, by the same fingerprint and then by doc, so that they mostly choose the same.
+            x, y = doc[held[0]], doc[held[1]]
+            order = np.lexsort((np.maximum(x, y), np.minimum(x, y), held[2]))
+            held = [h[order] for h in held]
             keep = nearest_forest(len(fp), *held)
             held = [h[keep] for h in held]
         return pa.RecordBatch.from_arrays([pa.array(np.minimum(doc[held[0]], doc[held[1]])), pa.array(np.maximum(doc[held[0]], doc[held[1]]))], names=["a", "b"])
@@ -262,7 +266,7 @@ def wide_pairs(nodes: DataFrame, count: int = WIDE) -> DataFrame:
     """(a, b), a < b: pairs of nodes.doc whose wide fingerprints are near, in forests that keep each class of near copies together."""
     let_workers_import(nodes.sparkSession)
     choices = F.array(*(
-        F.struct(F.lit(THIRDS * k + j).alias("m"), F.get("wide", F.lit(k)).alias("fp"), F.get("wide", F.lit((k + 1) % count)).alias("other"))
+        F.struct(F.lit(THIRDS * k + j).alias("m"), F.get("wide", F.lit(k)).alias("fp"), F.get("wide", F.lit(int(k == 0))).alias("other"))
         for k in range(count) for j in range(THIRDS)
     ))
     rows = nodes.select("doc", F.explode(choices).alias("g")).select("g.m", "g.fp", "g.other", "doc")
