@@ -15,6 +15,9 @@ Two bits are too few for near copies: texts that share 0.8 of their five-word sh
 finds these, for the stage of the pipeline. It has WIDE fingerprints of a text, from the same shingles with other hashes. In a group
 agree the 21 bits of one third of one fingerprint, and its trie is followed with a budget of 14 bits; a pair has to hold on the first
 fingerprint too (28 of 128 bits). From a group leaves the forest of its nearest pairs, and the pairs' five-word shingles are compared in full.
+This is done twice. First each group of a few fingerprints gives a chain of neighbours and a star around its most typical member, which are
+as many pairs as members; what these comparisons link is one class for the second, full search, whose tries leave out ranges of one
+class and whose forests are of pairs between classes. So a class of very many different near copies isn't compared pair by pair.
 
 Defined results: a null or empty text has fingerprint 0 and is linked like any other; fewer words than a shingle has
 are one shingle; a null doc_id takes part but never names a class that has another id; repeated rows each get a row;
@@ -45,6 +48,8 @@ NEAR_WORDS, NEAR = 5, 0.8
 WIDE = 24
 THIRDS = 3
 WIDE_BUDGET, PAIR_BUDGET = 14, 28
+#: Fingerprints whose groups are searched first.
+FIRST = 4
 #: Node pairs that are followed down at once.
 FRONT = 1 << 20
 
@@ -108,9 +113,11 @@ def block_masks(budget: int = BUDGET, blocks: int = BLOCKS) -> list[int]:
     return [sum(c) for c in combinations(block, blocks - budget)]
 
 
-def trie_pairs(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def trie_pairs(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int, cls: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Pairs of places in fps whose numbers differ in at most budget bits, within each range [start, end) that is sorted and free
-    of repeats. A node is a range, a pair of nodes two of them and the bits in which they differ so far."""
+    of repeats. A node is a range, a pair of nodes two of them and the bits in which they differ so far. With classes of the places,
+    only pairs between different ones: a pair of nodes goes if all their members are of one class."""
+    run = None if cls is None else np.concatenate([[0], np.cumsum(cls[1:] != cls[:-1]), [-1]])
     stack = [(63, starts, ends, starts, ends, np.zeros(len(starts), np.int8))]
     ones: dict[int, np.ndarray] = {}
 
@@ -142,6 +149,9 @@ def trie_pairs(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: in
         for xl, xh, yl, yh, o, ok in kids:
             # a node paired with itself needs two members, two nodes need one each
             ok = ok & (xh > xl) & (yh > yl) & ~((xl == yl) & (xh - xl < 2))
+            if run is not None:
+                at, bt = np.where(ok, xl, 0), np.where(ok, yl, 0)
+                ok = ok & ~((run[at] == run[xh - 1]) & (run[bt] == run[yh - 1]) & (cls[at] == cls[bt]))
             nxt.append([v[ok] for v in (xl, xh, yl, yh, o)])
         stack.append((bit - 1, *(np.concatenate(v) for v in zip(*nxt))))
 
@@ -217,14 +227,12 @@ def nearest_forest(n: int, a: np.ndarray, b: np.ndarray, off: np.ndarray) -> np.
 
 
 def _wide_pairs_of_groups(budget: int, pair_budget: int):
-    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray) -> pa.RecordBatch:
-        new = np.flatnonzero(np.concatenate([[True], (mask_no[1:] != mask_no[:-1]) | (key[1:] != key[:-1])]))
-        end = np.append(new[1:], len(fp))
+    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray) -> pa.RecordBatch:
+        new, end = _bounds(mask_no, key)
         many = end - new > 1
         held = [np.zeros(0, np.int64)] * 3
-        for a, b in _member_pairs(fp, new[many], end[many], budget):
-            off = np.bitwise_count((other[a] ^ other[b]).view(np.uint64)).astype(np.int64)
-            near = np.bitwise_count(fp[a] ^ fp[b]) + off <= pair_budget
+        for a, b in _member_pairs(fp, new[many], end[many], budget, cls):
+            off, near = _near(fp, other, cls, a, b, pair_budget)
             held = [np.concatenate([h, x[near]]) for h, x in zip(held, (a, b, off))]
             # All groups put pairs in the same order, by the same fingerprint and then by doc, so that they mostly choose the same.
             x, y = doc[held[0]], doc[held[1]]
@@ -232,12 +240,50 @@ def _wide_pairs_of_groups(budget: int, pair_budget: int):
             held = [h[order] for h in held]
             keep = nearest_forest(len(fp), *held)
             held = [h[keep] for h in held]
-        return pa.RecordBatch.from_arrays([pa.array(np.minimum(doc[held[0]], doc[held[1]])), pa.array(np.maximum(doc[held[0]], doc[held[1]]))], names=["a", "b"])
+        return _pairs(doc, cls, held[0], held[1])
+
+    return lambda batches: _whole_groups(batches, of)
+
+
+def _bounds(mask_no: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    new = np.flatnonzero(np.concatenate([[True], (mask_no[1:] != mask_no[:-1]) | (key[1:] != key[:-1])]))
+    return new, np.append(new[1:], len(key))
+
+
+def _near(fp: np.ndarray, other: np.ndarray, cls: np.ndarray, a: np.ndarray, b: np.ndarray, pair_budget: int) -> tuple[np.ndarray, np.ndarray]:
+    """Bits in which the other fingerprints differ, and whether a pair is near and between classes."""
+    off = np.bitwise_count((other[a] ^ other[b]).view(np.uint64)).astype(np.int64)
+    return off, (np.bitwise_count(fp[a] ^ fp[b]) + off <= pair_budget) & (cls[a] != cls[b])
+
+
+def _pairs(doc: np.ndarray, cls: np.ndarray, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    low, high = np.where(doc[a] < doc[b], a, b), np.where(doc[a] < doc[b], b, a)
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in (doc[low], doc[high], cls[low], cls[high])], names=["a", "b", "ca", "cb"])
+
+
+def chain_and_star(fp: np.ndarray, new: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs within each range [new, end), fewer than twice its members: each with the next, and all with the one that is nearest to the majority of each bit."""
+    group = np.repeat(np.arange(len(new)), end - new)
+    ones = np.add.reduceat(np.unpackbits(fp.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1), new, axis=0, dtype=np.int64)
+    typical = np.packbits(ones * 2 > (end - new)[:, None], axis=1).view(">u8").ravel().astype(np.uint64)
+    places = np.arange(len(fp))
+    order = np.bitwise_count(fp ^ typical[group]).astype(np.int64) * len(fp) + places
+    middle = (np.minimum.reduceat(order, new) % len(fp))[group]
+    next_ = np.flatnonzero(group[1:] == group[:-1])
+    spoke = np.flatnonzero(middle != places)
+    return np.concatenate([next_, middle[spoke]]), np.concatenate([next_ + 1, spoke])
+
+
+def _first_pairs_of_groups(pair_budget: int):
+    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray) -> pa.RecordBatch:
+        a, b = chain_and_star(fp, *_bounds(mask_no, key))
+        near = _near(fp, other, cls, a, b, pair_budget)[1]
+        return _pairs(doc, cls, a[near], b[near])
 
     return lambda batches: _whole_groups(batches, of)
 
 
-def _member_pairs(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def _member_pairs(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int, cls: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """As trie_pairs, where members may share a fingerprint: these follow each other in a chain, and their first stands for them in the trie."""
     at = np.concatenate([np.arange(s, e) for s, e in zip(starts, ends)]) if len(starts) else np.zeros(0, np.int64)
     if not len(at):
@@ -247,7 +293,7 @@ def _member_pairs(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget:
     yield at[1:][~head[1:]] - 1, at[1:][~head[1:]]
     heads = at[head]
     lo = np.searchsorted(heads, starts)
-    for a, b in trie_pairs(fp[heads], lo, np.append(lo[1:], len(heads)), budget):
+    for a, b in trie_pairs(fp[heads], lo, np.append(lo[1:], len(heads)), budget, cls[heads]):
         yield heads[a], heads[b]
 
 
@@ -262,18 +308,20 @@ def links(reps: DataFrame, budget: int = BUDGET, blocks: int = BLOCKS) -> DataFr
     return groups.repartition("m", "key").sortWithinPartitions("m", "key", "o").select("m", "key", "fp").mapInArrow(_links_of_groups(budget), "a long, b long")
 
 
-def wide_pairs(nodes: DataFrame, count: int = WIDE) -> DataFrame:
-    """(a, b), a < b: pairs of nodes.doc whose wide fingerprints are near, in forests that keep each class of near copies together."""
+def wide_pairs(nodes: DataFrame, count: int = WIDE, first: bool = False) -> DataFrame:
+    """(a, b, ca, cb), a < b: pairs of nodes.doc whose wide fingerprints are near and whose nodes.cls differ, with these; in forests that keep
+    each class of near copies together. If first, the chains and stars of the groups."""
     let_workers_import(nodes.sparkSession)
     choices = F.array(*(
         F.struct(F.lit(THIRDS * k + j).alias("m"), F.get("wide", F.lit(k)).alias("fp"), F.get("wide", F.lit(int(k == 0))).alias("other"))
         for k in range(count) for j in range(THIRDS)
     ))
-    rows = nodes.select("doc", F.explode(choices).alias("g")).select("g.m", "g.fp", "g.other", "doc")
+    rows = nodes.select("doc", "cls", F.explode(choices).alias("g")).select("g.m", "g.fp", "g.other", "doc", "cls")
     # What follows from m and fp is computed on both sides of the shuffle, not carried through it.
     key, order = F.expr(f"fp & shiftleft(2097151L, 21 * (m % {THIRDS}))"), F.expr("fp ^ (-9223372036854775807L - 1)")
-    sorted_ = rows.repartition("m", key).sortWithinPartitions("m", key, order).select("m", key.alias("key"), "fp", "other", "doc")
-    return sorted_.mapInArrow(_wide_pairs_of_groups(WIDE_BUDGET, PAIR_BUDGET), "a long, b long").distinct()
+    sorted_ = rows.repartition("m", key).sortWithinPartitions("m", key, order).select("m", key.alias("key"), "fp", "other", "doc", "cls")
+    of_groups = _first_pairs_of_groups(PAIR_BUDGET) if first else _wide_pairs_of_groups(WIDE_BUDGET, PAIR_BUDGET)
+    return sorted_.mapInArrow(of_groups, "a long, b long, ca long, cb long").distinct()
 
 
 def shingle_set(text: str | None, words: int = NEAR_WORDS) -> set[int]:
@@ -327,11 +375,18 @@ def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     fps = written(fingerprints(docs, count=WIDE), "fingerprints")
     close = written(_classes(fps.select("doc_id", "fp"), BUDGET, BLOCKS).select("doc_id", "component_id").distinct(), "close")
     nodes = fps.filter("doc_id IS NOT NULL").groupBy("wide").agg(F.min("doc_id").alias("doc"))
-    of = lambda k, c: close.select(F.col("doc_id").alias(k), F.col("component_id").alias(c))
-    pairs = written(wide_pairs(nodes).join(of("a", "ca"), "a").join(of("b", "cb"), "b").filter("ca <> cb").select("a", "b", "ca", "cb"), "pairs")
-    linked = near_copies(pairs, docs).select(F.col("ca").alias("a"), F.col("cb").alias("b"))
+    nodes = written(nodes.join(close.select(F.col("doc_id").alias("doc"), F.col("component_id").alias("cls")), "doc"), "nodes")
+    linked = _linked(wide_pairs(nodes, FIRST, first=True), docs)
+    roots = classes_of_links(linked).select(F.col("node").alias("cls"), "root")
+    named = nodes.join(roots, "cls", "left").select("doc", "wide", F.coalesce("root", "cls").alias("cls"))
+    linked = linked.union(_linked(wide_pairs(named), docs))
     gone = classes_of_links(linked).filter("node <> root").select(F.col("node").alias("k"))
     keep = close.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("k"))
     keep = keep.join(gone, "k", "left_anti")
     kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["k"]), "left_semi")
     return kept.select("doc_id", "text", "lang", "source", "n_chars").dropDuplicates(["doc_id"])
+
+
+def _linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """(a, b): the classes of those pairs that are near copies."""
+    return written(near_copies(written(pairs, "pairs"), docs).select(F.col("ca").alias("a"), F.col("cb").alias("b")), "linked")

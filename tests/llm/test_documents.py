@@ -152,6 +152,24 @@ def test_simhash_stage_takes_near_copies(spark, empty):
     assert simhash.stage(spark, empty, "").collect() == []
 
 
+def test_tries_between_classes():
+    rng = np.random.default_rng(3)
+    fps = np.unique(rng.integers(0, 1 << 9, 200).astype(np.uint64) << np.uint64(40))
+    for cls in (rng.integers(0, 3, len(fps)), np.zeros(len(fps), np.int64), np.repeat([0, 1], [len(fps) - 5, 5])):
+        got = {(min(a, b), max(a, b)) for x, y in simhash.trie_pairs(fps, np.array([0]), np.array([len(fps)]), 2, cls) for a, b in zip(x.tolist(), y.tolist()) if cls[a] != cls[b]}
+        assert got == {(i, j) for i in range(len(fps)) for j in range(i + 1, len(fps)) if cls[i] != cls[j] and bin(int(fps[i] ^ fps[j])).count("1") <= 2}
+    one = list(simhash.trie_pairs(fps, np.array([0]), np.array([len(fps)]), 2, np.zeros(len(fps), np.int64)))
+    assert sum(len(x) for x, _ in one) == 0  # a range of one class is left out whole
+
+
+def test_chain_and_star():
+    fps = np.sort(np.array([0b111, 0b011, 0b101, 0b110], np.uint64))
+    fps = np.concatenate([fps, np.array([9], np.uint64), np.array([1, 1 << 63], np.uint64)])
+    a, b = simhash.chain_and_star(fps, np.array([0, 4, 5]), np.array([4, 5, 7]))
+    got = set(zip(a.tolist(), b.tolist()))
+    assert {(0, 1), (1, 2), (2, 3), (5, 6)} <= got and {(3, 0), (3, 1), (3, 2)} <= got and len(a) == 3 + 3 + 1 + 1
+
+
 def test_nearest_forest():
     r = np.random.default_rng(8)
     a, b, off = r.integers(0, 60, 900), r.integers(0, 60, 900), r.integers(0, 28, 900)
