@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from farfield.llm.classes import classes_of_links
-from farfield.llm.common import let_workers_import, slices, written
+from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, slices, written
 
 SHINGLE_WORDS = 3
 BUDGET = 2
@@ -370,21 +370,22 @@ def op3_simhash(docs: DataFrame) -> DataFrame:
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline: of each class the document with the least doc_id stays (of rows that repeat it, one). Linked are fingerprints
-    within BUDGET bits, and near copies that the wide fingerprints find."""
-    fps = written(fingerprints(docs, count=WIDE), "fingerprints")
-    close = written(_classes(fps.select("doc_id", "fp"), BUDGET, BLOCKS).select("doc_id", "component_id").distinct(), "close")
-    nodes = fps.filter("doc_id IS NOT NULL").groupBy("wide").agg(F.min("doc_id").alias("doc"))
-    nodes = written(nodes.join(close.select(F.col("doc_id").alias("doc"), F.col("component_id").alias("cls")), "doc"), "nodes")
-    linked = _linked(wide_pairs(nodes, FIRST, first=True), docs)
+    """Pipeline: of each class the row with the least doc_id stays, null last, and of rows that share it one. Linked are fingerprints
+    within BUDGET bits, and near copies that the wide fingerprints find. All goes by row ids, so equal or null doc_ids link nothing."""
+    rows = written(docs.select(*DOCUMENT_COLUMNS, F.monotonically_increasing_id().alias("rid")), "rows")
+    own = rows.select(F.col("rid").alias("doc_id"), "text")
+    fps = written(fingerprints(own, count=WIDE), "fingerprints")
+    close = written(_classes(fps.select("doc_id", "fp"), BUDGET, BLOCKS).select(F.col("doc_id").alias("doc"), F.col("component_id").alias("cls")), "close")
+    nodes = written(fps.groupBy("wide").agg(F.min("doc_id").alias("doc")).join(close, "doc"), "nodes")
+    linked = _linked(wide_pairs(nodes, FIRST, first=True), own)
     roots = classes_of_links(linked).select(F.col("node").alias("cls"), "root")
     named = nodes.join(roots, "cls", "left").select("doc", "wide", F.coalesce("root", "cls").alias("cls"))
-    linked = linked.union(_linked(wide_pairs(named), docs))
-    gone = classes_of_links(linked).filter("node <> root").select(F.col("node").alias("k"))
-    keep = close.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("k"))
-    keep = keep.join(gone, "k", "left_anti")
-    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["k"]), "left_semi")
-    return kept.select("doc_id", "text", "lang", "source", "n_chars").dropDuplicates(["doc_id"])
+    linked = linked.union(_linked(wide_pairs(named), own))
+    roots = classes_of_links(linked).select(F.col("node").alias("cls"), "root")
+    place = F.struct(F.col("doc_id").isNull().alias("null"), "doc_id", "rid")
+    least = rows.select("rid", "doc_id").join(close, F.col("rid") == F.col("doc")).groupBy("cls").agg(F.min(place).alias("least"))
+    keep = least.join(roots, "cls", "left").groupBy(F.coalesce("root", "cls").alias("root")).agg(F.min("least").alias("least")).select(F.col("least.rid").alias("rid"))
+    return rows.join(keep, "rid", "left_semi").select(*DOCUMENT_COLUMNS)
 
 
 def _linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:

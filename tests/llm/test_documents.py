@@ -152,6 +152,17 @@ def test_simhash_stage_takes_near_copies(spark, empty):
     assert simhash.stage(spark, empty, "").collect() == []
 
 
+def test_simhash_stage_keeps_null_and_shared_ids(spark):
+    """Ids link nothing: only texts do."""
+    texts = [prose(14, 700 + i) for i in range(12)]
+    rows = [(None, t) for t in texts[:4]] + [(7, t) for t in texts[4:8]] + [(i, t) for i, t in enumerate(texts[8:], 20)]
+    rows += [(None, texts[8]), (None, texts[0]), (7, texts[4]), (3, texts[5])]  # copies: the id stays that is least, null last
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = [(r["doc_id"], r["text"]) for r in simhash.stage(spark, docs.repartition(3), "").collect()]
+    want = [(None, t) for t in texts[:4]] + [(7, texts[4]), (3, texts[5]), (7, texts[6]), (7, texts[7])] + [(i, t) for i, t in enumerate(texts[8:], 20)]
+    assert sorted(got, key=repr) == sorted(want, key=repr)
+
+
 def test_tries_between_classes():
     rng = np.random.default_rng(3)
     fps = np.unique(rng.integers(0, 1 << 9, 200).astype(np.uint64) << np.uint64(40))
