@@ -14,10 +14,11 @@ the links leaves, so a class of n members makes at most n rows a group and never
 Two bits are too few for near copies: texts that share 0.8 of their five-word shingles differ in 4 to 13 of 64 bits. `wide_pairs`
 finds these, for the stage of the pipeline. It has WIDE fingerprints of a text, from the same shingles with other hashes. In a group
 agree the 21 bits of one third of one fingerprint, and its trie is followed with a budget of 14 bits; a pair has to hold on the first
-fingerprint too (28 of 128 bits). From a group leaves the forest of its nearest pairs, and the pairs' five-word shingles are compared in full.
-This is done twice. First each group of a few fingerprints gives a chain of neighbours and a star around its most typical member, which are
-as many pairs as members; what these comparisons link is one class for the second, full search, whose tries leave out ranges of one
-class and whose forests are of pairs between classes. So a class of very many different near copies isn't compared pair by pair.
+fingerprint too (28 of 128 bits), and the pairs' five-word shingles are compared in full. Pairs whose sizes and parities of shingles show that they
+are no near copies are left out. This is done three times. First each group of a few fingerprints gives a chain of neighbours and a star around its
+most typical member, then each group of all fingerprints the forest of its nearest pairs; what these comparisons link is one class in the next
+search. So a class of very many different near copies isn't compared pair by pair. Last come all pairs between classes that were not compared yet,
+as a pair of a forest can fail its comparison, and then what it joined has not been compared.
 
 Defined results: a null or empty text has fingerprint 0 and is linked like any other; fewer words than a shingle has
 are one shingle; a null doc_id takes part but never names a class that has another id; repeated rows each get a row;
@@ -27,7 +28,7 @@ an empty table gives an empty table; extra columns are not read.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import combinations
+from itertools import chain, combinations
 
 import numpy as np
 import pyarrow as pa
@@ -48,6 +49,8 @@ NEAR_WORDS, NEAR = 5, 0.8
 WIDE = 24
 THIRDS = 3
 WIDE_BUDGET, PAIR_BUDGET = 14, 28
+#: Longs of a shingle set's sketch.
+ODD = 2
 #: Fingerprints whose groups are searched first.
 FIRST = 4
 #: Node pairs that are followed down at once.
@@ -93,17 +96,22 @@ def fingerprint(text: str | None, words: int = SHINGLE_WORDS) -> int:
     return int(wide_fingerprint(text, words)[0])
 
 
-def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS, count: int = 1) -> DataFrame:
-    """(doc_id, fp, wide): fp as a signed long with the same bits, wide all `count` of them."""
+def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS, count: int = 1, sketch: bool = False) -> DataFrame:
+    """(doc_id, fp, wide): fp as a signed long with the same bits, wide all `count` of them. If sketch, also sketch: shingle_sketch of the text."""
     let_workers_import(docs.sparkSession)
 
+    def lists(x: np.ndarray) -> pa.ListArray:
+        return pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, x.shape[1], dtype=np.int32)), pa.array(x.ravel()))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
             fps = np.array([wide_fingerprint(t.as_py(), words, count) for t in batch.column(1)], np.uint64).reshape(-1, count).view(np.int64)
-            wide = pa.ListArray.from_arrays(pa.array(np.arange(0, fps.size + 1, count, dtype=np.int32)), pa.array(fps.ravel()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.ascontiguousarray(fps[:, 0])), wide], names=["doc_id", "fp", "wide"])
+            out = [batch.column(0), pa.array(np.ascontiguousarray(fps[:, 0])), lists(fps)]
+            if sketch:
+                out.append(lists(np.array([shingle_sketch(t.as_py()) for t in batch.column(1)], np.int64).reshape(-1, 1 + ODD)))
+            yield pa.RecordBatch.from_arrays(out, names=["doc_id", "fp", "wide", "sketch"][: len(out)])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long, wide array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long, wide array<long>" + sketch * ", sketch array<long>")
 
 
 def block_masks(budget: int = BUDGET, blocks: int = BLOCKS) -> list[int]:
@@ -227,12 +235,12 @@ def nearest_forest(n: int, a: np.ndarray, b: np.ndarray, off: np.ndarray) -> np.
 
 
 def _wide_pairs_of_groups(budget: int, pair_budget: int):
-    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray) -> pa.RecordBatch:
+    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray, *sketch: np.ndarray) -> pa.RecordBatch:
         new, end = _bounds(mask_no, key)
         many = end - new > 1
         held = [np.zeros(0, np.int64)] * 3
         for a, b in _member_pairs(fp, new[many], end[many], budget, cls):
-            off, near = _near(fp, other, cls, a, b, pair_budget)
+            off, near = _near(fp, other, cls, sketch, a, b, pair_budget)
             held = [np.concatenate([h, x[near]]) for h, x in zip(held, (a, b, off))]
             # All groups put pairs in the same order, by the same fingerprint and then by doc, so that they mostly choose the same.
             x, y = doc[held[0]], doc[held[1]]
@@ -245,15 +253,37 @@ def _wide_pairs_of_groups(budget: int, pair_budget: int):
     return lambda batches: _whole_groups(batches, of)
 
 
+def _every_pair_of_groups(budget: int, pair_budget: int):
+    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray, *sketch: np.ndarray) -> Iterator[pa.RecordBatch]:
+        new, end = _bounds(mask_no, key)
+        many = end - new > 1
+        for a, b in every_member_pair(fp, new[many], end[many], budget, cls):
+            near = _near(fp, other, cls, sketch, a, b, pair_budget)[1]
+            if near.any():
+                yield _pairs(doc, cls, a[near], b[near])
+
+    return lambda batches: chain.from_iterable(_whole_groups(batches, of))
+
+
 def _bounds(mask_no: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     new = np.flatnonzero(np.concatenate([[True], (mask_no[1:] != mask_no[:-1]) | (key[1:] != key[:-1])]))
     return new, np.append(new[1:], len(key))
 
 
-def _near(fp: np.ndarray, other: np.ndarray, cls: np.ndarray, a: np.ndarray, b: np.ndarray, pair_budget: int) -> tuple[np.ndarray, np.ndarray]:
-    """Bits in which the other fingerprints differ, and whether a pair is near and between classes."""
+def _near(fp: np.ndarray, other: np.ndarray, cls: np.ndarray, sketch: tuple[np.ndarray, ...], a: np.ndarray, b: np.ndarray, pair_budget: int) -> tuple[np.ndarray, np.ndarray]:
+    """Bits in which the other fingerprints differ, and whether a pair is near and between classes and can be one of near copies."""
     off = np.bitwise_count((other[a] ^ other[b]).view(np.uint64)).astype(np.int64)
-    return off, (np.bitwise_count(fp[a] ^ fp[b]) + off <= pair_budget) & (cls[a] != cls[b])
+    return off, (np.bitwise_count(fp[a] ^ fp[b]) + off <= pair_budget) & (cls[a] != cls[b]) & can_be_near(sketch, a, b)
+
+
+def can_be_near(sketch: tuple[np.ndarray, ...], a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """False only for pairs whose similarity is below NEAR for sure: the shingles that only one of two texts has are at least as
+    many as the bits in which the parities differ, and as the sizes do."""
+    size, *odd = sketch
+    lone = np.abs(size[a] - size[b])
+    if odd:
+        lone = np.maximum(lone, sum(np.bitwise_count((x[a] ^ x[b]).view(np.uint64)).astype(np.int64) for x in odd))
+    return lone * (1 + NEAR) <= (size[a] + size[b]) * (1 - NEAR) + 1e-6
 
 
 def _pairs(doc: np.ndarray, cls: np.ndarray, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
@@ -275,9 +305,9 @@ def chain_and_star(fp: np.ndarray, new: np.ndarray, end: np.ndarray) -> tuple[np
 
 
 def _first_pairs_of_groups(pair_budget: int):
-    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray) -> pa.RecordBatch:
+    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray, *sketch: np.ndarray) -> pa.RecordBatch:
         a, b = chain_and_star(fp, *_bounds(mask_no, key))
-        near = _near(fp, other, cls, a, b, pair_budget)[1]
+        near = _near(fp, other, cls, sketch, a, b, pair_budget)[1]
         return _pairs(doc, cls, a[near], b[near])
 
     return lambda batches: _whole_groups(batches, of)
@@ -297,6 +327,41 @@ def _member_pairs(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget:
         yield heads[a], heads[b]
 
 
+def every_member_pair(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int, cls: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """As trie_pairs, where members may share a fingerprint: all pairs of all members whose classes may differ, a bounded number at once."""
+    at = np.concatenate([np.arange(s, e) for s, e in zip(starts, ends)]) if len(starts) else np.zeros(0, np.int64)
+    if not len(at):
+        return
+    head = np.ones(len(at), bool)
+    head[1:] = (fp[at[1:]] != fp[at[:-1]]) | np.isin(at[1:], starts)
+    first = np.flatnonzero(head)
+    heads, n = at[first], np.diff(np.append(first, len(at)))
+    # members of a fingerprint are in one class, or else in none that a trie may leave out
+    one = np.minimum.reduceat(cls[at], first) == np.maximum.reduceat(cls[at], first)
+    _, of_class = np.unique(cls[heads], return_inverse=True)
+    of_class = np.where(one, of_class, -1 - np.arange(len(heads)))
+    lo = np.searchsorted(heads, starts)
+    mixed = np.flatnonzero(~one)
+    tries = trie_pairs(fp[heads], lo, np.append(lo[1:], len(heads)), budget, of_class)
+    for x, y in chain([(mixed, mixed)], tries):
+        for of, left in _repeated(n[x]):
+            a, yo = heads[x[of]] + left, y[of]
+            for of2, right in _repeated(n[yo]):
+                b = heads[yo[of2]] + right
+                ok = (a[of2] < b) & (cls[a[of2]] != cls[b])
+                yield a[of2][ok], b[ok]
+
+
+def _repeated(n: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(k, j) for each k and 0 <= j < n[k], in parts of FRONT or the largest n."""
+    done, sums = 0, np.cumsum(n)
+    while done < len(n):
+        upto = max(done + 1, int(np.searchsorted(sums, (sums[done - 1] if done else 0) + FRONT, side="right")))
+        k = np.repeat(np.arange(done, upto), n[done:upto])
+        yield k, np.arange(len(k)) - np.repeat(np.cumsum(n[done:upto]) - n[done:upto], n[done:upto])
+        done = upto
+
+
 def links(reps: DataFrame, budget: int = BUDGET, blocks: int = BLOCKS) -> DataFrame:
     """(a, b): links among the distinct fingerprints in reps.fp that leave the same classes as all of them."""
     let_workers_import(reps.sparkSession)
@@ -308,19 +373,20 @@ def links(reps: DataFrame, budget: int = BUDGET, blocks: int = BLOCKS) -> DataFr
     return groups.repartition("m", "key").sortWithinPartitions("m", "key", "o").select("m", "key", "fp").mapInArrow(_links_of_groups(budget), "a long, b long")
 
 
-def wide_pairs(nodes: DataFrame, count: int = WIDE, first: bool = False) -> DataFrame:
-    """(a, b, ca, cb), a < b: pairs of nodes.doc whose wide fingerprints are near and whose nodes.cls differ, with these; in forests that keep
-    each class of near copies together. If first, the chains and stars of the groups."""
+def wide_pairs(nodes: DataFrame, count: int = WIDE, first: bool = False, every: bool = False) -> DataFrame:
+    """(a, b, ca, cb), a < b: pairs of nodes.doc whose wide fingerprints are near and whose nodes.cls differ, with these; a forest of
+    each group, which can leave out near copies. If first, the chains and stars of the groups; if every, all pairs."""
     let_workers_import(nodes.sparkSession)
     choices = F.array(*(
         F.struct(F.lit(THIRDS * k + j).alias("m"), F.get("wide", F.lit(k)).alias("fp"), F.get("wide", F.lit(int(k == 0))).alias("other"))
         for k in range(count) for j in range(THIRDS)
     ))
-    rows = nodes.select("doc", "cls", F.explode(choices).alias("g")).select("g.m", "g.fp", "g.other", "doc", "cls")
+    sketch = [F.get("sketch", F.lit(k)).alias(f"s{k}") for k in range(1 + ODD)]
+    rows = nodes.select("doc", "cls", "sketch", F.explode(choices).alias("g")).select("g.m", "g.fp", "g.other", "doc", "cls", *sketch)
     # What follows from m and fp is computed on both sides of the shuffle, not carried through it.
     key, order = F.expr(f"fp & shiftleft(2097151L, 21 * (m % {THIRDS}))"), F.expr("fp ^ (-9223372036854775807L - 1)")
-    sorted_ = rows.repartition("m", key).sortWithinPartitions("m", key, order).select("m", key.alias("key"), "fp", "other", "doc", "cls")
-    of_groups = _first_pairs_of_groups(PAIR_BUDGET) if first else _wide_pairs_of_groups(WIDE_BUDGET, PAIR_BUDGET)
+    sorted_ = rows.repartition("m", key).sortWithinPartitions("m", key, order).select("m", key.alias("key"), "fp", "other", "doc", "cls", *(f"s{k}" for k in range(1 + ODD)))
+    of_groups = _first_pairs_of_groups(PAIR_BUDGET) if first else (_every_pair_of_groups if every else _wide_pairs_of_groups)(WIDE_BUDGET, PAIR_BUDGET)
     return sorted_.mapInArrow(of_groups, "a long, b long, ca long, cb long").distinct()
 
 
@@ -329,6 +395,13 @@ def shingle_set(text: str | None, words: int = NEAR_WORDS) -> set[int]:
     return {xxhash.xxh64_intdigest(b" ".join(w[k : k + words]), SEED) for k in range(max(1, len(w) - words + 1))} if w else set()
 
 
+def shingle_sketch(text: str | None) -> list[int]:
+    """The number of a text's five-word shingles, and 64 * ODD bits: how many of them fall to each, odd or even."""
+    own = shingle_set(text)
+    n = np.bincount(np.fromiter(own, np.uint64, len(own)).astype(np.int64) & (64 * ODD - 1), minlength=64 * ODD)
+    return [len(own), *np.packbits((n & 1).astype(np.uint8)).view(np.int64).tolist()]
+
+
 def similarity(a: str | None, b: str | None) -> float:
     """Jaccard similarity of the five-word shingles; that of two texts without words is 1."""
     x, y = shingle_set(a), shingle_set(b)
@@ -374,14 +447,18 @@ def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     within BUDGET bits, and near copies that the wide fingerprints find. All goes by row ids, so equal or null doc_ids link nothing."""
     rows = written(docs.select(*DOCUMENT_COLUMNS, F.monotonically_increasing_id().alias("rid")), "rows")
     own = rows.select(F.col("rid").alias("doc_id"), "text")
-    fps = written(fingerprints(own, count=WIDE), "fingerprints")
+    fps = written(fingerprints(own, count=WIDE, sketch=True), "fingerprints")
     close = written(_classes(fps.select("doc_id", "fp"), BUDGET, BLOCKS).select(F.col("doc_id").alias("doc"), F.col("component_id").alias("cls")), "close")
-    nodes = written(fps.groupBy("wide").agg(F.min("doc_id").alias("doc")).join(close, "doc"), "nodes")
-    linked = _linked(wide_pairs(nodes, FIRST, first=True), own)
-    roots = classes_of_links(linked).select(F.col("node").alias("cls"), "root")
-    named = nodes.join(roots, "cls", "left").select("doc", "wide", F.coalesce("root", "cls").alias("cls"))
-    linked = linked.union(_linked(wide_pairs(named), own))
-    roots = classes_of_links(linked).select(F.col("node").alias("cls"), "root")
+    nodes = written(fps.groupBy("wide", "sketch").agg(F.min("doc_id").alias("doc")).join(close, "doc"), "nodes")
+    pairs = linked = roots = None
+    for kind in ({"count": FIRST, "first": True}, {}, {"every": True}):
+        named = nodes if roots is None else nodes.join(roots, "cls", "left").select("doc", "wide", "sketch", F.coalesce("root", "cls").alias("cls"))
+        new = wide_pairs(named, **kind)
+        # what was compared and is still between classes was refuted
+        new = written(new if pairs is None else new.join(pairs.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
+        near = _linked(new, own)
+        pairs, linked = (new, near) if pairs is None else (pairs.union(new), linked.union(near))
+        roots = classes_of_links(linked).select(F.col("node").alias("cls"), "root")
     place = F.struct(F.col("doc_id").isNull().alias("null"), "doc_id", "rid")
     least = rows.select("rid", "doc_id").join(close, F.col("rid") == F.col("doc")).groupBy("cls").agg(F.min(place).alias("least"))
     keep = least.join(roots, "cls", "left").groupBy(F.coalesce("root", "cls").alias("root")).agg(F.min("least").alias("least")).select(F.col("least.rid").alias("rid"))
@@ -390,4 +467,4 @@ def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def _linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     """(a, b): the classes of those pairs that are near copies."""
-    return written(near_copies(written(pairs, "pairs"), docs).select(F.col("ca").alias("a"), F.col("cb").alias("b")), "linked")
+    return written(near_copies(pairs, docs).select(F.col("ca").alias("a"), F.col("cb").alias("b")), "linked")

@@ -163,6 +163,41 @@ def test_simhash_stage_keeps_null_and_shared_ids(spark):
     assert sorted(got, key=repr) == sorted(want, key=repr)
 
 
+def test_simhash_stage_compares_what_a_failed_pair_joins(spark, monkeypatch):
+    """X and Y are near copies, and by fingerprint Z lies between them but is another text."""
+    x = prose(20, 800)
+    texts = [x, prose(20, 801), edited(x, 120, 1)]
+    assert simhash.similarity(x, texts[2]) >= 0.8 > simhash.similarity(x, texts[1])
+    r = random.Random(6)
+    wide = {t: [v, v, *(r.getrandbits(63) for _ in range(simhash.WIDE - 2))] for t, v in zip(texts, (0, 0xF, 0xFF))}
+    table = spark.createDataFrame([(t, w[0], w, [100, 0, 0]) for t, w in wide.items()], "text string, fp long, wide array<long>, sketch array<long>")
+    monkeypatch.setattr(simhash, "fingerprints", lambda docs, **kw: docs.select("doc_id", "text").join(table, "text").drop("text"))
+    docs = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r["doc_id"] for r in simhash.stage(spark, docs, "").collect()) == [0, 1]
+
+
+def test_every_member_pair(monkeypatch):
+    rng = np.random.default_rng(4)
+    for front in (5, 1 << 20):
+        monkeypatch.setattr(simhash, "FRONT", front)
+        fps = np.sort(rng.integers(0, 40, 90).astype(np.uint64) << np.uint64(30))
+        for cls in (rng.integers(0, 3, 90), np.arange(90), np.zeros(90, np.int64)):
+            pairs = simhash.every_member_pair(fps, np.array([0, 50]), np.array([50, 90]), 2, cls)
+            got = [(min(a, b), max(a, b)) for x, y in pairs for a, b in zip(x.tolist(), y.tolist())]
+            want = {(i, j) for i in range(90) for j in range(i + 1, 90) if (i < 50) == (j < 50) and cls[i] != cls[j] and int(fps[i] ^ fps[j]).bit_count() <= 2}
+            assert set(got) == want and len(got) == len(want)
+
+
+def test_sketch_refuses_no_near_copy():
+    bases = [prose(2 + 3 * i, 900 + i) for i in range(12)]
+    texts = bases + [edited(x, k, k) for x in bases for k in (20, 40, 60, 90)] + ["", "one", "one two"]
+    sketch = tuple(np.array([simhash.shingle_sketch(t) for t in texts]).T)
+    a, b = np.triu_indices(len(texts), 1)
+    near = np.array([simhash.similarity(texts[i], texts[j]) >= simhash.NEAR for i, j in zip(a, b)])
+    can = simhash.can_be_near(sketch, a, b)
+    assert can[near].all() and near.sum() > 10 and (~can).sum() > len(a) // 2
+
+
 def test_tries_between_classes():
     rng = np.random.default_rng(3)
     fps = np.unique(rng.integers(0, 1 << 9, 200).astype(np.uint64) << np.uint64(40))
