@@ -2,7 +2,7 @@
 
 1. A character model: trigrams within words, counted over all documents. Letters fall into 48 classes (a to z, others
    by code point, everything else a boundary), so the table has at most 48^3 counts however large the corpus is.
-2. Restoring: places where letters touch symbols, where a letter comes three times or more, or where single characters are
+2. Restoring: places where letters touch symbols, where a letter is repeated, or where single characters are
    spaced out become lattices. A symbol can stand for a letter, for itself or for nothing, a repeated letter can go, a
    spacer can be a space or nothing. Viterbi decoding takes the likeliest path under channel costs plus the character
    model. All other text has a lattice of one path: itself.
@@ -55,8 +55,10 @@ STAND_IN, ITSELF, ITSELF_BEFORE_LETTER, SYMBOL_GONE, SPACER_GONE, SPACER_STAYS,
 STRETCH = 512
 
 _LETTER, _SYMBOL, _SPACER = r"[^\W\d_]", "[" + re.escape("".join(STANDS_FOR)) + "]", "[" + re.escape(SPACERS) + "]"
+_ONE = f"(?:{_LETTER}|{_SYMBOL})"
+#: Spaced characters, which may stand in quotes and before punctuation; symbols between, before and behind letters; repeated letters.
 _NOISE = re.compile(
-    rf"(?<!\S)(?:{_LETTER}|{_SYMBOL})(?:{_SPACER}(?:{_LETTER}|{_SYMBOL})){{2,}}(?!\S)|{_LETTER}[{re.escape(''.join(STANDS_FOR) + SPACERS[1:])}]+{_LETTER}|({_LETTER})\1\1|(?<!\S){_SYMBOL}{_LETTER}{{2}}|{_LETTER}{{2}}[@$013]{{1,2}}(?![^\s.,;:!?])"
+    rf"(?<![^\W_]){_ONE}(?:{_SPACER}{{1,3}}{_ONE}){{2,}}(?![^\W_])|{_LETTER}[{re.escape(''.join(STANDS_FOR) + SPACERS[1:])}]+{_LETTER}|(?P<double>({_LETTER})\2)|(?<!\S){_SYMBOL}{_LETTER}{{2}}|[0-9@$€£¡§|+]{_LETTER}|{_LETTER}[0-9@$€£§|]"
 )
 _FACTORS, _TERMS = (np.random.default_rng(k).integers(1, 1 << 61, BANDS * _PER_BAND, dtype=np.uint64) for k in (7, 8))
 _FACTORS |= np.uint64(1)
@@ -188,7 +190,8 @@ class Restorer:
                         self.known.clear()
                     self.known[noisy] = clean
             out += [s[done:a], clean]
-            done, places = b, places + 1
+            # most doubled letters are meant
+            done, places = b, places + (m["double"] is None or clean != noisy)
         return "".join([*out, s[done:]]), places
 
 

@@ -82,6 +82,18 @@ def test_toxicity_learns_and_restores(spark):
     assert got[1000]["n_restored"] > 0 and got[1003]["n_restored"] == 0
 
 
+def test_toxicity_restores_short_words():
+    """Words too short for beginnings to save them: spaced before punctuation and in quotes, with runs of spacers, symbols at the ends, one letter doubled."""
+    texts = ["the idiot and the arse met a rat at the old inn near here " * 40, "\n".join(prose(30, k) for k in range(3))]
+    restorer = toxicity.Restorer(toxicity.log_model(toxicity.trigram_counts(iter(texts))))
+    for noisy in ("i d i o t.", "i d i o t,", '"i d i o t"', "(i d i o t)!", "i  d  i  o  t", "i - d - i - o - t", "idiiot", "1d1ot", "id10t"):
+        restored, places = restorer.restore(f"you {noisy} you")
+        assert "idiot" in toxicity.words_of(restored) and places == 1, (noisy, restored)
+    for noisy in ("4r53", "4rse", "ar53"):
+        assert "arse" in toxicity.words_of(restorer.restore(f"you {noisy}. you")[0]), noisy
+    assert restorer.restore("met at the inn!") == ("met at the inn!", 0)
+
+
 def test_line_dedup_brute_force(spark):
     lines = [" ".join(random.Random(i).choices(WORDS, k=5)) for i in range(8)] + [""]
     docs = [(i, "\n".join(random.Random(100 + i).choices(lines, k=random.Random(i).randint(0, 90)))) for i in range(40)]
