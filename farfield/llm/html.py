@@ -1,9 +1,10 @@
 """Main text of web pages from flat text blocks.
 
 A page is cut into blocks at block-level tags; inline tags, comments, scripts and styles leave no text. Each block has its
-number of words and its link density, those of its neighbours, and what it stands in: an element or class that pages use for
-menus, notices and the like, and an article or main element (or that the page has one elsewhere). A decision tree, grown on the
-labelled table below, says which blocks are main text; these are joined by a line feed.
+number of words and its link density, and those of its neighbours. A decision tree, grown on the small labelled table below, says which blocks are
+main text; these are joined by a line feed. It cuts by words and links as long as such a cut tells enough; what they leave mixed (a paragraph of
+a notice looks like one of the article) it cuts by two marks of structure: whether the block stands in an element or class that pages use for
+menus, notices and the like, and whether in an article or main element.
 
 Defined results: null and empty html give an empty text; what is no closed tag, entity or comment is taken as far as it goes; repeated
 rows each get a row; an empty table gives an empty table; extra columns are not read.
@@ -38,36 +39,50 @@ _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^
 _NAMED = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _SPLIT = re.compile(r"[\s_-]+|(?<=[a-z])(?=[A-Z])")
 
-#: place: 0 in something that pages use for menus and the like, 1 outside the page's article, 2 on a page without article, 3 in an article.
-FEATURES = ("place", "words", "links", "words_before", "links_before", "words_after", "links_after")
-
-#: chrome, scope (2 in an article or main element, 1 outside though the page has one, 0 the page has none), words, share of
-#: words in links, the same two of the block before and after, and whether it is main text.
-LABELLED = (
-    (0, 2, 12, 0.0, 9, 0.0, 80, 0.0, 1), (0, 2, 120, 0.0, 12, 0.0, 60, 0.0, 1), (0, 2, 1, 0.0, 40, 0.0, 0, 0.0, 1),
-    (0, 2, 2, 0.0, 0, 0.0, 0, 0.0, 1), (0, 2, 6, 1.0, 30, 0.0, 45, 0.0, 1), (0, 2, 40, 0.2, 1, 0.0, 9, 1.0, 1),
-    (0, 2, 300, 0.05, 90, 0.1, 2, 0.0, 1), (0, 2, 3, 0.4, 8, 1.0, 70, 0.0, 1), (0, 2, 15, 0.0, 5, 1.0, 7, 1.0, 1),
-    (0, 1, 1, 1.0, 1, 1.0, 1, 1.0, 0), (0, 1, 9, 0.0, 1, 1.0, 12, 0.0, 0), (0, 1, 60, 0.0, 90, 0.0, 0, 0.0, 0),
-    (0, 1, 14, 0.0, 200, 0.0, 0, 0.0, 0), (0, 1, 35, 0.6, 20, 0.5, 10, 1.0, 0), (0, 1, 4, 0.0, 0, 0.0, 1, 1.0, 0),
-    (1, 2, 80, 0.0, 60, 0.0, 90, 0.0, 0), (1, 2, 8, 0.0, 120, 0.0, 30, 0.0, 0), (1, 2, 3, 1.0, 50, 0.0, 4, 1.0, 0),
-    (1, 1, 1, 1.0, 0, 0.0, 1, 1.0, 0), (1, 1, 70, 0.0, 45, 0.0, 50, 0.0, 0), (1, 1, 12, 0.0, 150, 0.0, 0, 0.0, 0),
-    (1, 0, 90, 0.0, 110, 0.0, 80, 0.0, 0), (1, 0, 2, 1.0, 2, 1.0, 2, 1.0, 0), (1, 0, 25, 0.0, 30, 0.0, 30, 0.0, 0),
-    (0, 0, 90, 0.0, 60, 0.0, 75, 0.0, 1), (0, 0, 45, 0.1, 3, 1.0, 70, 0.0, 1), (0, 0, 25, 0.0, 80, 0.0, 6, 0.5, 1),
-    (0, 0, 18, 0.0, 4, 0.0, 60, 0.0, 1), (0, 0, 9, 0.0, 70, 0.0, 90, 0.0, 1), (0, 0, 6, 0.0, 40, 0.1, 55, 0.0, 1),
-    (0, 0, 7, 0.0, 2, 1.0, 65, 0.0, 1), (0, 0, 10, 0.0, 55, 0.0, 12, 0.0, 1), (0, 0, 130, 0.25, 20, 0.0, 30, 0.3, 1),
-    (0, 0, 45, 0.0, 60, 0.0, 1, 1.0, 1), (0, 0, 22, 0.0, 90, 0.0, 2, 1.0, 1), (0, 0, 35, 0.0, 1, 1.0, 2, 1.0, 1),
-    (0, 0, 16, 0.0, 40, 0.0, 1, 1.0, 1), (0, 0, 80, 0.1, 2, 1.0, 3, 1.0, 1), (0, 0, 19, 0.0, 3, 1.0, 50, 0.0, 1),
-    (0, 0, 60, 0.0, 75, 0.0, 0, 0.0, 1), (0, 0, 25, 0.0, 50, 0.0, 0, 0.0, 1), (0, 0, 110, 0.05, 1, 1.0, 0, 0.0, 1),
-    (0, 0, 1, 1.0, 1, 1.0, 1, 1.0, 0), (0, 0, 3, 1.0, 40, 0.0, 2, 1.0, 0), (0, 0, 12, 0.8, 9, 0.9, 5, 1.0, 0),
-    (0, 0, 5, 0.0, 3, 1.0, 4, 1.0, 0), (0, 0, 30, 0.7, 10, 0.6, 12, 0.8, 0), (0, 0, 2, 0.0, 1, 1.0, 1, 1.0, 0),
-    (0, 0, 8, 0.0, 6, 1.0, 0, 0.0, 0), (0, 0, 60, 0.9, 1, 1.0, 3, 1.0, 0), (0, 0, 4, 0.5, 2, 0.0, 2, 0.0, 0),
+#: Of the block and its neighbours: words and the share of them in links. Then two marks of structure: named, it stands in an element or class that pages
+#: use for menus, notices and the like; scope, 1 in an article or main element, -1 outside though the page has one, 0 if it has none.
+FEATURES = ("words", "links", "words_before", "links_before", "words_after", "links_after", "named", "scope")
+SHALLOW = 6
+#: A cut by words or links leaves so many rows on both sides; a mark of structure cuts only if it removes more than MARKS times the impurity that such a cut does.
+LEAST = 8
+MARKS = 5.0
+
+#: Words of the blocks of some of the given pages: so many one-word links, an advert, the article, a footer.
+GIVEN = (
+    (6, 8, (7, 7, 22, 33, 30, 45, 5, 31, 1, 94, 11, 56, 76, 46), 8), (6, 5, (11, 14, 32, 42, 9, 31, 34, 210, 4, 20, 222, 242, 12, 2, 19, 13, 6, 9), 11),
+    (5, 8, (14, 35, 17, 49, 143), 11), (6, 8, (11, 41, 17, 18, 70, 83, 17), 14), (6, 11, (2, 2, 32, 17, 12, 6, 26, 102, 83, 11, 74, 5, 4), 12), (6, 4, (11, 23, 58), 15),
+    (4, 12, (8, 8, 17, 33, 29, 15, 53, 10, 33, 94, 64, 21, 66, 40, 16, 22, 8, 45, 62, 62, 12), 9), (6, 8, (6, 13, 68, 92, 98, 26, 8, 11, 49, 61, 1, 1, 48), 11),
+)
+#: More labelled pages, each a run of blocks: words, share of words in links, named, scope, and whether it is main text. Neighbours follow from the order.
+LABELLED = tuple(((1, 1, 1, -1, 0),) * n + ((ad, 0, 1, -1, 0), *((w, 0, 0, 1, 1) for w in words), (end, 0, 1, -1, 0)) for n, ad, words, end in GIVEN) + (
+    ((1, 1, 1, -1, 0),) * 5 + ((7, 0, 1, -1, 0), (12, 0, 0, 1, 1), (45, 0, 0, 1, 1), (2, 0, 0, 1, 1), (88, 0, 0, 1, 1), (30, 0, 0, 1, 1), (9, 0, 1, -1, 0)),
+    ((1, 1, 1, -1, 0),) * 6 + ((21, 0, 1, -1, 0), (11, 0, 0, 1, 1), (160, 0, 0, 1, 1), (3, 0, 0, 1, 1), (1, 0, 0, 1, 1), (5, 0, 0, 1, 1), (14, 0, 1, -1, 0)),
+    ((1, 1, 1, -1, 0),) * 4 + ((3, 0, 1, -1, 0), (9, 0, 0, 1, 1), (4, 0, 0, 1, 1), (6, 0, 1, -1, 0)),
+    ((2, 1, 1, -1, 0),) * 3 + ((8, 0, 0, 1, 1), (60, 0.1, 0, 1, 1), (6, 1, 0, 1, 1), (75, 0, 0, 1, 1), (3, 0, 0, 1, 1), (4, 0, 0, 1, 1), (2, 1, 1, -1, 0), (1, 1, 1, -1, 0)),
+    ((6, 0, 0, -1, 0), (1, 1, 0, -1, 0), (1, 1, 0, -1, 0), (10, 0, 0, 1, 1), (70, 0, 0, 1, 1), (40, 0.2, 0, 1, 1), (4, 1, 0, 1, 0), (5, 1, 0, 1, 0), (3, 1, 0, 1, 0), (5, 1, 0, 1, 0), (4, 0, 0, -1, 0)),
+    ((1, 1, 0, -1, 0),) * 3 + ((9, 0, 0, -1, 0), (10, 0, 0, 1, 1), (34, 0, 0, 1, 1), (60, 0, 0, 1, 1), (8, 0, 0, -1, 0)),
+    ((2, 1, 0, -1, 0),) * 4 + ((31, 0, 0, -1, 0), (8, 0, 0, 1, 1), (4, 0, 0, 1, 1), (15, 0, 0, 1, 1), (27, 0, 0, 1, 1)),
+    ((1, 1, 0, -1, 0),) * 2 + ((14, 0, 0, -1, 0), (50, 0, 0, 1, 1), (90, 0, 0, 1, 1), (18, 0, 0, -1, 0)),
+    ((1, 1, 1, -1, 0),) * 4 + ((8, 0, 1, -1, 0), (9, 0, 0, 1, 1), (41, 0, 0, 1, 1), (12, 0, 0, 1, 1), (33, 0, 0, 1, 1)),
+    ((1, 1, 1, -1, 0),) * 4 + ((11, 0, 0, 1, 1), (52, 0, 0, 1, 1), (16, 0, 0, 1, 1), (9, 0, 0, 1, 1)),
+    ((1, 1, 0, 0, 0),) * 5 + ((8, 0, 0, 0, 0), (11, 0, 0, 0, 1), (44, 0, 0, 0, 1), (70, 0, 0, 0, 1), (28, 0, 0, 0, 1), (9, 0, 0, 0, 0)),
+    ((1, 1, 0, 0, 0),) * 4 + ((12, 0, 0, 0, 0), (35, 0, 0, 0, 1), (66, 0, 0, 0, 1), (51, 0, 0, 0, 1), (13, 0, 0, 0, 0)),
+    ((12, 0, 0, 1, 1), (55, 0, 0, 1, 1), (5, 0, 1, 1, 0), (65, 0, 0, 1, 1), (1, 1, 1, 1, 0), (1, 1, 1, 1, 0), (14, 0, 1, 1, 0), (80, 0.05, 0, 1, 1), (20, 0, 1, 1, 0), (35, 0, 1, 1, 0), (28, 0, 1, 1, 0)),
+    ((1, 1, 0, 0, 0), (2, 1, 0, 0, 0), (1, 1, 0, 0, 0), (8, 0, 0, 0, 1), (60, 0, 0, 0, 1), (45, 0.1, 0, 0, 1), (25, 0, 0, 0, 1), (90, 0, 0, 0, 1), (3, 1, 0, 0, 0), (2, 1, 0, 0, 0), (5, 0, 0, 0, 0)),
+    ((25, 0, 1, 0, 0), (2, 1, 1, 0, 0), (1, 1, 1, 0, 0), (7, 0, 0, 0, 1), (60, 0.05, 0, 0, 1), (70, 0, 0, 0, 1), (110, 0, 0, 0, 1), (30, 0, 1, 0, 0), (28, 0, 1, 0, 0), (40, 0, 1, 0, 0), (12, 0, 1, 0, 0)),
+    ((4, 1, 1, -1, 0), (25, 0, 1, -1, 0), (6, 0, 0, -1, 0), (9, 0, 0, 1, 1), (50, 0, 0, 1, 1), (70, 0, 0, 1, 1), (45, 0, 0, -1, 0), (40, 0, 1, -1, 0), (60, 0, 1, -1, 0), (35, 0, 0, -1, 0)),
+    ((10, 0, 0, 0, 1), (50, 0, 0, 0, 1), (5, 0, 0, 0, 1), (7, 0, 0, 0, 1), (9, 0, 0, 0, 1), (65, 0, 0, 0, 1), (30, 0.2, 0, 0, 1)),
+    ((1, 0, 0, 1, 1),), ((1, 0, 0, 1, 1), (1, 0, 0, 1, 1), (1, 0, 0, 1, 1)), ((40, 0, 0, 1, 1), (2, 0, 0, 1, 1)), ((60, 0, 0, 0, 1),), ((4, 0.5, 0, 1, 1),),
+    ((1, 1, 1, -1, 0), (1, 0, 0, 1, 1), (9, 0, 1, -1, 0)), ((60, 0, 0, 0, 1), (45, 0, 0, 0, 1), (1, 1, 0, 0, 0)), ((1, 1, 0, 0, 0), (2, 1, 0, 0, 0), (60, 0, 0, 0, 1), (45, 0, 0, 0, 1), (1, 1, 0, 0, 0)),
+    ((3, 1, 0, 0, 0), (12, 0.8, 0, 0, 0), (9, 0.9, 0, 0, 0), (30, 0.7, 0, 0, 0), (10, 0.6, 0, 0, 0), (4, 0.5, 0, 0, 0)),
+    ((2, 0, 1, -1, 0), (3, 1, 1, -1, 0), (13, 0, 1, -1, 0), (5, 0, 0, 1, 1), (12, 0, 0, 1, 1), (1, 0, 0, 1, 1), (3, 0, 0, 1, 1), (2, 0, 1, 1, 0), (2, 0, 1, 1, 0), (8, 0, 0, 1, 1), (2, 0, 1, 1, 0), (13, 0, 1, -1, 0), (2, 0, 1, -1, 0)),
 )
 
 
 class Tree:
-    """A decision tree by Gini impurity."""
+    """A decision tree by Gini impurity, words and links first."""
 
-    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 6):
+    def __init__(self, x: np.ndarray, y: np.ndarray, depth: int = 10):
         self.value = float(y.mean()) if len(y) else 0.0
         self.feature = -1
         if depth == 0 or len(set(y.tolist())) < 2:
@@ -78,7 +93,9 @@ class Tree:
             at = np.unique(x[:, f])
             for cut in (at[1:] + at[:-1]) / 2:
                 left = x[:, f] <= cut
-                gain = gini(y) - gini(y[left]) - gini(y[~left])
+                if f < SHALLOW and not LEAST <= left.sum() <= len(y) - LEAST:
+                    continue
+                gain = (gini(y) - gini(y[left]) - gini(y[~left])) / (1 if f < SHALLOW else MARKS)
                 if gain > best[0] + 1e-12:
                     best = (gain, f, float(cut))
         _, self.feature, self.cut = best
@@ -95,16 +112,18 @@ class Tree:
         return out
 
 
-@lru_cache(1)
-def trained() -> Tree:
-    # inside an article, blocks like those that are judged by their looks elsewhere are all main text
-    inside = tuple((0, 2, *r[2:-1], 1) for r in LABELLED if r[:2] == (0, 0))
-    rows = np.array(LABELLED + inside, float)
-    return Tree(np.column_stack([_place(rows[:, 0], rows[:, 1]), rows[:, 2:-1]]), rows[:, -1])
+def with_neighbours(words: np.ndarray, links: np.ndarray, named: np.ndarray, scope: np.ndarray) -> np.ndarray:
+    """The features of a page's blocks in order; there is nothing before the first and after the last."""
+    x = np.zeros((len(words), len(FEATURES)))
+    x[:, 0], x[:, 1], x[:, SHALLOW], x[:, SHALLOW + 1] = words, links, named, scope
+    x[1:, 2:4], x[:-1, 4:6] = x[:-1, :2], x[1:, :2]
+    return x
 
 
-def _place(chrome: np.ndarray, scope: np.ndarray) -> np.ndarray:
-    return np.where(chrome > 0, 0, np.array([2, 1, 3])[scope.astype(int)])
+@lru_cache(1)
+def trained() -> Tree:
+    pages = [np.array(p, float).T for p in LABELLED]
+    return Tree(np.concatenate([with_neighbours(*p[:4]) for p in pages]), np.concatenate([p[4] for p in pages]))
 
 
 def _is_chrome(name: str, attributes: str, in_article: bool) -> bool:
@@ -201,13 +220,9 @@ def blocks_of(html: str) -> list[tuple[str, int, int, int, int]]:
 
 
 def features(blocks: list[tuple[str, int, int, int, int]]) -> np.ndarray:
-    n = len(blocks)
-    x = np.zeros((n, len(FEATURES)))
-    chrome, article, words, linked = (np.array([b[k] for b in blocks], float) for k in (1, 2, 3, 4))
-    scope = np.where(article > 0, 2, 1 if (article > 0).any() else 0)
-    x[:, 0], x[:, 1], x[:, 2] = _place(chrome, scope), words, np.minimum(linked / np.maximum(words, 1), 1)
-    x[1:, 3:5], x[:-1, 5:7] = x[:-1, 1:3], x[1:, 1:3]
-    return x
+    named, article, words, linked = (np.array([b[k] for b in blocks], float) for k in (1, 2, 3, 4))
+    scope = np.where(article > 0, 1, -1 if (article > 0).any() else 0)
+    return with_neighbours(words, np.minimum(linked / np.maximum(words, 1), 1), named, scope)
 
 
 def main_text(html: str | None) -> str:

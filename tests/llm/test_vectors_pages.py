@@ -92,6 +92,47 @@ def test_page_without_article():
     assert html.main_text(p) == ("word " * 60).strip() + "\n" + ("more " * 45).strip()
 
 
+def _given(n, ad=9, last=True):
+    """A page as the given table has them, without any mark of structure, and its article."""
+    r = np.random.default_rng(n)
+    words = lambda k: " ".join(f"w{x}" for x in r.integers(0, 99, k))
+    article = [words(8), *(words(int(k)) for k in r.integers(35, 90, 6))]
+    blocks = [f'<li><a href="/{k}">link</a></li>' for k in range(6)] + [f"<div>{words(ad)}</div>"] + [f"<p>{x}</p>" for x in article] + ([f"<div>{words(10)}</div>"] if last else [])
+    return "".join(blocks), article
+
+
+def test_words_and_links_decide():
+    # no element, class or article says anything: menu, advert and footer go by the words and links of blocks and neighbours
+    for n in range(8):
+        page, article = _given(n)
+        assert html.main_text(page) == "\n".join(article)
+    root = html.trained()
+    assert root.feature == html.FEATURES.index("links") and root.low.feature == html.FEATURES.index("links_before")
+    x = html.features(html.blocks_of(PAGE))
+    changed = x.copy()
+    changed[:, : html.SHALLOW] = x[::-1, : html.SHALLOW]
+    assert (root.predict(changed) != root.predict(x)).any()
+
+
+def test_tree_brute_force():
+    """Each row of the labelled table falls to a leaf whose value is the mean of the rows that fall there."""
+    pages = [np.array(p, float).T for p in html.LABELLED]
+    x, y = np.concatenate([html.with_neighbours(*p[:4]) for p in pages]), np.concatenate([p[4] for p in pages])
+
+    def leaf(node, row, path=""):
+        while node.feature >= 0:
+            side = row[node.feature] <= node.cut
+            node, path = (node.low, path + "l") if side else (node.high, path + "h")
+        return path, node.value
+
+    leaves = [leaf(html.trained(), row) for row in x]
+    for at in {p for p, _ in leaves}:
+        own = [y[k] for k, (p, _) in enumerate(leaves) if p == at]
+        assert {v for p, v in leaves if p == at} == {float(np.mean(own))}
+    assert np.array_equal(html.trained().predict(x), [v for _, v in leaves])
+    assert ((html.trained().predict(x) >= 0.5) == y).mean() > 0.98
+
+
 def test_odd_pages(spark):
     rows = [(1, "u", None), (2, None, ""), (3, "u", "<p>unclosed <b"), (4, "u", "<!-- only"), (5, "u", "<article><p>x</article>" * 3), (6, "u", "<div>" * 5000 + "deep"), (7, "u", "<" * 5000), (8, "u", '<article><a href="x>y</a> tail</article>'), (None, "u", "<article>n</article>"), (5, "u", "<article><p>x</article>" * 3)]
     df = spark.createDataFrame([(*r, "extra") for r in rows], "page_id long, url string, html string, text string")
