@@ -4,8 +4,9 @@
    is shared again by weight until none is above.
 2. Packing: the documents of a source, in pseudorandom order, are one stream of words, cut into blocks of `BLOCK` words (the last one may
    be short). The places come from two-level prefix sums, so a hot source is no single task.
-3. Slots: each source gets as many slots as bring its target, each slot is drawn to an output shard with equal odds. So the counts
-   of sources per shard are multinomial draws, under fixed totals. A slot's place in its shard is its rank by hash.
+3. Counts: each source gets as many slots as bring its target. How many of them each of the `SHARDS` output shards gets is a multinomial draw, one table
+   row for each source and shard. The totals are fixed: if the sources of a shard were drawn instead, small sources would miss their targets
+   by several per cent. A shard's slots of a source are a run of the source's slot numbers, as long as the count that was drawn.
 4. Slot k of a source is block p(k mod n) of epoch k div n, where p is a pseudorandom permutation of its n blocks for each epoch, from
    swap-or-not rounds. No list is shuffled or kept. Slots and blocks are joined by (source, block).
 
@@ -101,64 +102,80 @@ def packed(sizes: DataFrame, block: int = BLOCK, seed: int = SEED) -> DataFrame:
     return touched.withColumn("words", end - F.greatest("start", F.col("block") * block)).select("rid", "source", "start", "block", "words")
 
 
-def slots(goals: DataFrame, shards: int = SHARDS, seed: int = SEED) -> DataFrame:
-    """source, slot, shard, epoch, block: every slot of the mix."""
-    runs = goals.filter("n_slots > 0").select("source", "n_blocks", "n_slots", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n_slots") - 1) / RUN))).alias("run"))
-    # A hot source has many runs. The number is named, as runs are few bytes and would be brought together in one task again.
-    spread = runs.repartition(int(goals.sparkSession.conf.get("spark.sql.shuffle.partitions")), "source", "run")
-    first = F.col("run") * RUN
-    one = spread.select("source", "n_blocks", F.explode(F.sequence(first, F.least(first + RUN, F.col("n_slots")) - 1)).alias("slot"))
-    epoch = F.floor(F.col("slot") / F.col("n_blocks")).cast("int")
-    keyed = one.withColumn("epoch", epoch).withColumn("key", F.xxhash64("source", "epoch", F.lit(seed)))
-    return keyed.select(
-        "source", "slot", F.pmod(F.xxhash64("source", "slot", F.lit(seed + 1)), F.lit(shards)).cast("int").alias("shard"), "epoch",
-        permuted(F.pmod("slot", F.col("n_blocks")), F.col("n_blocks"), F.col("key")).alias("block"),
-    )
+def _runs(rows: DataFrame, n: str, *keys: str) -> DataFrame:
+    """The rows once for each run of at most RUN of their n, as (keys, run), spread over tasks: a hot source has many runs."""
+    runs = rows.filter(F.col(n) > 0).select(*rows.columns, F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col(n) - 1) / RUN))).alias("run"))
+    # The number is named, as runs are few bytes and would be brought together in one task again.
+    return runs.repartition(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys, "run")
+
+
+def _of_run(n: str) -> Column:
+    return F.explode(F.sequence(F.col("run") * RUN, F.least((F.col("run") + 1) * RUN, F.col(n)) - 1))
+
+
+def shard_counts(goals: DataFrame, shards: int = SHARDS, seed: int = SEED) -> DataFrame:
+    """A written table, one row for each source and shard that got any: source, n_blocks, shard, n, first. n is the shard's multinomial count of the source's
+    slots: as many trials as the source has slots, equal odds. The shard's slots are first .. first + n - 1."""
+    tried = _runs(goals, "n_slots", "source").select("source", "n_blocks", _of_run("n_slots").alias("trial"))
+    drawn = tried.withColumn("shard", F.pmod(F.xxhash64("source", "trial", F.lit(seed + 1)), F.lit(shards)).cast("int"))
+    counts = drawn.groupBy("source", "n_blocks", "shard").agg(F.count(F.lit(1)).alias("n"))
+    upto = Window.partitionBy("source").orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
+    return written(counts.withColumn("first", F.coalesce(F.sum("n").over(upto), F.lit(0))), "shard-counts")
 
 
-def taken_pieces(sizes: DataFrame, goals: DataFrame) -> DataFrame:
+def slots(counts: DataFrame, seed: int = SEED) -> DataFrame:
+    """source, slot, shard, epoch, block: every slot that the drawn counts give to a shard."""
+    one = _runs(counts, "n", "source", "shard").select("source", "n_blocks", "shard", "first", _of_run("n").alias("place"))
+    numbered = one.withColumn("slot", F.col("first") + F.col("place"))
+    keyed = numbered.withColumn("epoch", F.floor(F.col("slot") / F.col("n_blocks")).cast("int")).withColumn("key", F.xxhash64("source", "epoch", F.lit(seed)))
+    return keyed.select("source", "slot", "shard", "epoch", permuted(F.pmod("slot", F.col("n_blocks")), F.col("n_blocks"), F.col("key")).alias("block"))
+
+
+def taken_pieces(sizes: DataFrame, counts: DataFrame) -> DataFrame:
     """rid, start, block, words, epoch, shard, slot: the blocks of the mix joined with the documents that they hold."""
-    of = slots(goals).withColumnsRenamed({"source": "s", "block": "b"})
+    of = slots(counts).withColumnsRenamed({"source": "s", "block": "b"})
     pieces = packed(sizes)
     # Both sides grow with the corpus. What generates the slots is small, and Spark would take them for small too and broadcast them.
     return pieces.hint("merge").join(of.hint("merge"), pieces["source"].eqNullSafe(of["s"]) & (pieces["block"] == of["b"])).select("rid", "source", "start", "block", "words", "epoch", "shard", "slot")
 
 
-def shard_counts(goals: DataFrame, shards: int = SHARDS) -> DataFrame:
-    """shard, source, n: the drawn counts of slots."""
-    return slots(goals, shards).groupBy("shard", "source").agg(F.count(F.lit(1)).alias("n"))
-
-
-def placed_slots(goals: DataFrame, shards: int = SHARDS) -> DataFrame:
-    """Slots with their place in the shard, from 0 without gaps."""
-    drawn = slots(goals, shards).withColumn("h", F.xxhash64("source", "slot", F.lit("place")))
+def placed_slots(counts: DataFrame) -> DataFrame:
+    """Slots with their place in the shard, from 0 without gaps, in which the sources are mixed."""
+    drawn = slots(counts).withColumn("h", F.xxhash64("source", "slot", F.lit("place")))
     return bucketed_rank(drawn, "shard", [F.col("h"), F.col("source"), F.col("slot")], F.pmod(F.shiftright("h", 54), F.lit(BUCKETS)), "place").drop("h")
 
 
 def op5_mixing(docs: DataFrame) -> DataFrame:
-    """doc_id, size, source_size, target, taken."""
+    """doc_id, size, source_size, target, taken, and by_shard: the words that each output shard takes, as (shard, words) by shard."""
     sizes = sized(docs)
     goals = written(targets(sizes), "targets")
-    taken = taken_pieces(sizes, goals).groupBy("rid").agg(F.sum("words").alias("taken")).withColumnRenamed("rid", "r")
+    # one exchange by document for both sums; a document is in so many shards at most
+    by_shard = taken_pieces(sizes, shard_counts(goals)).repartition("rid").groupBy("rid", "shard").agg(F.sum("words").alias("words"))
+    taken = by_shard.groupBy(F.col("rid").alias("r")).agg(F.sum("words").alias("taken"), F.sort_array(F.collect_list(F.struct("shard", "words"))).alias("by_shard"))
     known = goals.select(F.col("source").alias("s"), "source_size", "target")
     # the few sources and their totals against many rows: Spark can split a hot source, as both sides are shuffled or one is small
     whole = sizes.join(known, sizes["source"].eqNullSafe(known["s"]))
+    none = F.array().cast("array<struct<shard:int,words:bigint>>")
     return whole.join(taken, F.col("rid") == F.col("r"), "left").select(
-        "doc_id", "size", F.col("source_size").cast("long").alias("source_size"), "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken")
+        "doc_id", "size", F.col("source_size").cast("long").alias("source_size"), "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), F.coalesce("by_shard", none).alias("by_shard")
     )
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline: for each epoch in which a document is taken, a row with the words that were; whole if all were."""
+    """Pipeline: for each epoch in which a document is taken, a row with the words that were; whole if all were. Rows of an output shard lie together
+    and in the order of its slots; a row belongs to the shard that took the first of its words. Null and shared doc_ids and null texts are rows
+    like any other, by row ids; a text without words is in no block, so it is not taken."""
     sizes = sized(docs, "text", "lang")
     goals = written(targets(sizes), "targets")
-    got = taken_pieces(sizes, goals).withColumn("nth", F.col("block") - F.floor(F.col("start") / BLOCK))
-    n = got.groupBy("rid", "epoch").agg(F.sum("words").alias("taken"), F.first("start").alias("start"))
+    got = taken_pieces(sizes, shard_counts(goals)).withColumn("nth", F.col("block") - F.floor(F.col("start") / BLOCK))
+    n = got.groupBy("rid", "epoch").agg(F.sum("words").alias("taken"), F.first("start").alias("start"), F.min(F.struct("block", "shard", "slot")).alias("at"))
     flags = bitmaps(got, ["rid", "epoch"], "nth").withColumnsRenamed({"rid": "r", "epoch": "e"})
-    picked = n.join(flags, (F.col("rid") == F.col("r")) & (F.col("epoch") == F.col("e"))).select("r", "e", "taken", "start", "bits")
+    picked = n.join(flags, (F.col("rid") == F.col("r")) & (F.col("epoch") == F.col("e"))).select("r", "e", "taken", "start", "bits", "at.shard", "at.slot")
     words = F.regexp_extract_all("text", F.lit(r"([^\x20\x09-\x0D]+[\x20\x09-\x0D]*)"), F.lit(1))
     block_of = lambda i: F.floor((F.col("start") + i) / BLOCK) - F.floor(F.col("start") / BLOCK)
     part = F.regexp_replace(F.array_join(F.filter(words, lambda _, i: has_bit(F.col("bits"), block_of(i))), ""), r"[\x20\x09-\x0D]+\z", "")
     rows = sizes.join(picked, F.col("rid") == F.col("r"))
-    mixed = rows.select("doc_id", F.when(F.col("taken") == F.col("size"), F.col("text")).otherwise(part).alias("text"), "lang", "source")
-    return mixed.withColumn("n_chars", F.length("text").cast("long"))
+    mixed = rows.select("doc_id", F.when(F.col("taken") == F.col("size"), F.col("text")).otherwise(part).alias("text"), "lang", "source", "shard", "slot")
+    # a shard is dealt to several tasks, so that their number grows with the rows
+    dealt = mixed.repartition("shard", F.pmod(F.col("slot"), F.lit(BUCKETS))).sortWithinPartitions("shard", "slot")
+    return dealt.select("doc_id", "text", "lang", "source", F.length("text").cast("long").alias("n_chars"))

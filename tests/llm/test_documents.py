@@ -289,14 +289,64 @@ def test_permutations_and_slots(spark):
         got = [r[0] for r in spark.range(n).select(mixing.permuted(F.col("id"), F.lit(n).cast("long"), F.lit(5).cast("long"))).collect()]
         assert sorted(got) == list(range(n))
     goals = spark.createDataFrame([("a", 50, 75.0, 10, 15), ("b", 9, 18.0, 2, 4)], "source string, source_size long, target double, n_blocks long, n_slots long")
-    rows = mixing.placed_slots(goals, 4).collect()
-    assert len(rows) == 19
+    counts = mixing.shard_counts(goals, 4)
+    rows = mixing.placed_slots(counts).collect()
+    assert len(rows) == 19 and sum(r["n"] for r in counts.collect()) == 19
     for s in {r["shard"] for r in rows}:
         assert sorted(r["place"] for r in rows if r["shard"] == s) == list(range(sum(r["shard"] == s for r in rows)))
     for e in (0, 1):
         blocks = [r["block"] for r in rows if r["source"] == "a" and r["epoch"] == e]
         assert len(set(blocks)) == len(blocks) == (10, 5)[e]
-    assert sum(r["n"] for r in mixing.shard_counts(goals, 4).collect()) == 19
+    for r in counts.collect():
+        own = sorted(x["slot"] for x in rows if (x["source"], x["shard"]) == (r["source"], r["shard"]))
+        assert own == list(range(r["first"], r["first"] + r["n"]))
+
+
+def test_shard_counts_are_multinomial(spark):
+    goals = spark.createDataFrame([(s, 0, 0.0, 10, n) for s, n in (("a", 40_000), (None, 20_000), ("c", 3), ("d", 0))], "source string, source_size long, target double, n_blocks long, n_slots long")
+    got = mixing.shard_counts(goals, 40).collect()
+    for s, n in (("a", 40_000), (None, 20_000)):
+        own = np.array([r["n"] for r in got if r["source"] == s])
+        assert len(own) == 40 and own.sum() == n
+        chi2 = ((own - n / 40) ** 2 / (n / 40)).sum()
+        assert 15 < chi2 < 75  # 39 degrees of freedom: neither even shares nor lumps
+    assert sum(r["n"] for r in got if r["source"] == "c") == 3 and not any(r["source"] == "d" for r in got)
+
+
+def test_mixing_brute_force(spark):
+    """Which words each shard takes, document by document: only hashes and permutations come from Spark."""
+    from pyspark.sql import functions as F
+
+    docs = [(i if i % 9 else None, " ".join(["w"] * (i * 53 % 700)), ["b", "a", None, "zz"][i * i % 4]) for i in range(120)] + [(5, "same id", "a")] * 2
+    df = spark.createDataFrame(docs, "doc_id long, text string, source string")
+    rows = mixing.op5_mixing(df).collect()
+    sizes = mixing.sized(df)
+    goals = mixing.targets(sizes)
+    counts = mixing.shard_counts(goals).collect()
+    order = F.struct(F.pmod(F.xxhash64("doc_id", "size", F.lit(mixing.SEED)), F.lit(mixing.BUCKETS)), F.xxhash64("doc_id", F.lit(mixing.SEED)), F.coalesce("doc_id", F.lit(-1)), "size")
+    placed = sorted(sizes.filter("size > 0").select("doc_id", "source", "size", order.alias("o"), "rid").collect(), key=lambda r: (*r["o"], r["rid"]))
+    want: dict = {}
+    for g in goals.collect():
+        words = [(r["doc_id"], r["size"]) for r in placed if r["source"] == g["source"] for _ in range(r["size"])]
+        epochs = {}
+        for e in (0, 1):
+            key = F.xxhash64(F.lit(g["source"]).cast("string"), F.lit(e), F.lit(mixing.SEED))
+            epochs[e] = [r[0] for r in spark.range(max(g["n_blocks"], 1)).orderBy("id").select(mixing.permuted(F.col("id"), F.lit(max(g["n_blocks"], 1)), key)).collect()]
+        for c in counts:
+            if c["source"] == g["source"]:
+                for slot in range(c["first"], c["first"] + c["n"]):
+                    block = epochs[slot // g["n_blocks"]][slot % g["n_blocks"]]
+                    for d in words[block * mixing.BLOCK : (block + 1) * mixing.BLOCK]:
+                        k = (g["source"], *d, c["shard"])
+                        want[k] = want.get(k, 0) + 1
+    source = {(d, len(t.split())): s for d, t, s in docs}
+    got: dict = {}
+    for r in rows:
+        assert r["taken"] == sum(x["words"] for x in r["by_shard"])
+        for x in r["by_shard"]:
+            k = (source[r["doc_id"], r["size"]], r["doc_id"], r["size"], x["shard"])
+            got[k] = got.get(k, 0) + x["words"]
+    assert got == want
 
 
 def test_mixing_stage_keeps_whole_texts(spark, odd):
