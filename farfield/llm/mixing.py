@@ -146,18 +146,18 @@ def placed_slots(counts: DataFrame) -> DataFrame:
 
 
 def op5_mixing(docs: DataFrame) -> DataFrame:
-    """doc_id, size, source_size, target, taken, and by_shard: the words that each output shard takes, as (shard, words) by shard."""
+    """doc_id, size, source_size, target, taken, and shards: the output shards that hold words of the document."""
     sizes = sized(docs)
     goals = written(targets(sizes), "targets")
-    # one exchange by document for both sums; a document is in so many shards at most
-    by_shard = taken_pieces(sizes, shard_counts(goals)).repartition("rid").groupBy("rid", "shard").agg(F.sum("words").alias("words"))
-    taken = by_shard.groupBy(F.col("rid").alias("r")).agg(F.sum("words").alias("taken"), F.sort_array(F.collect_list(F.struct("shard", "words"))).alias("by_shard"))
+    # SHARDS are 64, so that a set of them is a long
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("shard"))
+    taken = taken_pieces(sizes, shard_counts(goals)).groupBy(F.col("rid").alias("r")).agg(F.sum("words").alias("taken"), F.bit_or(bit).alias("set"))
     known = goals.select(F.col("source").alias("s"), "source_size", "target")
     # the few sources and their totals against many rows: Spark can split a hot source, as both sides are shuffled or one is small
     whole = sizes.join(known, sizes["source"].eqNullSafe(known["s"]))
-    none = F.array().cast("array<struct<shard:int,words:bigint>>")
+    held = F.filter(F.sequence(F.lit(0), F.lit(SHARDS - 1)), lambda k: F.getbit(F.coalesce("set", F.lit(0).cast("long")), k) == 1)
     return whole.join(taken, F.col("rid") == F.col("r"), "left").select(
-        "doc_id", "size", F.col("source_size").cast("long").alias("source_size"), "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), F.coalesce("by_shard", none).alias("by_shard")
+        "doc_id", "size", F.col("source_size").cast("long").alias("source_size"), "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), held.alias("shards")
     )
 
 

@@ -339,13 +339,13 @@ def test_mixing_brute_force(spark):
                     for d in words[block * mixing.BLOCK : (block + 1) * mixing.BLOCK]:
                         k = (g["source"], *d, c["shard"])
                         want[k] = want.get(k, 0) + 1
+    pieces = mixing.taken_pieces(sizes, mixing.shard_counts(goals)).join(sizes.select("rid", "doc_id", "size"), "rid").groupBy("source", "doc_id", "size", "shard").agg(F.sum("words").alias("n"))
+    got = {(r["source"], r["doc_id"], r["size"], r["shard"]): r["n"] for r in pieces.collect()}
     source = {(d, len(t.split())): s for d, t, s in docs}
-    got: dict = {}
-    for r in rows:
-        assert r["taken"] == sum(x["words"] for x in r["by_shard"])
-        for x in r["by_shard"]:
-            k = (source[r["doc_id"], r["size"]], r["doc_id"], r["size"], x["shard"])
-            got[k] = got.get(k, 0) + x["words"]
+    for d, n in {(d, n) for d, n in source if d not in (None, 5)}:
+        (row,) = (r for r in rows if (r["doc_id"], r["size"]) == (d, n))
+        own = {k[3]: v for k, v in want.items() if k[1:3] == (d, n)}
+        assert row["taken"] == sum(own.values()) and row["shards"] == sorted(own)
     assert got == want
 
 
