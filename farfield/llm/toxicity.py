@@ -51,7 +51,7 @@ INVISIBLE = dict.fromkeys(map(ord, "​‌‍⁠﻿­"))
 
 #: Costs of the channel, in nats.
 STAND_IN, ITSELF, ITSELF_BEFORE_LETTER, SYMBOL_GONE, SPACER_GONE, SPACER_STAYS, THIRD_GONE, SECOND_GONE = 1.2, 1.0, 4.5, 6.0, 0.3, 2.5, 0.1, 4.0
-#: A lattice is decoded in stretches of so many characters; the best path so far is settled in between.
+#: After so many characters of a lattice, what all paths still open have in common is written out. It can't change any more, so the path stays the best one.
 STRETCH = 512
 
 _LETTER, _SYMBOL, _SPACER = r"[^\W\d_]", "[" + re.escape("".join(STANDS_FOR)) + "]", "[" + re.escape(SPACERS) + "]"
@@ -119,15 +119,38 @@ class Restorer:
         self.known: dict[str, str] = {}
 
     def decode(self, noisy: str) -> str:
-        out, start = "", {(0, 0): (0.0, None)}
+        """The text of the likeliest path through the whole lattice."""
+        out, states = [], {(0, 0): (0.0, None)}
         for at in range(0, len(noisy), STRETCH):
-            last = at + STRETCH >= len(noisy)
-            text, state = self._stretch(noisy, at, min(len(noisy), at + STRETCH), start, last)
-            out += text
-            start = {state: (0.0, None)}
-        return out
-
-    def _stretch(self, s: str, lo: int, hi: int, states: dict, last: bool) -> tuple[str, tuple[int, int]]:
+            if at:
+                out.append(self._settled([path for _, path in states.values()]))
+            states = self._stretch(noisy, at, min(len(noisy), at + STRETCH), states)
+        best = max(states, key=lambda ab: states[ab][0] + (self.model[ab[0]][ab[1]][0] if ab[1] else 0.0))
+        text, path = [], states[best][1]
+        while path:
+            path, part = path
+            text.append(part)
+        return "".join(out) + "".join(reversed(text))
+
+    @staticmethod
+    def _settled(paths: list) -> str:
+        """Cuts off and returns what the paths have in common. A path is [path before, text written]."""
+        chain, node = [], paths[0]
+        while node is not None:
+            chain.append(node)
+            node = node[0]
+        place, back = {id(x): k for k, x in enumerate(chain)}, 0
+        for node in paths:
+            while node is not None and id(node) not in place:
+                node = node[0]
+            if node is None:
+                return ""
+            back = max(back, place[id(node)])
+        text = "".join(x[1] for x in reversed(chain[back:]))
+        chain[back][:] = None, ""
+        return text
+
+    def _stretch(self, s: str, lo: int, hi: int, states: dict) -> dict:
         model, n = self.model, len(s)
         for i in range(lo, hi):
             ch, nxt = s[i], {}
@@ -160,14 +183,9 @@ class Restorer:
                     else:
                         to, got = (0, 0), score - cost + (row[0] if b else 0.0)
                     if to not in nxt or got > nxt[to][0]:
-                        nxt[to] = (got, (path, text) if text else path)
+                        nxt[to] = (got, [path, text] if text else path)
             states = nxt
-        best = max(states, key=lambda ab: states[ab][0] + (model[ab[0]][ab[1]][0] if last and ab[1] else 0.0))
-        text, path = [], states[best][1]
-        while path:
-            path, part = path
-            text.append(part)
-        return "".join(reversed(text)), best
+        return states
 
     def restore(self, text: str) -> tuple[str, int]:
         """The restored text in lower case, and how many places were decoded."""

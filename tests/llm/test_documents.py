@@ -94,6 +94,70 @@ def test_toxicity_restores_short_words():
     assert restorer.restore("met at the inn!") == ("met at the inn!", 0)
 
 
+def channel(s, i):
+    """(text, cost) of what character i of a lattice can have been."""
+    ch, options = s[i], []
+    doubled = i and s[i - 1] == ch
+    if toxicity.char_class(ch):
+        options = [(ch, 0.0)]
+        if doubled:
+            third = s[i - 2 : i] == ch * 2 or s[i + 1 : i + 2] == ch
+            options.append(("", toxicity.THIRD_GONE if third else toxicity.SECOND_GONE))
+        return options
+    options = [(x, toxicity.STAND_IN) for x in toxicity.STANDS_FOR.get(ch, "")]
+    if ch in toxicity.SPACERS or ch.isspace():
+        options += [(" ", toxicity.SPACER_STAYS), ("", toxicity.SPACER_GONE)]
+    else:
+        next_ = re.match(f"[{re.escape(toxicity.SPACERS)}]{{0,3}}", s[i + 1 :]).end() + i + 1
+        at = s[next_ : next_ + 1]
+        before = at and (toxicity.char_class(at) or (at != ch and at in toxicity.STANDS_FOR))
+        options += [(ch, toxicity.ITSELF_BEFORE_LETTER if before else toxicity.ITSELF), ("", toxicity.SYMBOL_GONE)]
+    if doubled and ch in toxicity.STANDS_FOR:
+        options.append(("", toxicity.THIRD_GONE))
+    return options
+
+
+def test_decoder_takes_the_best_of_all_paths():
+    from itertools import product
+
+    r = random.Random(3)
+    words = ["idiot", "stupid", "letter", "noon", "all", "ass", "boot", "is", "a"]
+    model = toxicity.log_model(toxicity.trigram_counts([" ".join(r.choice(words) for _ in range(4000))]))
+    decoder = toxicity.Restorer(model)
+
+    def score(parts):
+        total = -sum(cost for _, cost in parts)
+        cls = [0, 0]
+        for text, _ in parts:
+            if not text:
+                continue
+            c = toxicity.char_class(text)
+            if c:
+                total += model[cls[-2], cls[-1], c]
+                cls.append(c)
+            else:
+                total += model[cls[-2], cls[-1], 0] if cls[-1] else 0.0
+                cls += [0, 0]
+        return total + (model[cls[-2], cls[-1], 0] if cls[-1] else 0.0)
+
+    for noisy in ["1d10t", "i d i o t", "$tupid", "n00n", "idi i0t", "l3tt3r!", "a$$", "@ll", "b..o", "i!!d", "1 5", "5tuup1d", "a * s s", "88", "no0n", "..", "4ll"] + ["".join(r.choice("aist01$. !o") for _ in range(6)) for _ in range(60)]:
+        paths = list(product(*(channel(noisy, i) for i in range(len(noisy)))))
+        best = max(map(score, paths))
+        got = decoder.decode(noisy)
+        assert any("".join(t for t, _ in p) == got for p in paths if score(p) > best - 1e-4), (noisy, got)
+
+
+def test_decoder_is_exact_at_any_length(monkeypatch):
+    r = random.Random(6)
+    model = toxicity.log_model(toxicity.trigram_counts([" ".join(WORDS) * 20]))
+    noisy = ["".join(c if r.random() < 0.5 else r.choice("013457@$!. -*") for c in "".join(r.choice(WORDS) for _ in range(160))) for _ in range(30)] + ["9" * 3000, "a1" * 900, "oo00" * 500]
+    got = {}
+    for stretch in (1, 7, 512, 1 << 30):
+        monkeypatch.setattr(toxicity, "STRETCH", stretch)
+        got[stretch] = [toxicity.Restorer(model).decode(x) for x in noisy]
+    assert got[1] == got[7] == got[512] == got[1 << 30]
+
+
 def test_line_dedup_brute_force(spark):
     lines = [" ".join(random.Random(i).choices(WORDS, k=5)) for i in range(8)] + [""]
     docs = [(i, "\n".join(random.Random(100 + i).choices(lines, k=random.Random(i).randint(0, 90)))) for i in range(40)]
