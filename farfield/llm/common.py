@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import sys
 import tempfile
 import uuid
@@ -18,6 +19,8 @@ DOCUMENT_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 #: Words are runs of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
+#: The rows of a hot key are dealt to so many tasks.
+SALTS = 16
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -36,25 +39,59 @@ def let_workers_import(spark: SparkSession) -> None:
 
 
 def scratch(spark: SparkSession) -> str:
-    """The shared folder of the cluster; a folder of our own only where none is set, as in tests."""
+    """The shared folder of the cluster. A folder of our own only where none is set and all runs on this machine, as in tests."""
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
     if not sc._jsc.sc().getCheckpointDir().isDefined():
+        if not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="farfield-"))
     return sc._jsc.sc().getCheckpointDir().get().rstrip("/")
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """df as a Parquet table in the shared folder: lineage ends there, and lost executors cost no recomputation."""
+def _file(spark: SparkSession, path: str):
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), where
+
+
+def _written(df: DataFrame, name: str) -> tuple[DataFrame, str]:
     spark = df.sparkSession
     path = f"{scratch(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    jvm = spark.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
-    return spark.read.schema(df.schema).parquet(path)
+    fs, where = _file(spark, path)
+    fs.deleteOnExit(where)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def written(df: DataFrame, name: str) -> DataFrame:
+    """df as a Parquet table in the shared folder: lineage ends there, and lost executors cost no recomputation."""
+    return _written(df, name)[0]
+
+
+class Generations:
+    """Tables of an iteration: a new one replaces the one before, whose files go. Only the newest may be read."""
+
+    def __init__(self, name: str):
+        self.name, self.path = name, None
+
+    def written(self, df: DataFrame) -> DataFrame:
+        old = self.path
+        out, self.path = _written(df, self.name)
+        if old:
+            fs, where = _file(df.sparkSession, old)
+            fs.delete(where, True)
+        return out
+
+
+def looked_up(rows: DataFrame, key: str, found: DataFrame, found_key: str, spread: str) -> DataFrame:
+    """rows with what found, one row a key, says of their key; null if nothing. The rows of a key, of which one may have most, are
+    dealt to SALTS tasks by the column `spread`, and found is sent to each."""
+    salt = F.pmod(F.xxhash64(spread), F.lit(SALTS)).cast("int")
+    each = found.withColumn("__to", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    dealt = rows.withColumn("__salt", salt)
+    return dealt.join(each, (dealt[key] == each[found_key]) & (F.col("__salt") == F.col("__to")), "left").drop("__salt", "__to")
 
 
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:

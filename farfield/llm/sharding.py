@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from farfield.llm.common import bucketed_rank, written
+from farfield.llm.common import Generations, bucketed_rank, written
 
 SHARDS, ROUNDS = 24, 10
 BUCKETS = 256
@@ -51,7 +51,8 @@ def propagate(linked: DataFrame, quota: list[int], rounds: int = ROUNDS) -> Data
     at = lambda values, shard: F.element_at(F.array(*map(F.lit, values)), shard + 1)
     # the start: by hash, cut to the quotas like any other move
     start = linked.select("rid", "g", F.pmod(F.xxhash64("rid", F.lit("start")), F.lit(n)).cast("int").alias("shard"))
-    state = written(start, "labels")
+    tables = Generations("labels")
+    state = tables.written(start)
     for r in range(rounds):
         load = {x["shard"]: x["n"] for x in state.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row a shard
         room = [max(0, quota[s] - load.get(s, 0)) for s in range(n)]
@@ -69,7 +70,7 @@ def propagate(linked: DataFrame, quota: list[int], rounds: int = ROUNDS) -> Data
         asked = asked.select("rid", "to", F.xxhash64("rid", F.lit(r)).alias("h"))
         ranked = bucketed_rank(asked, "to", [F.col("h"), F.col("rid")], F.pmod(F.shiftright("h", 48), F.lit(BUCKETS)), "nth")
         granted = ranked.filter(F.col("nth") < at(room, F.col("to"))).select(F.col("rid").alias("m"), "to")
-        moved = written(state.join(granted, state["rid"] == granted["m"], "left").select("rid", "g", F.coalesce("to", "shard").alias("shard"), F.col("to").isNotNull().alias("moved")), "labels")
+        moved = tables.written(state.join(granted, state["rid"] == granted["m"], "left").select("rid", "g", F.coalesce("to", "shard").alias("shard"), F.col("to").isNotNull().alias("moved")))
         state = moved.select("rid", "g", "shard")
         if moved.filter("moved").isEmpty():
             break

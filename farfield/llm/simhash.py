@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from farfield.llm.classes import classes_of_links
-from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, slices, written
+from farfield.llm.common import DOCUMENT_COLUMNS, let_workers_import, looked_up, slices, written
 
 SHINGLE_WORDS = 3
 BUDGET = 2
@@ -432,9 +432,9 @@ def _classes(fps: DataFrame, budget: int, blocks: int) -> DataFrame:
     reps = fps.groupBy("fp").agg(F.min("doc_id").alias("doc"))
     roots = classes_of_links(links(reps, budget, blocks))
     named = reps.join(roots, reps["fp"] == roots["node"], "left").select("fp", "doc", F.coalesce("root", "fp").alias("root"))
-    least = named.groupBy("root").agg(F.min("doc").alias("component_id")).select(F.hex("root").alias("r"), "component_id")
+    least = named.groupBy(F.col("root").alias("r")).agg(F.min("doc").alias("component_id"))
     print_ = F.lower(F.lpad(F.hex("fp"), 16, "0"))
-    of_fp = named.select(print_.alias("fingerprint"), F.hex("root").alias("r")).join(least, "r").select("fingerprint", "component_id")
+    of_fp = looked_up(named, "root", least, "r", "fp").select(print_.alias("fingerprint"), "component_id")
     return fps.select("doc_id", print_.alias("fingerprint")).join(of_fp, "fingerprint").select("doc_id", "fingerprint", "component_id")
 
 
