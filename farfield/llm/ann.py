@@ -4,9 +4,10 @@ Vectors are cut into two halves, and each half is quantised on its own. A pair o
 there are c^2. For each query a heap yields the cells by the sum of the two distances, without sorting all of them, until
 these cells hold a share of all rows. The rows in the cells are then reranked by their exact distance.
 
-Centroids and share are fitted on at most `FIT_ON` rows (of least hash): the share is what held `RECALL` of the true neighbours
-of `TRIED` of these rows among the rest. All rows are indexed. On vectors without any structure, like random directions, the share
-is large; on clustered ones it is small.
+The number of centroids grows with the square root of the rows, so that a cell holds `PER_CELL`, up to `MOST`. Centroids are fitted on one half of at
+most `FIT_ON` rows (of least hash), and the share on the other: it is what held `RECALL` of the true neighbours of `TRIED` rows. It falls as
+the table grows, and each row of the result names it. All rows are indexed. On vectors without any structure, like random directions, the
+share is large; on clustered ones it is small.
 
 Defined results: vectors that are null, zero, without id, or hold null or non-finite components take no part; nor do those of another
 length than the commonest; rows that share the query's id are its own; equal distances go to the smaller vec_id; no query or no
@@ -26,8 +27,9 @@ from pyspark.sql import functions as F
 from farfield.llm import vectors as V
 from farfield.llm.common import let_workers_import, written
 
-FIT_ON, TRIED, RECALL = 8192, 256, 0.97
-CENTROIDS = 32
+FIT_ON, TRIED, RECALL = 8192, 256, 0.95
+#: Rows a cell, and the least and most centroids of a half; the most bounds the table of cells, and the heap's work for a query.
+PER_CELL, FEWEST, MOST = 10, 16, 512
 K = 10
 QUERIES = 100
 
@@ -67,11 +69,20 @@ def by_distance(a: np.ndarray, b: np.ndarray) -> Iterator[tuple[int, int]]:
             heapq.heappush(heap, (a[ia[i + 1]] + b[ib[0]], i + 1, 0))
 
 
+def centroids_for(rows: int) -> int:
+    """Centroids of a half, so that cells hold PER_CELL of the rows: their number grows with the square root of the rows."""
+    return int(min(MOST, max(FEWEST, (rows / PER_CELL) ** 0.5)))
+
+
 class MultiIndex:
-    def __init__(self, sample: np.ndarray, centroids: int = CENTROIDS, k: int = K, recall: float = RECALL):
+    """sample: half of it is for the centroids, half for the share; rows: of the table that it is from."""
+
+    def __init__(self, sample: np.ndarray, rows: int, centroids: int | None = None, k: int = K, recall: float = RECALL):
         self.half = sample.shape[1] // 2
-        self.means = kmeans(sample[:, : self.half], centroids), kmeans(sample[:, self.half :], centroids)
-        self.share = self._share(sample, k, recall)
+        learn = sample[::2]
+        c = centroids or centroids_for(rows)
+        self.means = kmeans(learn[:, : self.half], c), kmeans(learn[:, self.half :], c)
+        self.share = self._share(sample[1::2], rows, k, recall)
 
     def cells(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         return nearest(x[:, : self.half], self.means[0]), nearest(x[:, self.half :], self.means[1])
@@ -91,16 +102,18 @@ class MultiIndex:
         np.add.at(counts, (i, j), 1)
         return counts
 
-    def _share(self, sample: np.ndarray, k: int, recall: float) -> float:
-        """Share of the rows to look at, from the places of true neighbours in the order of cells."""
-        if len(sample) <= 10 * k:
+    def _share(self, sample: np.ndarray, rows: int, k: int, recall: float) -> float:
+        """Share of the rows to look at, from the places of true neighbours in the order of cells, among rows that the centroids have not seen.
+        k neighbours of the table are fewer in a sample of it, so the share falls as the table grows."""
+        near = max(1, -(-k * len(sample) // max(rows, 1)))
+        if len(sample) <= 10 * near:
             return 1.0
         i, j = self.cells(sample)
         counts, places = self.histogram(i, j), []
         for q in range(min(TRIED, len(sample))):
             d = squared(sample[q : q + 1], sample)[0]
             d[q] = np.inf
-            true = np.argpartition(d, k)[:k]
+            true = np.argpartition(d, near)[:near]
             before, got = np.zeros_like(counts), 0
             for a, b in self.visited(sample[q], counts, len(sample)):
                 before[a, b] = got  # a cell is read if fewer than enough were seen before it
@@ -109,15 +122,15 @@ class MultiIndex:
         return min(1.0, float(np.quantile(np.concatenate(places), recall, method="higher") + 1) / len(sample))
 
 
-def search(vectors: DataFrame, every: int = QUERIES, k: int = K, centroids: int = CENTROIDS, recall: float = RECALL) -> DataFrame:
-    """query_id, rank, vec_id, score: the k nearest of each row whose vec_id is divisible by every."""
+def search(vectors: DataFrame, every: int = QUERIES, k: int = K, centroids: int | None = None, recall: float = RECALL) -> DataFrame:
+    """query_id, rank, vec_id, score: the k nearest of each row whose vec_id is divisible by every; share: of the rows that a query looks at."""
     spark = vectors.sparkSession
     let_workers_import(spark)
     rows = V.valid(vectors, zero=False)
     sample = [r["v"] for r in rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(FIT_ON).collect()]
     if not sample:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    index = spark.sparkContext.broadcast(MultiIndex(np.array(sample), centroids, k, recall))
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double, share double")
+    index = spark.sparkContext.broadcast(MultiIndex(np.array(sample), rows.count(), centroids, k, recall))
 
     def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -174,7 +187,7 @@ def search(vectors: DataFrame, every: int = QUERIES, k: int = K, centroids: int
     # spread before the heaps, which are the dear part
     asked = queries.repartition("vec_id").mapInArrow(ask, "query_id long, v array<double>, block int, js array<int>")
     asked = asked.withColumn("chunk", F.explode(F.sequence(F.lit(0), n_chunks - 1)))
-    return V.blocked_search(dealt, asked, n_strips, best, k, True, "double")
+    return V.blocked_search(dealt, asked, n_strips, best, k, True, "double").withColumn("share", F.lit(float(m.share)))
 
 
 def op4_multi_index(vectors: DataFrame) -> DataFrame:
