@@ -47,7 +47,8 @@ STANDS_FOR = {
     "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "€": "e", "£": "l", "¡": "i", "§": "s",
 }
 SPACERS = " .-_*~·"
-INVISIBLE = dict.fromkeys(map(ord, "​‌‍⁠﻿­"))
+INVISIBLE = re.compile("[\u200b\u200c\u200d\u2060\ufeff\u00ad]+")
+_REST_OF_WORD = re.compile(r"\S*")
 
 #: Costs of the channel, in nats.
 STAND_IN, ITSELF, ITSELF_BEFORE_LETTER, SYMBOL_GONE, SPACER_GONE, SPACER_STAYS, THIRD_GONE, SECOND_GONE = 1.2, 1.0, 4.5, 6.0, 0.3, 2.5, 0.1, 4.0
@@ -191,15 +192,14 @@ class Restorer:
         """The restored text in lower case, and how many places were decoded."""
         s, out, done, places = text.lower(), [], 0, 0
         if not s.isascii():
-            s = s.translate(INVISIBLE)
+            s = INVISIBLE.sub("", s)
         for m in _NOISE.finditer(s):
             a, b = m.span()
             if a < done:
                 continue
             while a > done and not s[a - 1].isspace():
                 a -= 1
-            while b < len(s) and not s[b].isspace():
-                b += 1
+            b = _REST_OF_WORD.match(s, b).end()
             noisy = s[a:b]
             if (clean := self.known.get(noisy)) is None:
                 clean = self.decode(noisy)
