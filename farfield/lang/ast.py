@@ -272,7 +272,7 @@ class Seq(Program):
 
 @dataclass(frozen=True)
 class Until:
-    """kind: stable (fields), rounds (n), change_below (field, eps) or no_live."""
+    """kind: stable (fields), rounds (n), change_below (field, eps), no_live, or none_match (vertex name, condition): no vertex that goes on meets it."""
 
     kind: str
     args: tuple = field(default=())
@@ -280,6 +280,17 @@ class Until:
 
 @dataclass(frozen=True)
 class Repeat(Program):
+    """The body runs at least once. A loop that is not done after `limit` passes ends there, as the ledger says; without a limit it must end."""
+
     body: Program
     until: Until
-    limit: int = 10_000
+    limit: int | None = None
+
+
+@dataclass(frozen=True)
+class Exit(Program):
+    """Leaves the loop around it, in the middle of a pass, if `how` ("none" or "any") of the vertices that go on meet cond."""
+
+    how: str
+    var: str
+    cond: Node

@@ -92,5 +92,14 @@ def no_live() -> A.Until:
     return A.Until("no_live")
 
 
-def repeat(body: A.Program, until: A.Until, limit: int = 10_000) -> A.Repeat:
+def none_match(fn) -> A.Until:
+    return A.Until("none_match", ("u", A.lift(fn(A.Var("u")))))
+
+
+def exit_when(how: str, fn) -> A.Exit:
+    """how: 'none' or 'any' of the vertices that go on."""
+    return A.Exit(how, "u", A.lift(fn(A.Var("u"))))
+
+
+def repeat(body: A.Program, until: A.Until, limit: int | None = None) -> A.Repeat:
     return A.Repeat(body, until, limit)

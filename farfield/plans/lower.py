@@ -9,7 +9,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from farfield.lang import ast as A
-from farfield.lang.check import walk
+from farfield.lang.check import children, walk
+from farfield.plans.knowledge import Knows, plan_reads
 from farfield.sources.graph import Graph
 
 LIVE = "_live"
@@ -123,12 +124,17 @@ def writes_of(block: tuple) -> list[Write]:
 
 
 class StepPlan:
-    """Lowers one step over a graph. combine=False shuffles messages before any is reduced."""
+    """Lowers one step over a graph. combine=False shuffles messages before any is reduced. reads: how chains are read, 'planned' by the messages of the
+    read plan, 'request_reply' by asking vertex by vertex, 'doubling' by joins that double the length. peephole: a pointer that comes back is
+    seen in one exchange. on_missing: what becomes of writes to vertices that are not there or have stopped, 'drop' or 'error'. count, if
+    given, is called with the name and the rows of each kind of message and returns them."""
 
-    def __init__(self, graph: Graph, var: str, writes: list[Write], combine: bool = True, functions: dict[str, Callable] | None = None):
+    def __init__(self, graph: Graph, var: str, writes: list[Write], combine: bool = True, functions: dict[str, Callable] | None = None, reads: str = "planned",
+                 peephole: bool = True, on_missing: str = "drop", count: Callable[[str, DataFrame], DataFrame] | None = None):
         self.graph, self.var, self.writes, self.combine, self.functions = graph, var, writes, combine, functions or {}
+        self.reads, self.peephole, self.on_missing, self.count = reads, peephole, on_missing, count or (lambda _, df: df)
         self.reduces: dict[A.Reduce, str] = {}
-        self.computed: dict[A.FieldAt, str] = {}
+        self.computed: dict[A.Node, str] = {}
 
     def _roots(self) -> list[A.Node]:
         return [x for w in self.writes for x in (w.guard, w.stmt.target, w.stmt.expr) if x is not None]
@@ -136,17 +142,75 @@ class StepPlan:
     def paths(self) -> set[tuple[str, ...]]:
         """Chains of two fields or more that are read, at whatever vertex they start."""
         found = set()
+
+        def visit(e: A.Node) -> None:
+            if e in self.computed:
+                return
+            at, fields = path_of(e)
+            if fields and isinstance(at, (A.Var, A.Ref)):
+                if len(fields) > 1:
+                    found.add(fields)
+            for c in children(e) if at is e else [at]:
+                visit(c)
+
         for root in self._roots():
-            for n in walk(root):
-                if isinstance(n, A.FieldAt):
-                    at, fields = path_of(n)
-                    if isinstance(at, (A.Var, A.Ref)) and len(fields) > 1:
-                        found.add(fields)
+            visit(root)
         return found
 
+    def _walk(self, e: A.Node):
+        """The nodes of e that no column stands for yet."""
+        if e not in self.computed:
+            yield e
+            for c in children(e):
+                yield from self._walk(c)
+
+    def with_mutual(self, s: DataFrame) -> DataFrame:
+        """Whether the pointer of the vertex that u points to comes back, for each `F[F[u]] == u`. Pointers are sent to where they point, and only the one from
+        the own target matters, so both are joined by (receiver, sender), however many point to a vertex."""
+        here = A.Var(self.var)
+        base = s
+        for root in self._roots():
+            for n in walk(root):
+                match n:
+                    case A.Bin("==", A.FieldAt(f, A.FieldAt(g, v)), other) if f == g and f not in ("id", "Live") and v == here and other in (here, A.FieldAt("id", here)) and n not in self.computed:
+                        name = f"_m{len(self.computed)}"
+                        mail = base.select(F.col(f).alias("_to"), F.col("id").alias("_whose")).filter("_to IS NOT NULL")
+                        mail = self.count(f"pointers by {f}", mail).withColumn(name, F.lit(True))
+                        s = s.join(mail, (F.col("id") == F.col("_to")) & (F.col(f) == F.col("_whose")), "left").drop("_to", "_whose").withColumn(name, F.coalesce(name, F.lit(False)))
+                        self.computed[n] = name
+        return s
+
     def with_chains(self, s: DataFrame) -> DataFrame:
-        """Each chain as a column of every vertex. A chain is split in the middle, so its joins grow with the logarithm of its length; chains that
-        begin alike share the join."""
+        """Each chain as a column of every vertex."""
+        paths = self.paths()
+        if self.reads == "doubling" or all(len(p) < 3 for p in paths) and self.reads == "planned":
+            return self._doubled(s)  # a plan of two fields is a request and a reply, which is one join
+        return self._sent(s, sorted(paths))
+
+    def _sent(self, s: DataFrame, paths: list[tuple[str, ...]]) -> DataFrame:
+        """By the messages of the read plan, one join for each send: streams of (address, asker) meet the state at the address, and columns of
+        (vertex, value) are what the current vertex has learned."""
+        kept = s.columns
+        streams: dict[tuple, DataFrame] = {(): s.select(F.col("id").alias("_at"), F.col("id").alias("_asker"))}
+        columns: dict[tuple, DataFrame] = {}
+
+        def column(p: tuple) -> DataFrame:
+            return columns[p] if len(p) > 1 else s.select(F.col("id").alias("_k"), F.col(name_of(p)).alias("_v"))
+
+        plans = [plan_reads([Knows((), p)], self.reads) for p in paths] if self.reads == "request_reply" else [plan_reads([Knows((), p) for p in paths], self.reads)]
+        for plan in plans:
+            for x in plan.sends:
+                at, value = x.goal.at, x.goal.value
+                if value == () and at not in streams:  # at(u) learns of u from those that know both
+                    streams[at] = self.count(f"round {x.round}", streams[x.via].join(column(at[len(x.via) :]), F.col("_at") == F.col("_k")).filter("_v IS NOT NULL").select(F.col("_v").alias("_at"), "_asker"))
+                elif value != () and value not in columns:
+                    columns[value] = self.count(f"round {x.round}", streams[x.via].join(column(value[len(x.via) :]), F.col("_at") == F.col("_k")).filter("_v IS NOT NULL").select(F.col("_asker").alias("_k"), "_v"))
+        for p in paths:
+            s = s.join(columns[p].withColumnRenamed("_v", name_of(p)), F.col("id") == F.col("_k"), "left").drop("_k")
+        return s.select(*kept, *map(name_of, paths))
+
+    def _doubled(self, s: DataFrame) -> DataFrame:
+        """A chain is split in the middle, so its joins grow with the logarithm of its length; chains that begin alike share the join."""
         need, todo = set(), [p for p in self.paths()]
         while todo:
             p = todo.pop()
@@ -164,14 +228,13 @@ class StepPlan:
             base = s
             for left, some in sorted(by_left.items()):
                 far = base.select(F.col("id").alias("_k"), *(F.col(name_of(p[len(left) :])).alias(name_of(p)) for p in sorted(some)))
-                s = s.join(far, F.col(name_of(left)) == F.col("_k"), "left").drop("_k")
+                s = self.count(f"by {'.'.join(left)}", s.join(far, F.col(name_of(left)) == F.col("_k"), "left").drop("_k"))
             done |= set(ready)
         return s
 
     def edges(self, kind: str) -> DataFrame:
         """(rc, nb, val): receiver and neighbour."""
-        e = self.graph.edges
-        ends = lambda rc, nb: e.select(F.col(rc).alias("_rc"), F.col(nb).alias("_nb"), F.col("val").alias("_val"))
+        ends = lambda rc, nb: (self.graph.by_dst if nb == "dst" and self.graph.by_dst is not None else self.graph.edges).select(F.col(rc).alias("_rc"), F.col(nb).alias("_nb"), F.col("val").alias("_val"))
         if kind == "Out":
             return ends("src", "dst")
         into = ends("dst", "src")
@@ -260,7 +323,7 @@ class StepPlan:
             for f in filters:
                 m = m.filter(truth(self.column(f, var, "_o_")))
             names = {r: f"_r{k}_{i}" for i, r in enumerate(some)}
-            values = m.select("_rc", *(self.column(r.body, var, "_o_").alias(n) for r, n in names.items()))
+            values = self.count(f"from {kind}", m.select("_rc", *(self.column(r.body, var, "_o_").alias(n) for r, n in names.items())))
             if not self.combine:
                 values = values.repartition("_rc")
             reduced = values.groupBy("_rc").agg(*(aggregate(r.func, F.col(n)).alias(n) for r, n in names.items()))
@@ -275,7 +338,7 @@ class StepPlan:
         """Reads at an index that is itself computed: one more join each."""
         base, found = s, {}
         for root in self._roots():
-            for n in walk(root):
+            for n in self._walk(root):
                 if isinstance(n, A.FieldAt) and n.field != "id":
                     at = n.index
                     while isinstance(at, A.FieldAt):
@@ -290,6 +353,8 @@ class StepPlan:
 
     def run(self, s: DataFrame) -> DataFrame:
         kept = s.columns
+        if self.peephole:
+            s = self.with_mutual(s)
         s = self.with_computed(self.with_reduces(self.with_chains(s)))
         live = F.col(LIVE)
         on = lambda w, **k: live if w.guard is None else live & truth(self.column(w.guard, **k))
@@ -317,26 +382,36 @@ class StepPlan:
             m = some[0]
             for x in some[1:]:
                 m = m.union(x)
+            m = self.count(f"to {f}", m)
             if not self.combine:
                 m = m.repartition("_dst")
             got = m.groupBy("_dst").agg(aggregate(_ACCUMULATED[op], F.col("_v")).alias("_v"))
-            out = out.join(got, F.col("id") == F.col("_dst"), "left")
+            if self.on_missing == "error":
+                out = out.join(got, F.col("id") == F.col("_dst"), "full_outer")
+                lost = F.col("_dst").isNotNull() & ~truth(F.col(LIVE))
+                out = out.withColumn("id", F.when(lost, F.raise_error(F.concat(F.lit(f"write to {f} of a vertex that is not there or has stopped: "), F.col("_dst").cast("string"))).cast("long")).otherwise(F.col("id")))
+            else:
+                out = out.join(got, F.col("id") == F.col("_dst"), "left")
             folded = F.col("_v") if f not in out.columns else fold(op, F.col(f), F.col("_v"))
             mine = F.col(f) if f in out.columns else F.lit(None)
             out = out.withColumn(f, F.when(F.col(LIVE) & F.col("_dst").isNotNull(), folded).otherwise(mine)).drop("_dst", "_v")
         return out
 
 
-def lower_step(graph: Graph, step: A.Step, s: DataFrame, combine: bool = True, functions: dict | None = None) -> DataFrame:
-    return StepPlan(graph, step.var, writes_of(step.block), combine, functions).run(s)
+def lower_step(graph: Graph, step: A.Step, s: DataFrame, **options) -> DataFrame:
+    return StepPlan(graph, step.var, writes_of(step.block), **options).run(s)
+
+
+def with_condition(graph: Graph, var: str, cond: A.Node, s: DataFrame, name: str, **options) -> DataFrame:
+    """s with whether each vertex that goes on meets a condition."""
+    plan = StepPlan(graph, var, [Write(None, A.LocalSet(name, A.Var(var), "=", cond))], **options)
+    read = plan.with_mutual(s) if plan.peephole else s
+    read = plan.with_computed(plan.with_chains(read))
+    return read.withColumn(name, F.col(LIVE) & truth(plan.column(cond))).select(*s.columns, name)
 
 
-def lower_stop(graph: Graph, p: A.Stop, s: DataFrame, functions: dict | None = None) -> DataFrame:
-    w = [Write(None, A.LocalSet("_gone", A.Var(p.var), "=", p.cond))]
-    plan = StepPlan(graph, p.var, w, True, functions)
-    kept = s.columns
-    read = plan.with_computed(plan.with_chains(s))
-    return read.withColumn(LIVE, F.col(LIVE) & ~truth(plan.column(p.cond))).select(*kept)
+def lower_stop(graph: Graph, p: A.Stop, s: DataFrame, **options) -> DataFrame:
+    return with_condition(graph, p.var, p.cond, s, "_gone", **options).withColumn(LIVE, F.col(LIVE) & ~F.col("_gone")).drop("_gone")
 
 
 def with_state(graph: Graph) -> Graph:

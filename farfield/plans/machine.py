@@ -12,7 +12,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 from farfield.lang import ast as A
-from farfield.lang.check import walk
+from farfield.lang.check import children, walk
 from farfield.plans.knowledge import Knows, ReadPlan, plan_reads
 from farfield.plans.lower import path_of, writes_of
 
@@ -41,15 +41,34 @@ class Machine:
         first = self
         while first.kind in ("seq", "loop"):
             first = first.parts[0]
-        assert first.states[0].kind in ("read", "send", "main", "stop"), first.states[0]
+        assert first.states[0].kind in ("read", "send", "main", "stop", "test"), first.states[0]
 
 
-def step_machine(s: A.Step, strategy: str = "planned") -> Machine:
+def _is_mutual(n: A.Node, var: str) -> bool:
+    here = A.Var(var)
+    match n:
+        case A.Bin("==", A.FieldAt(f, A.FieldAt(g, v)), other):
+            return f == g and f not in ("id", "Live") and v == here and other in (here, A.FieldAt("id", here))
+    return False
+
+
+def step_machine(s: A.Step, strategy: str = "planned", peephole: bool = True) -> Machine:
+    """peephole: a pointer that comes back takes one round, in which it is sent to where it points."""
     writes = writes_of(s.block)
     roots = [x for w in writes for x in (w.guard, w.stmt.target, w.stmt.expr) if x is not None]
-    own, near, reduces, computed = set(), 0, False, False
+    own, near, reduces, computed, mutual = set(), 0, False, False, 0
+
+    def rest(n: A.Node):
+        nonlocal mutual
+        if peephole and _is_mutual(n, s.var):
+            mutual = 1
+            return
+        yield n
+        for c in children(n):
+            yield from rest(c)
+
     for r in roots:
-        for n in walk(r):
+        for n in rest(r):
             if isinstance(n, A.Reduce):
                 reduces = True
             if isinstance(n, A.FieldAt):
@@ -61,7 +80,7 @@ def step_machine(s: A.Step, strategy: str = "planned") -> Machine:
                 elif fields:
                     computed = True
     plan = plan_reads([Knows((), p) for p in sorted(own)], strategy)
-    rounds = max(plan.rounds, near, 2 if computed else 0)
+    rounds = max(plan.rounds, near, 2 if computed else 0, mutual)
     loops = any(w.loop for w in writes)
     states = [State("read", f"round {k + 1}") for k in range(rounds)]
     if reduces or loops:
@@ -75,16 +94,17 @@ def step_machine(s: A.Step, strategy: str = "planned") -> Machine:
     return Machine("step", states, reads=plan)
 
 
-def build(p: A.Program, strategy: str = "planned") -> Machine:
+def build(p: A.Program, strategy: str = "planned", peephole: bool = True) -> Machine:
     match p:
         case A.Step():
-            return step_machine(p, strategy)
-        case A.Stop():
-            return Machine("stop", [State("stop")])
+            return step_machine(p, strategy, peephole)
+        case A.Stop(v, c) | A.Exit(_, v, c):
+            reads = step_machine(A.Step(v, (A.LocalSet("Cond", A.Var(v), "=", c),)), strategy, peephole).states[:-1]
+            return Machine("stop", [*reads, State("stop" if isinstance(p, A.Stop) else "test", "leaves the loop" if isinstance(p, A.Exit) else "")])
         case A.Seq(parts):
-            return Machine("seq", parts=[build(q, strategy) for q in parts])
+            return Machine("seq", parts=[build(q, strategy, peephole) for q in parts])
         case A.Repeat(body, until, _):
-            return Machine("loop", parts=[build(body, strategy)], until=until)
+            return Machine("loop", parts=[build(body, strategy, peephole)], until=until)
     raise TypeError(p)
 
 
@@ -99,6 +119,13 @@ def states_of(m: Machine, merge: bool) -> int:
     return sum(states_of(q, merge) for q in m.parts) - (len(m.parts) - 1) * merge
 
 
+def pass_overhead(m: Machine, merge: bool, fuse: bool) -> int:
+    """What a pass of a loop takes beyond its body: the test, or less than nothing if the sending state is shared with the pass before."""
+    if _loops(m.parts[0]):
+        return 1 - merge
+    return -1 if fuse and can_fuse(m) else 1
+
+
 def supersteps(m: Machine, iterations: list[int], merge: bool = True, fuse: bool = True) -> int:
     """Supersteps of a run; iterations: passes of each loop as they were finished, inner loops before the outer pass that holds them."""
     left = list(iterations)

@@ -9,24 +9,39 @@ from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from farfield.lang import ast as A
-from farfield.lang.check import check_program
+from farfield.lang.check import check_program, hoist_two_hops, steps, walk
 from farfield.plans import machine
-from farfield.plans.lower import LIVE, lower_step, lower_stop, with_state
+from farfield.plans.lower import LIVE, lower_step, lower_stop, with_condition, with_state, writes_of
 from farfield.plans.store import drop, materialise
 from farfield.sources.graph import Graph
 
 #: Steps composed lazily before the state is written.
 MAX_STEPS = 8
+#: A loop without a limit that has not ended after so many passes is an error.
+MOST_PASSES = 100_000
 
 
 @dataclass
 class Ledger:
+    """What a run cost. supersteps are counted as the states of the program's machine are passed; iterations are the passes of each loop as it ended. With
+    measure: exchanges in the plans of the jobs, messages as (kind, sent, receivers), and redundant, those that the shared sending
+    states of loops sent when they ended and that nobody reads."""
+
     supersteps: int = 0
     jobs: int = 0
     iterations: list[int] = field(default_factory=list)
+    converged: bool = True
     exchanges: int = 0
     seconds: float = 0.0
-    redundant_batches: int = 0
+    messages: list[tuple[str, int, int]] = field(default_factory=list)
+    redundant: int = 0
+
+
+class Left(Exception):
+    """A loop is left in the middle of a pass."""
+
+    def __init__(self, state: DataFrame):
+        self.state = state
 
 
 @dataclass
@@ -40,65 +55,95 @@ class Result:
 
 class Runtime:
     """merge: sequences are composed into one plan, else each part is written. fuse: the test rides on the job that writes a pass,
-    else it is a job of its own. combine: messages are reduced before the shuffle. measure: count exchanges of each job's plan."""
+    else it is a job of its own. combine: messages are reduced before the shuffle. measure: count exchanges and messages, at the price of more
+    jobs. reads, peephole, on_missing: see StepPlan. allow_two_hop: comprehensions may hold one over the neighbour's edges. buckets: state and edges are kept
+    bucketed by id and by both ends, so that joins leave them where they are. The edges are written once, before the first step."""
 
-    def __init__(self, graph: Graph, merge: bool = True, fuse: bool = True, combine: bool = True, functions: dict | None = None, measure: bool = False):
+    def __init__(self, graph: Graph, merge: bool = True, fuse: bool = True, combine: bool = True, functions: dict | None = None, measure: bool = False, reads: str = "planned",
+                 peephole: bool = True, on_missing: str = "drop", allow_two_hop: bool = False, buckets: int | None = None):
         self.graph = with_state(graph)
-        self.merge, self.fuse, self.combine, self.functions, self.measure = merge, fuse, combine, functions, measure
+        self.merge, self.fuse, self.measure, self.allow_two_hop, self.buckets = merge, fuse, measure, allow_two_hop, buckets
+        self.options = {"combine": combine, "functions": functions, "reads": reads, "peephole": peephole, "on_missing": on_missing}
+        if measure:
+            self.options["count"] = self._count
         self.ledger = Ledger()
         self.steps, self.depth = 0, 0
         self.paths: list[str] = []
 
+    def _count(self, kind: str, messages: DataFrame) -> DataFrame:
+        n = messages.agg(F.count(F.lit(1)).alias("sent"), F.countDistinct(messages.columns[0]).alias("receivers")).first()
+        self.ledger.messages.append((kind, n["sent"], n["receivers"]))
+        return messages
+
     def _write(self, s: DataFrame) -> DataFrame:
         if self.measure:
             self.ledger.exchanges += s._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning")
         self.ledger.jobs += 1
         self.steps = 0
-        out, path = materialise(s)
+        out, path = materialise(s, buckets=self.buckets)
         self.paths.append(path)
         if len(self.paths) > 2:  # older generations are read by nothing any more
             drop(s.sparkSession, self.paths.pop(0))
         return out
 
     def run(self, p: A.Program) -> Result:
+        if self.allow_two_hop:
+            p = hoist_two_hops(p)
         check_program(p, set(self.graph.vertices.columns))
         began = time.time()
-        m = machine.build(p)
-        s = self._run(p, self.graph.vertices)
+        if any(isinstance(q, A.Repeat) for q in (p.parts if isinstance(p, A.Seq) else (p,))) and reads_edges(p):
+            self.graph = self.graph.stored(self.buckets)
+        s = self._run(p, machine.build(p, self.options["reads"], self.options["peephole"]), self.graph.vertices)
         self.ledger.seconds = time.time() - began
-        self.ledger.supersteps = machine.supersteps(m, self.ledger.iterations, self.merge, self.fuse)
-        self.ledger.redundant_batches = sum(1 for _ in self.ledger.iterations) if self.fuse else 0
         return Result(s, self.ledger)
 
-    def _run(self, p: A.Program, s: DataFrame) -> DataFrame:
+    def _run(self, p: A.Program, m: machine.Machine, s: DataFrame) -> DataFrame:
+        if not isinstance(p, (A.Seq, A.Repeat)):
+            self.ledger.supersteps += len(m.states)
         match p:
             case A.Seq(parts):
-                for q in parts:
-                    s = self._run(q, s)
-                    if not self.merge and not isinstance(q, A.Repeat):
+                for k, (q, of) in enumerate(zip(parts, m.parts)):
+                    self.ledger.supersteps -= bool(k and self.merge)
+                    s = self._run(q, of, s)
+                    if not self.merge and not isinstance(q, (A.Repeat, A.Exit)):
                         s = self._write(s)
                 return s
             case A.Step():
                 if self.steps >= MAX_STEPS:
                     s = self._write(s)
                 self.steps += 1
-                return lower_step(self.graph, p, s, self.combine, self.functions)
+                return lower_step(self.graph, p, s, **self.options)
             case A.Stop():
-                return lower_stop(self.graph, p, s, self.functions)
-            case A.Repeat(body, until, limit):
-                return self._loop(body, until, limit, s)
+                return lower_stop(self.graph, p, s, **self.options)
+            case A.Exit(how, var, cond):
+                seen = Observation()
+                met = with_condition(self.graph, var, cond, s, "_met", **self.options)
+                s = self._write(met.observe(seen, F.max(F.col("_met").cast("int")).alias("met")).drop("_met"))
+                if bool(seen.get["met"]) == (how == "any"):
+                    raise Left(s)
+                return s
+            case A.Repeat():
+                return self._loop(p, m, s)
         raise TypeError(p)
 
-    def _loop(self, body: A.Program, until: A.Until, limit: int, s: DataFrame) -> DataFrame:
+    def _loop(self, p: A.Repeat, m: machine.Machine, s: DataFrame) -> DataFrame:
+        until, body = p.until, m.parts[0]
         fields = until.args if until.kind == "stable" else until.args[:1] if until.kind == "change_below" else ()
         self.depth += 1
         old = {f: f"_old{self.depth}_{f}" for f in fields}
         if self.steps:
             s = self._write(s)
-        for k in range(1, limit + 1):
+        self.ledger.supersteps += 2
+        last = until.args[0] if until.kind == "rounds" else p.limit or MOST_PASSES
+        for k in range(1, last + 1):
             for f, o in old.items():
                 s = s.withColumn(o, F.col(f) if f in s.columns else F.lit(None))
-            s = self._run(body, s)
+            self.ledger.supersteps += machine.pass_overhead(m, self.merge, self.fuse)
+            try:
+                s = self._run(p.body, body, s)
+            except Left as left:
+                s = left.state.drop(*old.values())
+                break
             metrics = [F.sum(F.col(LIVE).cast("int")).alias("live")]
             if until.kind == "stable":
                 changed = [~F.col(f).eqNullSafe(F.col(o)) for f, o in old.items()]
@@ -108,24 +153,55 @@ class Runtime:
                 metrics.append(F.max(any_.cast("int")).alias("changed"))
             if until.kind == "change_below":
                 metrics.append(F.max(F.abs(F.col(fields[0]) - F.col(old[fields[0]]))).alias("most"))
-            last = until.kind == "rounds" and k == until.args[0]
+            extra = list(old.values())
+            if until.kind == "none_match":
+                s = with_condition(self.graph, *until.args, s, "_match", **self.options)
+                metrics.append(F.max(F.col("_match").cast("int")).alias("match"))
+                extra.append("_match")
             if self.fuse:
                 seen = Observation()
-                s = self._write(s.observe(seen, *metrics).drop(*old.values()))
+                s = self._write(s.observe(seen, *metrics).drop(*extra))
                 got = seen.get
             else:
                 kept = self._write(s)
                 got = kept.agg(*metrics).first().asDict()
                 self.ledger.jobs += 1
-                s = kept.drop(*old.values())
-            if last or (until.kind == "stable" and not got["changed"]) or (until.kind == "no_live" and not got["live"]):
+                s = kept.drop(*extra)
+            if (until.kind == "stable" and not got["changed"]) or (until.kind == "no_live" and not got["live"]) or (until.kind == "none_match" and not got["match"]):
                 break
             if until.kind == "change_below" and (got["most"] is None or got["most"] < until.args[1]):
                 break
+        else:
+            if until.kind != "rounds":
+                self.ledger.converged = False
+                if p.limit is None:
+                    raise RuntimeError(f"the loop until {until.kind} has not ended after {last} passes")
         self.ledger.iterations.append(k)
         self.depth -= 1
+        if self.measure and self.fuse and machine.can_fuse(m):
+            self.ledger.redundant += self._unread(p.body, s)
         return s
 
+    def _unread(self, body: A.Program, s: DataFrame) -> int:
+        """Messages of the body's first sending state over the final state."""
+        while isinstance(body, A.Seq):
+            body = body.parts[0]
+        if not isinstance(body, A.Step):
+            return 0
+        got: list[tuple[str, int]] = []
+
+        def count(kind: str, messages: DataFrame) -> DataFrame:
+            if kind.startswith(("round 1", "by ", "pointers")) or not any(k.startswith(("round", "by ", "pointers")) for k, _ in got) and kind.startswith("from "):
+                got.append((kind, messages.count()))
+            return messages
+
+        lower_step(self.graph, body, s, **(self.options | {"count": count}))
+        return sum(n for _, n in got)
+
+
+def reads_edges(p: A.Program) -> bool:
+    return any(w.loop or any(isinstance(n, A.Reduce) for e in (w.guard, w.stmt.target, w.stmt.expr) if e is not None for n in walk(e)) for q in steps(p) if isinstance(q, A.Step) for w in writes_of(q.block))
+
 
 def run(p: A.Program, graph: Graph, **flags) -> Result:
     return Runtime(graph, **flags).run(p)
@@ -140,6 +216,7 @@ def explain(p: A.Program, mode: str = "machine", graph: Graph | None = None) ->
         def of(m):
             return ([m.reads.derivation()] if m.reads and m.reads.sends else []) + [x for q in m.parts for x in of(q)]
         return "\n--\n".join(of(m))
-    once = lambda q: once(q.body) if isinstance(q, A.Repeat) else A.Seq(tuple(map(once, q.parts))) if isinstance(q, A.Seq) else q
+    once = lambda q: once(q.body) if isinstance(q, A.Repeat) else A.Seq(tuple(once(x) for x in q.parts if not isinstance(x, A.Exit))) if isinstance(q, A.Seq) else q
     rt = Runtime(graph)
-    return rt._run(once(p), rt.graph.vertices)._jdf.queryExecution().toString()
+    flat = once(p)
+    return rt._run(flat, machine.build(flat), rt.graph.vertices)._jdf.queryExecution().toString()

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -9,12 +10,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir if it is set; a folder of our own only where it is not, as in tests."""
+    """spark.checkpoint.dir if it is set; a folder of our own only where it is not and all runs on this machine, as in tests."""
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
     if not sc._jsc.sc().getCheckpointDir().isDefined():
+        if not re.fullmatch(r"local(\[[^\]]*\])?", sc.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="farfield-"))
     return sc._jsc.sc().getCheckpointDir().get().rstrip("/")
 
@@ -24,25 +27,28 @@ def _fs(spark: SparkSession, path: str):
     return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), where
 
 
-def materialise(df: DataFrame, name: str = "state") -> tuple[DataFrame, str]:
-    """df written as Parquet and read again, and where. The files go when the JVM ends, or by drop()."""
+#: Tables of the catalogue that stand for bucketed files, by path.
+_TABLES: dict[str, str] = {}
+
+
+def materialise(df: DataFrame, name: str = "state", buckets: int | None = None, key: str = "id") -> tuple[DataFrame, str]:
+    """df written as Parquet and read again, and where. The files go when the JVM ends, or by drop(). With buckets, rows are dealt by key to so many
+    sorted files, and joins and sums by key need no exchange on this side."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
     fs, where = _fs(spark, path)
+    if buckets:
+        _TABLES[path] = f"farfield_{uuid.uuid4().hex}"
+        df.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key).option("path", path).format("parquet").saveAsTable(_TABLES[path])
+        fs.deleteOnExit(where)
+        return spark.table(_TABLES[path]), path
+    df.write.parquet(path)
     fs.deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path), path
 
 
 def drop(spark: SparkSession, path: str) -> None:
+    if path in _TABLES:
+        spark.sql(f"DROP TABLE IF EXISTS {_TABLES.pop(path)}")
     fs, where = _fs(spark, path)
     fs.delete(where, True)
-
-
-def save_bucketed(df: DataFrame, table: str, buckets: int, key: str = "id") -> None:
-    """A durable state table whose pointer joins need one exchange, not two."""
-    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
-
-
-def load_bucketed(spark: SparkSession, table: str) -> DataFrame:
-    return spark.table(table)

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 
 @dataclass(frozen=True)
@@ -15,6 +16,9 @@ class Graph:
     vertices: DataFrame
     edges: DataFrame | None = None
     directed: bool = True
+    #: Edges bucketed by dst, where `stored` made them besides those by src.
+    by_dst: DataFrame | None = None
+    is_stored: bool = False
 
     @staticmethod
     def of(vertices: DataFrame, edges: DataFrame | None = None, directed: bool = True) -> "Graph":
@@ -58,6 +62,16 @@ class Graph:
         if self.edges is not None:
             self.edges.createOrReplaceTempView(f"{prefix}_edges")
 
+    def stored(self, buckets: int | None = None) -> "Graph":
+        """The graph with its edges written, so that a loop does not derive them again in each pass. With buckets they are written twice, by src and by dst."""
+        from farfield.plans.store import materialise
+
+        if self.edges is None or self.is_stored:
+            return self
+        edges, _ = materialise(self.edges, "edges", buckets, "src")
+        by_dst = materialise(edges, "edges", buckets, "dst")[0] if buckets else None
+        return replace(self, edges=edges, by_dst=by_dst, is_stored=True)
+
     def once(self) -> DataFrame:
         """Each edge of an undirected graph once, src below dst."""
         return self.edges.filter("src < dst")
@@ -69,10 +83,17 @@ class Graph:
         return Graph(self.vertices.join(k, F.col("id") == F.col("k"), "left_semi"), edges, self.directed)
 
     def with_adjacency(self, most: int = 1000) -> DataFrame:
-        """id and an array of (ref, val), for vertices of small degree only."""
-        small = self.edges.groupBy("src").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") <= most).select(F.col("src").alias("s"))
-        lists = self.edges.join(small, F.col("src") == F.col("s"), "left_semi").groupBy("src").agg(F.sort_array(F.collect_list(F.struct(F.col("dst").alias("ref"), "val"))).alias("adjacent"))
-        return self.vertices.select("id").join(lists, F.col("id") == F.col("src"), "left").select("id", "adjacent")
+        """id, part and an array of (ref, val): the edges out of a vertex in order, in parts of at most `most` from 0 on, so that no list grows with a
+        hub. A vertex without edges has one part, null."""
+        spread = self.edges.withColumn("h", F.pmod(F.xxhash64("dst"), F.lit(256)))
+        # places by prefix sums over (src, h), so a hub is no single task; edges of a bucket of it are
+        sizes = spread.groupBy("src", "h").agg(F.count(F.lit(1)).alias("n"))
+        before = F.sum("n").over(Window.partitionBy("src").orderBy("h").rowsBetween(Window.unboundedPreceding, 0)) - F.col("n")
+        sizes = sizes.select(F.col("src").alias("s"), F.col("h").alias("h2"), before.alias("first"))
+        own = F.row_number().over(Window.partitionBy("src", "h").orderBy("dst", "val")) - 1
+        placed = spread.withColumn("nth", own).join(sizes, (F.col("src") == F.col("s")) & (F.col("h") == F.col("h2")))
+        parts = placed.groupBy("src", F.floor((F.col("first") + F.col("nth")) / most).alias("part")).agg(F.sort_array(F.collect_list(F.struct(F.col("dst").alias("ref"), "val"))).alias("adjacent"))
+        return self.vertices.select("id").join(parts, F.col("id") == F.col("src"), "left").select("id", "part", "adjacent")
 
     def validate(self) -> DataFrame:
         """One row: repeated ids, edges with an unknown end, self loops, repeated edges, and edges without their mirror if undirected."""
@@ -92,9 +113,12 @@ class Graph:
         return out
 
 
-def intern_ids(df: DataFrame, key: str, name: str = "id") -> DataFrame:
-    """Adds a bigint id for a string key: a 64-bit hash. Use collisions() to check it."""
-    return df.withColumn(name, F.xxhash64(key))
+def intern_ids(df: DataFrame, key: str, name: str = "id", check: bool = True) -> DataFrame:
+    """Adds a bigint id for a string key: a 64-bit hash. If two keys share an id, that is an error, unless check is off."""
+    out = df.withColumn(name, F.xxhash64(key))
+    if check and not collisions(out, key, name).isEmpty():
+        raise ValueError(f"two values of {key} share an id")
+    return out
 
 
 def collisions(df: DataFrame, key: str, name: str = "id") -> DataFrame:
