@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from farfield.algorithms import programs as P
 from farfield.lang import dsl as L
 from farfield.plans.runtime import Result, run
 from farfield.plans.store import materialise
+from farfield.sources.builders import predecessors
 from farfield.sources.graph import Graph
 
 FUNCTIONS = {
@@ -17,6 +19,8 @@ FUNCTIONS = {
     "second": lambda p: p["_2"],
     "third": lambda p: p["_2"]["far"],
     # orders equal weights by the edge, seen alike from both ends; far is the other end
+    "ends": lambda a, b, far: F.struct(F.least(a, b).alias("lo"), F.greatest(a, b).alias("hi"), far.alias("far")),
+    "far": lambda p: p["_2"]["far"],
     "edge_key": lambda a, b: F.struct((-F.least(a, b)).alias("lo"), (-F.greatest(a, b)).alias("hi"), b.alias("far")),
 }
 
@@ -44,19 +48,24 @@ def roots(g: Graph, **flags) -> Result:
     return run(P.roots(), g, **flags)
 
 
+def with_rank(g: Graph, damping: float = 0.85) -> Graph:
+    """The graph with what the program for PageRank needs: Rank, Deg and Base."""
+    deg = g.edges.groupBy("src").agg(F.count(F.lit(1)).alias("Deg"))
+    n = max(g.vertices.count(), 1)
+    v = g.vertices.select("id").join(deg, F.col("id") == F.col("src"), "left").select("id", "Deg")
+    return replace(g, vertices=materialise(v.withColumn("Rank", F.lit(1.0 / n)).withColumn("Base", F.lit((1 - damping) / n)))[0])
+
+
 def pagerank(g: Graph, rounds: int = 30, damping: float = 0.85, dangling: str = "drop", eps: float | None = None, **flags) -> Result:
     """dangling: 'drop' loses the rank of vertices without edges out; 'redistribute' spreads it over all, by edges to a virtual
     vertex that has an edge to every one. eps ends the loop when no rank changes by more."""
-    deg = g.edges.groupBy("src").agg(F.count(F.lit(1)).alias("Deg"))
-    n = g.vertices.count()
-    v = g.vertices.select("id").join(deg, F.col("id") == F.col("src"), "left").select("id", "Deg")
-    v = v.withColumn("Rank", F.lit(1.0 / n)).withColumn("Base", F.lit((1 - damping) / n))
+    g = with_rank(g.stored(flags.get("buckets")), damping)
     if dangling == "redistribute":
-        return _redistributed(Graph(v, g.edges), n, rounds, damping)
+        return _redistributed(g, g.vertices.count(), rounds, damping)
     p = P.pagerank(rounds, damping)
     if eps is not None:
         p = L.repeat(p.body, L.change_below("Rank", eps), rounds)
-    return run(p, Graph(materialise(v)[0], g.edges), **flags)
+    return run(p, g, **flags)
 
 
 def _redistributed(g: Graph, n: int, rounds: int, damping: float) -> Result:
@@ -77,8 +86,30 @@ def _redistributed(g: Graph, n: int, rounds: int, damping: float) -> Result:
     return Result(s, Ledger(iterations=[rounds], jobs=rounds))
 
 
-def scc(g: Graph, **flags) -> Result:
-    return run(P.scc(), g, **flags)
+def scc(g: Graph, early: bool = True, **flags) -> Result:
+    return run(P.scc(early), g, **flags)
+
+
+#: The least edge of a tree: its value, its ends in order, and the tree at the far end.
+LEAST_EDGE = "struct<_1:bigint,_2:struct<lo:bigint,hi:bigint,far:bigint>>"
+
+
+def msf_run(g: Graph, **flags) -> Result:
+    """The spanning forest as a program of the language. Ties go by (val, src, dst)."""
+    v = g.vertices.select("id", F.lit(None).cast(LEAST_EDGE).alias("Best"), F.lit(None).cast(LEAST_EDGE).alias("Edge"))
+    return run(P.msf(), replace(g, vertices=v, edges=g.edges.withColumn("val", F.col("val").cast("long"))), functions=FUNCTIONS, **flags)
+
+
+def msf_program(g: Graph, **flags) -> DataFrame:
+    """(src, dst, val)"""
+    return msf_run(g, **flags).state.filter("Edge IS NOT NULL").select("Edge._2.lo", "Edge._2.hi", "Edge._1").distinct().toDF("src", "dst", "val")
+
+
+def with_mirrors(g: Graph) -> Graph:
+    """The graph with val 1 on edges whose mirror is an edge too, else 0."""
+    back = g.edges.select(F.col("dst").alias("a"), F.col("src").alias("b"), F.lit(1).cast("long").alias("back")).distinct()
+    both = g.edges.join(back, (F.col("src") == F.col("a")) & (F.col("dst") == F.col("b")), "left").select("src", "dst", F.coalesce("back", F.lit(0).cast("long")).alias("val"))
+    return Graph(g.vertices, both, g.directed)
 
 
 def bipartite_matching(g: Graph, seed: int = 1, **flags) -> DataFrame:
@@ -93,16 +124,14 @@ def weight_matching(g: Graph, **flags) -> DataFrame:
 
 
 def mutual_pointers(v: DataFrame, peephole: bool = True) -> DataFrame:
-    """ids whose pointer's pointer comes back, for (id, D). With the peephole pointers are sent to where they point, and one exchange
-    brings them to their target's own row; else it is a chain read of two rounds."""
+    """ids whose pointer's pointer comes back, for (id, D). With the peephole pointers are sent to where they point, in one exchange;
+    else it is a chain read of two rounds."""
     if not peephole:
         far = v.select(F.col("id").alias("k"), F.col("D").alias("back"))
         return v.join(far, F.col("D") == F.col("k")).filter("back = id AND D <> id").select("id")
-    mail = v.filter("D IS NOT NULL AND D <> id").select(F.col("D").alias("to"), F.col("id").alias("whose"), F.lit(1).alias("tag")).union(v.select("id", "D", F.lit(0)))
-    w = Window.partitionBy("to")
-    # the pair (a, b) meets at a as the mail of b and as a's own pointer
-    met = mail.withColumn("own", F.max(F.when(F.col("tag") == 0, F.col("whose"))).over(w))
-    return met.filter("tag = 1 AND own = whose").select(F.col("to").alias("id"))
+    mail = v.filter("D IS NOT NULL AND D <> id").select(F.col("D").alias("to"), F.col("id").alias("whose"))
+    # only the letter of the own target matters, so letters and pointers meet by both ends, however many point to a vertex
+    return v.join(mail, (F.col("id") == F.col("to")) & (F.col("D") == F.col("whose")), "left_semi").select("id")
 
 
 def msf(g: Graph, peephole: bool = True) -> DataFrame:
@@ -131,8 +160,9 @@ def preorder(g: Graph) -> DataFrame:
     """(id, pre): pre-order numbers of a forest, roots and children by id. The Euler tour enters and leaves each vertex; ranking the list with 1 for each entry
     numbers them."""
     v = g.vertices.select("id", F.when(F.col("Parent") != F.col("id"), F.col("Parent")).alias("p"))
-    w = Window.partitionBy("p").orderBy("id")
-    kids = v.withColumn("before", F.lag("id").over(w))
+    kids = predecessors(v.filter("p IS NOT NULL"), "id", ["id"], "p").withColumnRenamed("Pred", "before")
+    # roots have no parent to be dealt by, so they are ordered by ranges
+    kids = kids.union(predecessors(v.filter("p IS NULL"), "id", ["id"]).withColumnRenamed("Pred", "before"))
     last = v.filter("p IS NOT NULL").groupBy(F.col("p").alias("lp")).agg(F.max("id").alias("last"))
     enter, leave = F.col("id") * 2, F.col("id") * 2 + 1
     # what comes before entering: the sibling's leaving, or the parent's entering; before leaving: the last child's leaving, or the own entering

@@ -18,23 +18,25 @@ def _until_same(s: DataFrame, one, changed) -> DataFrame:
 
 
 def sssp(g: Graph, source: int = 0, frontier: bool = True) -> DataFrame:
+    e, _ = materialise(g.edges)
     s = g.vertices.select("id", F.when(F.col("id") == source, 0).cast("long").alias("d"), (F.col("id") == source).alias("a"))
 
     def one(s):
         senders = s.filter("a" if frontier else "d IS NOT NULL").select(F.col("id").alias("src"), "d")
-        got = g.edges.join(senders, "src").groupBy("dst").agg(F.min(F.col("d") + F.col("val")).alias("n"))
+        got = e.join(senders, "src").groupBy("dst").agg(F.min(F.col("d") + F.col("val")).alias("n"))
         return s.join(got, F.col("id") == F.col("dst"), "left").select("id", F.least("d", "n").alias("d"), F.coalesce(F.col("n") < F.col("d"), F.col("n").isNotNull() & F.col("d").isNull(), F.lit(False)).alias("a"))
 
     return _until_same(s, one, F.col("a")).select("id", F.col("d").alias("dist"))
 
 
 def components(g: Graph) -> DataFrame:
+    e, _ = materialise(g.edges)
     s = g.vertices.select("id", F.col("id").alias("d"), F.lit(None).cast("long").alias("was"))
 
     def one(s):
         base = s.select("id", "d")
         up = base.select(F.col("id").alias("k"), F.col("d").alias("g"))
-        near = g.edges.join(base.select(F.col("id").alias("src"), F.col("d").alias("x")), "src").groupBy("dst").agg(F.min("x").alias("n"))
+        near = e.join(base.select(F.col("id").alias("src"), F.col("d").alias("x")), "src").groupBy("dst").agg(F.min("x").alias("n"))
         r = base.join(up, F.col("d") == F.col("k")).join(near, F.col("id") == F.col("dst"), "left").select("id", "d", "g", "n")
         hooks = r.filter("g = d AND n < d").groupBy("d").agg(F.min("n").alias("h")).withColumnRenamed("d", "t")
         return r.join(hooks, F.col("id") == F.col("t"), "left").select("id", F.least(F.when(F.col("g") == F.col("d"), F.col("d")).otherwise(F.col("g")), "h").alias("d"), F.col("d").alias("was"))
@@ -47,9 +49,12 @@ def list_rank(g: Graph, frontier: bool = True) -> DataFrame:
 
     def one(s):
         far = s.select(F.col("id").alias("k"), F.col("r").alias("r2"), F.col("p").alias("p2"))
-        j = s.join(far, F.col("p") == F.col("k"))
+        # those that have reached their head sleep and are not joined again
+        awake, asleep = (s.filter("a"), s.filter("NOT a")) if frontier else (s, None)
+        j = awake.join(far, F.col("p") == F.col("k"))
         go = F.col("p2") != F.col("p")
-        return j.select("id", F.when(go, F.col("r") + F.col("r2")).otherwise(F.col("r")).alias("r"), F.when(go, F.col("p2")).otherwise(F.col("p")).alias("p"), go.alias("a"))
+        moved = j.select("id", F.when(go, F.col("r") + F.col("r2")).otherwise(F.col("r")).alias("r"), F.when(go, F.col("p2")).otherwise(F.col("p")).alias("p"), go.alias("a"))
+        return moved.union(asleep) if frontier else moved
 
     return _until_same(s, one, F.col("a")).select("id", F.col("r").alias("rank"))
 

@@ -14,9 +14,9 @@ from farfield.lang import dsl as L
 from farfield.lang.dsl import In, Nbr, Out, either, foreign, local, remote, step, stop, var, when
 from farfield.lang.dsl import F as V
 from farfield.operators import relational as O
-from farfield.plans import machine
 from farfield.plans.knowledge import Knows, plan_reads
 from farfield.plans.runtime import run
+from farfield.plans.store import materialise
 from farfield.sources import builders as B
 from farfield.sources.graph import Graph, intern_ids
 from farfield.sources.tables import load
@@ -99,43 +99,15 @@ FOREST_SQL = """f AS (SELECT CAST(r_regionkey AS BIGINT) AS id, CAST(r_regionkey
 
 # --- chains ---
 
-for _d in (2, 3, 4, 5, 6, 7, 8):
+for _d in (2, 3, 4, 5, 6, 7, 8):  # by the messages of the read plan
     _sql = f"WITH {EVENTS} SELECT id, coalesce(lag(id, {_d}) OVER (ORDER BY ts, id), -1) AS value FROM ev UNION ALL SELECT -1, -1"
     query(f"chain_depth{_d}_event_chain", _sql)(lambda s, d, k=_d: run(P.chain(("Pred",) * k), B.event_chain(s, d)).select(F.col("Value").alias("value")))
 
 
-def by_messages(g: Graph, path: tuple[str, ...], strategy: str = "planned") -> DataFrame:
-    """A chain by the messages of its plan, one join and exchange for each send: streams of (address, asker) meet the state at the address."""
-    s = g.vertices.withColumn("_live", F.lit(True))
-    plan = plan_reads([Knows((), path)], strategy)
-    columns: dict[tuple, DataFrame] = {}
-    streams: dict[tuple, DataFrame] = {(): s.select(F.col("id").alias("at"), F.col("id").alias("asker"))}
-
-    def column(p):
-        return s.select("id", F.col(p[0]).alias("v")) if len(p) == 1 else s.select("id", F.col("id").alias("v")) if not p else columns[p]
-
-    for x in plan.sends:
-        at, value = x.goal.at, x.goal.value
-        if value == ():  # at(u) learns of u: those that know u also know the address
-            near = column(at[len(x.via) :]).withColumnRenamed("id", "k")
-            streams[at] = streams[x.via].join(near, F.col("at") == F.col("k")).select(F.col("v").alias("at"), "asker")
-        else:
-            near = column(value[len(x.via) :]).withColumnRenamed("id", "k")
-            columns[value] = streams[x.via].join(near, F.col("at") == F.col("k")).select(F.col("asker").alias("id"), "v")
-    return column(path).select("id", F.col("v").alias("value"))
-
-
-query("chain_messages_depth4", ORACLES["chain_depth4_event_chain"])(lambda s, d: by_messages(B.event_chain(s, d), ("Pred",) * 4))
-query("chain_request_reply_depth4", ORACLES["chain_depth4_event_chain"])(lambda s, d: _request_reply(B.event_chain(s, d), 4))
-
-
-def _request_reply(g: Graph, depth: int) -> DataFrame:
-    """Ask the vertex known so far for its pointer, again and again: two exchanges for each further field."""
-    out = g.vertices.select("id", F.col("Pred").alias("v"))
-    for _ in range(depth - 1):
-        far = g.vertices.select(F.col("id").alias("k"), F.col("Pred").alias("n"))
-        out = out.join(far, F.col("v") == F.col("k")).select("id", F.col("n").alias("v")).repartition("id")
-    return out.select("id", F.col("v").alias("value"))
+_chain_by = lambda reads, path, build: lambda s, d: run(P.chain(path), build(s, d), reads=reads).select(F.col("Value").alias("value"))
+for _d in (4, 8):
+    for _reads in ("doubling", "request_reply"):
+        query(f"chain_{_reads}_depth{_d}", ORACLES[f"chain_depth{_d}_event_chain"])(_chain_by(_reads, ("Pred",) * _d, B.event_chain))
 
 
 @query("chain_mixed_region_of_order", "SELECT 30000000000 + o_orderkey AS id, r_name AS value FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey")
@@ -225,6 +197,16 @@ _MUTUAL = f"WITH {flow('b')}, p AS (SELECT src, min(dst) AS t FROM e GROUP BY sr
 _pointer = lambda s, d: run(step(lambda u: [local(V.D[u], Out[u].minimum(lambda e: V.id[e.ref]))]), B.part_flow(s, d, "b")).select("D")
 query("mutual_pairs_part_flow", _MUTUAL)(lambda s, d: R.mutual_pointers(_pointer(s, d), True))
 query("mutual_pairs_two_rounds", _MUTUAL)(lambda s, d: R.mutual_pointers(_pointer(s, d), False))
+_back = step(lambda u: [local(V.D[u], Out[u].minimum(lambda e: V.id[e.ref]))]) >> step(lambda u: [local(V.Hit[u], V.D[V.D[u]].eq(V.id[u]))])
+for _way in (True, False):
+    query(f"mutual_pairs_rewrite_{'on' if _way else 'off'}", _MUTUAL)(lambda s, d, w=_way: run(_back, B.part_flow(s, d, "b"), peephole=w).state.filter("Hit").select("id"))
+
+
+@query("two_hop_part_flow", f"WITH {flow('b')}, n AS (SELECT src, max(val) AS m FROM e GROUP BY src) SELECT v.id, coalesce(sum(n.m), 0)::BIGINT AS x FROM v LEFT JOIN e ON e.src = v.id LEFT JOIN n ON n.src = e.dst GROUP BY v.id")
+def two_hop(s, d):
+    """A comprehension inside another."""
+    p = step(lambda u: [local(V.X[u], Out[u].total(lambda e: either(Out[e.ref].maximum(lambda f: f.val, "f").eq(L.inf), 0, Out[e.ref].maximum(lambda f: f.val, "f")), "e"))])
+    return run(p, B.part_flow(s, d, "b"), allow_two_hop=True).select(F.col("X").alias("x"))
 
 # --- algorithms and their variants ---
 
@@ -257,7 +239,14 @@ query("sv_no_combiner", _exact)(lambda s, d: _comp(R.components(B.doc_exact(s, d
 query("hand_components", _cc)(lambda s, d: H.components(B.undirected(B.part_flow(s, d, "c"))))
 
 
-@query("components_toxic_stopped")
+@query("components_toxic_stopped", f"""WITH RECURSIVE {OVERLAP}, {BOTH}, x AS (SELECT v.id, coalesce(toxic, 0) = 1 AS gone FROM v LEFT JOIN labels ON doc_id = v.id), sv(k, id, d) AS (
+  SELECT 0, id, id FROM v
+  UNION ALL
+  (WITH now AS (SELECT k, id, d FROM sv), near AS (SELECT b.src AS id, min(n.d) AS m FROM b JOIN now n ON n.id = b.dst GROUP BY b.src),
+  seen AS (SELECT a.k, a.id, a.d, up.d AS g, near.m, x.gone FROM now a JOIN now up ON up.id = a.d JOIN x ON x.id = a.id LEFT JOIN near ON near.id = a.id),
+  hook AS (SELECT d AS t, min(m) AS h FROM seen WHERE NOT gone AND g = d AND m < d GROUP BY d)
+  SELECT k + 1, id, CASE WHEN gone THEN d ELSE least(CASE WHEN g = d THEN d ELSE g END, coalesce(h, 4611686018427387904)) END FROM seen LEFT JOIN hook ON t = id WHERE k < 25)
+) SELECT id, d AS comp FROM sv WHERE k = 25""")
 def components_stopped(s, d):
     """Toxic documents stop first: they keep their own label, which others still read."""
     p = P.components()
@@ -275,16 +264,43 @@ query("lr_no_fuse", _ur)(lambda s, d: _rank(R.list_rank(B.user_chains(s, d), fus
 query("hand_list_rank", _ur)(lambda s, d: H.list_rank(B.user_chains(s, d)))
 query("pagerank_part_flow", pagerank_sql(flow("a"), 10))(lambda s, d: _pr(R.pagerank(B.part_flow(s, d, "a"), 10).select(F.col("Rank").alias("rank"))))
 query("pagerank_page_links", pagerank_sql(LINKS, 10))(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 10).select(F.col("Rank").alias("rank"))))
-query("pagerank_redistribute")(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 10, dangling="redistribute").select(F.col("Rank").alias("rank"))))
-query("pagerank_until_small_change")(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 30, eps=1e-4).select(F.col("Rank").alias("rank"))))
+def pagerank_more_sql(graph: str, k: int, lost: str, last: str) -> str:
+    """lost: the rank of vertices without edges out is spread. last: which round is the answer."""
+    return f"""WITH RECURSIVE {graph}, d AS (SELECT src, count(*) AS d FROM e GROUP BY src), n AS (SELECT count(*) AS n FROM v), pr(k, id, rank) AS (
+      SELECT 0, id, 1.0::DOUBLE / n FROM v, n
+      UNION ALL
+      (WITH now AS (SELECT k, id, rank FROM pr), near AS (SELECT e.dst, sum(now.rank / d.d) AS r FROM now JOIN e ON e.src = now.id JOIN d ON d.src = e.src GROUP BY e.dst),
+      l AS (SELECT {lost} AS lost FROM now LEFT JOIN d ON d.src = now.id WHERE d.d IS NULL)
+      SELECT k + 1, now.id, 0.15 / n.n + 0.85 * (coalesce(r, 0) + coalesce(lost, 0) / n.n) FROM now CROSS JOIN n CROSS JOIN l LEFT JOIN near ON near.dst = now.id WHERE k < {k})
+    ) SELECT id, round(rank, 9) AS rank FROM pr WHERE k = ({last})"""
+
+
+_small = "SELECT coalesce(min(k), 30) FROM (SELECT a.k, max(abs(a.rank - b.rank)) AS most FROM pr a JOIN pr b ON a.id = b.id AND a.k = b.k + 1 GROUP BY a.k) WHERE most < 1e-4"
+query("pagerank_redistribute", pagerank_more_sql(LINKS, 10, "sum(rank)", "10"))(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 10, dangling="redistribute").select(F.col("Rank").alias("rank"))))
+query("pagerank_until_small_change", pagerank_more_sql(LINKS, 30, "0.0 * count(*)", _small))(lambda s, d: _pr(R.pagerank(B.page_links(s, d), 30, eps=1e-4).select(F.col("Rank").alias("rank"))))
 query("hand_pagerank", pagerank_sql(flow("a"), 10))(lambda s, d: _pr(H.pagerank(B.part_flow(s, d, "a"), 10)))
+query("pagerank_part_flow_30", pagerank_sql(flow("a"), 30))(lambda s, d: _pr(R.pagerank(B.part_flow(s, d, "a"), 30).select(F.col("Rank").alias("rank"))))
+query("hand_pagerank_30", pagerank_sql(flow("a"), 30))(lambda s, d: _pr(H.pagerank(B.part_flow(s, d, "a"), 30)))
+query("hand_list_rank_no_halt", _ur)(lambda s, d: H.list_rank(B.user_chains(s, d), frontier=False))
 query("scc_part_flow_sparse", SCC_SQL)(lambda s, d: R.scc(B.part_flow(s, d, "c")).select(F.col("Scc").alias("scc")))
 query("hand_scc", SCC_SQL)(lambda s, d: H.scc(B.part_flow(s, d, "c")))
-query("hand_scc_part_flow_r")(lambda s, d: H.scc(B.part_flow(s, d, "b")))
+query("scc_no_early_exit", SCC_SQL)(lambda s, d: R.scc(B.part_flow(s, d, "c"), early=False).select(F.col("Scc").alias("scc")))
+_scc_r = SCC_SQL.replace(flow("c"), flow("b"))
+query("scc_part_flow_r", _scc_r)(lambda s, d: R.scc(B.part_flow(s, d, "b")).select(F.col("Scc").alias("scc")))
+query("hand_scc_part_flow_r", _scc_r)(lambda s, d: H.scc(B.part_flow(s, d, "b")))
+query("scc_page_links", SCC_SQL.replace(flow("c"), LINKS))(lambda s, d: R.scc(B.page_links(s, d)).select(F.col("Scc").alias("scc")))
+query("msf_program", MSF_SQL)(lambda s, d: R.msf_program(B.supplier_mesh(s, d)))
+query("msf_program_two_rounds", MSF_SQL)(lambda s, d: R.msf_program(B.supplier_mesh(s, d), peephole=False))
 query("msf_supplier_mesh", MSF_SQL)(lambda s, d: R.msf(B.supplier_mesh(s, d)))
 query("msf_no_peephole", MSF_SQL)(lambda s, d: R.msf(B.supplier_mesh(s, d), peephole=False))
 query("hand_msf", MSF_SQL)(lambda s, d: H.msf(B.supplier_mesh(s, d)))
-query("msf_vec_knn")(lambda s, d: R.msf(B.vec_knn(s, d)))
+KNN = """x AS (SELECT vec_id AS id, list_transform(embedding, lambda z: CAST(round(CAST(z AS DOUBLE) * 1000) AS BIGINT)) AS x FROM embeddings),
+pr AS (SELECT a.id AS a, b.id AS b, CAST(list_sum(list_transform(list_zip(a.x, b.x), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS BIGINT) AS val FROM x a JOIN x b ON a.id <> b.id),
+nn AS (SELECT a, b, val FROM pr QUALIFY row_number() OVER (PARTITION BY a ORDER BY val, b) <= 5), e0 AS (SELECT DISTINCT least(a, b) AS src, greatest(a, b) AS dst, val FROM nn),
+e AS (SELECT src, dst, row_number() OVER (ORDER BY val, src, dst) AS val, val AS w FROM e0)"""
+_knn_sql = MSF_SQL.replace(MESH, KNN).replace("SELECT e.src, e.dst, e.val FROM e", "SELECT e.src, e.dst, e.w AS val FROM e")
+query("msf_vec_knn", _knn_sql)(lambda s, d: R.msf(B.vec_knn(s, d)))
+query("msf_program_vec_knn", _knn_sql)(lambda s, d: R.msf_program(B.vec_knn(s, d)))
 query("roots_geo_forest", f"WITH RECURSIVE {FOREST_SQL}, r(id, root, depth) AS (SELECT id, id, 0 FROM f WHERE id = p UNION ALL SELECT f.id, r.root, r.depth + 1 FROM r JOIN f ON f.p = r.id AND f.id <> f.p) SELECT id, root, depth::BIGINT AS depth FROM r")(
     lambda s, d: R.roots(B.geo_forest(s, d)).select(F.col("Root").alias("root"), F.col("Depth").alias("depth"))
 )
@@ -295,13 +311,29 @@ query("matching_cust_part")(lambda s, d: R.bipartite_matching(B.cust_part(s, d))
 query("weight_matching_vec_knn")(lambda s, d: R.weight_matching(B.vec_knn(s, d)))
 
 
+def matching_faults(g: Graph, pairs: DataFrame) -> DataFrame:
+    """One row, all 0 for a maximal matching: pairs that are no edge, vertices in two pairs, and edges with two free ends."""
+    a, b = pairs.columns[:2]
+    m = pairs.select(F.col(a).alias("a"), F.col(b).alias("b"))
+    e = g.edges.select(F.least("src", "dst").alias("x"), F.greatest("src", "dst").alias("y")).distinct()
+    ends = m.select(F.col("a").alias("v")).union(m.select("b"))
+    no_edge = m.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y")).join(e, ["x", "y"], "left_anti")
+    twice = ends.groupBy("v").count().filter("count > 1")
+    taken = ends.distinct()
+    free = e.join(taken, F.col("x") == F.col("v"), "left_anti").join(taken, F.col("y") == F.col("v"), "left_anti")
+    one = lambda df, name: df.agg(F.count(F.lit(1)).alias(name))
+    return one(no_edge, "no_edge").crossJoin(one(twice, "twice")).crossJoin(one(free, "free"))  # one row each
+
+
+_faultless = "SELECT 0 AS no_edge, 0 AS twice, 0 AS free"
+query("matching_faults_cust_part", _faultless)(lambda s, d: (lambda g: matching_faults(g, R.bipartite_matching(g).transform(lambda m: materialise(m)[0])))(B.cust_part(s, d).stored()))
+query("matching_faults_vec_knn", _faultless)(lambda s, d: (lambda g: matching_faults(g, R.weight_matching(g).transform(lambda m: materialise(m)[0])))(B.vec_knn(s, d).stored()))
+
+
 @query("pattern_two_cycles", f"WITH {flow('c')} SELECT DISTINCT a.src AS id FROM e a JOIN e b ON a.src = b.dst AND a.dst = b.src")
 def two_cycles(s, d):
-    """Edges met by their own mirror: both lists of a vertex name the same neighbour."""
-    g = B.part_flow(s, d, "c")
-    back = g.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.lit(1).alias("back"))
-    both = g.edges.join(back, ["src", "dst"], "left_semi")
-    return R.pattern(Graph(g.vertices, both), lambda u: Out[u].count() > 0)
+    """Vertices with an edge to one that has an edge back."""
+    return run(P.two_cycles(), R.with_mirrors(B.part_flow(s, d, "c"))).state.filter("Hit").select("id")
 
 
 query("pattern_same_nation", "SELECT DISTINCT 30000000000 + o_orderkey AS id FROM orders JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey WHERE n_regionkey = 1")(
@@ -309,17 +341,15 @@ query("pattern_same_nation", "SELECT DISTINCT 30000000000 + o_orderkey AS id FRO
 )
 
 
-@query("recursive_sql_hops", dist_sql("e AS (SELECT lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS src, event_id AS dst, user_id FROM events QUALIFY src IS NOT NULL), v AS (SELECT event_id AS id FROM events WHERE user_id = (SELECT user_id FROM events WHERE event_id = 0))", "1"))
+@query("recursive_sql_hops", dist_sql("e AS (SELECT lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS src, event_id AS dst FROM events QUALIFY src IS NOT NULL), v AS (SELECT event_id AS id FROM events)", "1"))
 def recursive_hops(s, d):
-    """Hops along a user's chain by SQL recursion."""
-    who = load(s, d, "events").filter("event_id = 0").select(F.col("user_id").alias("u"))
-    g = B.user_chain_graph(s, d)
-    ids = load(s, d, "events").join(who, F.col("user_id") == F.col("u"), "left_semi").select(F.col("event_id").alias("id"))
-    ids.createOrReplaceTempView("farfield_v")
-    g.edges.filter("val = 1").join(ids, F.col("src") == F.col("id"), "left_semi").createOrReplaceTempView("farfield_e0")
-    e = B.predecessors(load(s, d, "events").select(F.col("event_id").alias("id"), "ts", "user_id"), "id", ["ts", "id"], "user_id").filter("Pred IS NOT NULL")
-    e.select(F.col("Pred").alias("src"), F.col("id").alias("dst")).createOrReplaceTempView("farfield_e")
-    return H.recursive_sssp(s, "farfield_v", "farfield_e", 0, 95)
+    """Hops from event 0 along its user's chain by SQL recursion. A chain is no longer than the events of the busiest user, which bounds the levels."""
+    events = load(s, d, "events")
+    longest = events.groupBy("user_id").count().agg(F.max("count")).first()[0] or 0
+    events.select(F.col("event_id").alias("id")).createOrReplaceTempView("farfield_v")
+    e = B.predecessors(events.select(F.col("event_id").alias("id"), "ts", "user_id"), "id", ["ts", "id"], "user_id").filter("Pred IS NOT NULL")
+    materialise(e.select(F.col("Pred").alias("src"), F.col("id").alias("dst")))[0].createOrReplaceTempView("farfield_e")
+    return H.recursive_sssp(s, "farfield_v", "farfield_e", 0, longest)
 
 
 # --- measures ---
@@ -331,16 +361,43 @@ def read_plan_rounds(s, d):
     return s.createDataFrame(rows, "depth long, planned long, request_reply long")
 
 
-@query("ledger_supersteps", """SELECT * FROM (VALUES ('sssp', 48, 2), ('pagerank', 30, 2), ('components', 7, 4), ('list_rank', 25, 3)) t(program, k, n),
-LATERAL (SELECT 3 + k * (n + 1) AS general, 2 + k * (n - 1) AS fused)""")
-def ledger_supersteps(s, d):
-    """Supersteps before and after merging, for given passes: k passes of n states."""
+def six(s, d) -> dict:
+    """The six programs on small graphs: name -> a function of the runtime's flags that gives a Result."""
+    ranked = lambda: R.with_rank(B.page_links(s, d))
+    init = lambda name: step(lambda u: [local(getattr(V, name)[u], getattr(V, name)[u])])
+    return {
+        "sssp": lambda **f: R.sssp(B.part_flow(s, d, "b"), **f), "pagerank": lambda **f: run(init("Rank") >> P.pagerank(10), ranked(), **f), "scc": lambda **f: R.scc(B.page_links(s, d), **f),
+        "components": lambda **f: R.components(B.doc_exact(s, d), **f), "list_rank": lambda **f: R.list_rank(B.turn_chain(s, d), **f), "msf": lambda **f: R.msf_run(B.supplier_mesh(s, d), **f),
+    }
+
+
+@query("merging_ablation")
+def merging_ablation(s, d):
+    """The six programs as they are and without merging and fusing: supersteps as counted while they ran, passes, jobs, exchanges and seconds."""
     rows = []
-    one = L.step(lambda u: [local(V.Rank[u], 0)])
-    for name, p, k in (("sssp", P.sssp(), 48), ("pagerank", one >> P.pagerank(30), 30), ("components", P.components(), 7), ("list_rank", P.list_rank(), 25)):
-        m = machine.build(p)
-        rows.append((name, k, machine.states_of(m.parts[1].parts[0], True), machine.supersteps(m, [k], False, False), machine.supersteps(m, [k], True, True)))
-    return s.createDataFrame(rows, "program string, k int, n int, general int, fused int")
+    for name, of in six(s, d).items():
+        for merged in (True, False):
+            x = of(merge=merged, fuse=merged).ledger
+            rows.append((name, merged, x.supersteps, sum(x.iterations), x.jobs, round(x.seconds, 3)))
+    return s.createDataFrame(rows, "program string, merged boolean, supersteps int, passes int, jobs int, seconds double")
+
+
+@query("ledger_list_rank", """WITH c AS (SELECT conv_id, count(*) AS n FROM conversations GROUP BY conv_id), k AS (SELECT CAST(ceil(log2(max(n))) AS BIGINT) + 1 AS k FROM c)
+SELECT k AS passes, 2 + 2 * k + 1 - 1 AS merged, 3 + 4 * k AS general FROM k""")
+def ledger_list_rank(s, d):
+    """Passes and supersteps of list ranking as they were counted in two runs; a pass has three states, of which merging shares one and takes the test away."""
+    on, off = (R.list_rank(B.turn_chain(s, d), merge=x, fuse=x).ledger for x in (True, False))
+    return s.createDataFrame([(on.iterations[0], on.supersteps, off.supersteps)], "passes long, merged long, general long")
+
+
+@query("redundant_messages")
+def redundant_messages(s, d):
+    """Messages of the shared sending states that nobody reads, and all messages, by kind, of the six programs."""
+    rows = []
+    for name, of in six(s, d).items():
+        x = of(measure=True).ledger
+        rows.append((name, x.redundant, sum(n for _, n, _ in x.messages), sum(n for _, _, n in x.messages), x.exchanges))
+    return s.createDataFrame(rows, "program string, redundant long, sent long, received_if_combined long, exchanges long")
 
 
 @query("message_counts_part_flow", f"WITH {flow('b')} SELECT count(*) AS sent, count(DISTINCT dst) AS receivers FROM e")
@@ -350,12 +407,48 @@ def message_counts(s, d):
     return counts(B.part_flow(s, d, "b").edges, "dst")
 
 
-@query("iterations_user_chain")
+@query("iterations_user_chain", """WITH p AS (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS pos FROM events),
+f AS (SELECT user_id, arg_min(pos, event_id) AS first_pos FROM p GROUP BY user_id) SELECT 'hashmin' AS program, max(abs(pos - first_pos)) + 1 AS passes FROM p JOIN f USING (user_id)""")
 def iterations(s, d):
-    """Passes of pointer jumping and of flooding on long chains, with jobs and supersteps."""
-    g = B.doc_overlap(s, d)
-    rows = [(n, r.ledger.iterations[-1], r.ledger.jobs, r.ledger.supersteps) for n, r in (("components", R.components(g)), ("hashmin", R.hashmin(g)))]
-    return s.createDataFrame(rows, "program string, passes int, jobs int, supersteps int")
+    """Passes of flooding on long chains: as many as the least id of a chain has to walk, and one that changes nothing."""
+    return s.createDataFrame([("hashmin", R.hashmin(B.user_chain_graph(s, d)).ledger.iterations[0])], "program string, passes long")
+
+
+@query("iterations_by_diameter")
+def iterations_by_diameter(s, d):
+    """Pointer jumping and flooding on long chains, and jumping on the one chain of all events, which flooding would take as many passes for as there are events."""
+    users, events = B.user_chain_graph(s, d), B.event_chain_graph(s, d)
+    rows = [(n, g, x.iterations[-1], x.jobs, x.supersteps) for n, g, x in (("components", "user chains", R.components(users).ledger), ("hashmin", "user chains", R.hashmin(users).ledger), ("components", "event chain", R.components(events).ledger))]
+    return s.createDataFrame(rows, "program string, graph string, passes int, jobs int, supersteps int")
+
+
+@query("partition_sweep")
+def partition_sweep(s, d):
+    """Seconds of two programs by the number of shuffle partitions, mean of three; experiments.py sweeps threads."""
+    from farfield.metrics import time3
+
+    before, rows = s.conf.get("spark.sql.shuffle.partitions"), []
+    try:
+        for n in (4, 8, 16):
+            s.conf.set("spark.sql.shuffle.partitions", n)
+            for name in ("components", "list_rank"):
+                rows.append((name, n, round(time3(lambda name=name: six(s, d)[name]()), 3)))
+    finally:
+        s.conf.set("spark.sql.shuffle.partitions", before)
+    return s.createDataFrame(rows, "program string, partitions int, seconds double")
+
+
+@query("plan_operators")
+def plan_operators(s, d):
+    """Operators in the plan of one pass of the programs, before adaptive changes."""
+    from farfield.metrics import plan_stats
+
+    rows = []
+    for name, p, g in (("components", P.components(), B.doc_exact(s, d)), ("hashmin", P.hashmin(), B.doc_exact(s, d)), ("list_rank", P.list_rank(), B.turn_chain(s, d))):
+        body = p.parts[1].body
+        flat = P.chain(("id",), "D") >> body if name != "list_rank" else p.parts[0] >> body
+        rows += [(name, k, n) for k, n in plan_stats(run(flat, g.stored()).state).items()]
+    return s.createDataFrame(rows, "program string, operator string, n int")
 
 
 @query("program_sizes")
@@ -372,7 +465,7 @@ query("scan_nation", "SELECT n_nationkey, n_name FROM nation WHERE n_regionkey =
 query("graph_validate_part_flow", f"WITH {flow('b')} SELECT 0 AS repeated_ids, count(CASE WHEN v.id IS NULL THEN 1 END) AS dangling_ends, 0 AS self_loops, 0 AS repeated_edges, 0 AS unmirrored_edges FROM (SELECT src AS x FROM e UNION ALL SELECT dst FROM e) LEFT JOIN v ON v.id = x")(lambda s, d: B.part_flow(s, d, "b").validate())
 query("intern_ids_pages", "SELECT count(DISTINCT url) AS keys, count(DISTINCT url) AS ids FROM pages")(lambda s, d: intern_ids(load(s, d, "pages"), "url").agg(F.countDistinct("url").alias("keys"), F.countDistinct("id").alias("ids")))
 query("adjacency_supplier_mesh", f"WITH {MESH}, b AS (SELECT src, dst, val FROM e UNION ALL SELECT dst, src, val FROM e) SELECT s_suppkey AS id, count(b.dst) AS n, min(b.dst) AS first FROM supplier LEFT JOIN b ON b.src = s_suppkey GROUP BY 1")(
-    lambda s, d: B.supplier_mesh(s, d).with_adjacency(10_000).select("id", F.coalesce(F.size("adjacent"), F.lit(0)).cast("long").alias("n"), F.get("adjacent", F.lit(0))["ref"].alias("first"))
+    lambda s, d: B.supplier_mesh(s, d).with_adjacency(100).groupBy("id").agg(F.sum(F.coalesce(F.size("adjacent"), F.lit(0))).cast("long").alias("n"), F.min(F.array_min(F.transform("adjacent", lambda x: x["ref"]))).alias("first"))
 )
 query("induced_part_flow", f"WITH {flow('b')} SELECT src, dst, val FROM e WHERE src % 2 = 0 AND dst % 2 = 0")(lambda s, d: (lambda g: g.induced(g.vertices.filter("id % 2 = 0")).edges)(B.part_flow(s, d, "b")))
 query("edges_page_links", f"WITH {LINKS} SELECT src, dst FROM e")(lambda s, d: B.page_links(s, d).edges.select("src", "dst"))
@@ -501,14 +594,20 @@ def udtf_links(s, d):
     return s.sql("SELECT page_id, count(*) AS links FROM pages, LATERAL farfield_links(html) GROUP BY page_id")
 
 
+SMALL = 1000
+
+
 @query("finisher_small_components", _exact)
 def finisher(s, d):
-    """Components of a bounded size are solved in one task each, after a cheap key has brought them together."""
+    """Components of at most SMALL vertices are solved in one task each, after a cheap key has brought them together; larger ones by sums, which
+    Spark reduces before it shuffles."""
     def solve(rows: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"id": rows["id"], "comp": rows["id"].min()})
 
     docs = load(s, d, "documents").select(F.col("doc_id").alias("id"), F.md5("text").alias("k"))
-    return docs.groupBy("k").applyInPandas(solve, "id long, comp long")
+    sizes = docs.groupBy(F.col("k").alias("key")).agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("comp"))
+    known = docs.join(sizes, F.col("k") == F.col("key"))
+    return known.filter(F.col("n") <= SMALL).select("id", "k").groupBy("k").applyInPandas(solve, "id long, comp long").union(known.filter(F.col("n") > SMALL).select("id", "comp"))
 
 
 # --- streams over stored tables, run to their end ---
@@ -528,11 +627,15 @@ def _streamed(s, d, make, mode="append", parts=4):
 
 
 query("stream_running_rank", f"WITH {EVENTS} SELECT id AS event_id, CAST(sum(v) OVER (PARTITION BY user_id ORDER BY ts, id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS rank FROM ev")(lambda s, d: _streamed(s, d, S.running_rank))
-query("stream_tumbling")(lambda s, d: _streamed(s, d, lambda x: S.windowed_pairs(x)).select(F.col("window.start").alias("start"), "user_id", "n"))
-query("stream_sliding")(lambda s, d: _streamed(s, d, lambda x: S.windowed_pairs(x, slide="30 minutes")).select(F.col("window.start").alias("start"), "user_id", "n"))
-query("stream_sessions")(lambda s, d: _streamed(s, d, S.sessions).select(F.col("session_window.start").alias("start"), "user_id", "n"))
-query("stream_interval_join")(lambda s, d: _streamed(s, d, lambda x: S.interval_edges(x.filter("event_type = 'click'"), x.filter("event_type = 'purchase'"))))
-query("stream_dedup")(lambda s, d: _streamed(s, d, lambda x: S.dedup_edges(x.select((F.col("user_id") % 50).alias("src"), F.hash("event_type").cast("long").alias("dst"), "ts"), "1 day")))
+_start = lambda df, w: df.select(F.col(f"{w}.start").cast("timestamp_ntz").alias("start"), "user_id", "n")
+#: A window is out when the watermark, an hour behind the newest event, has passed its end.
+_OUT = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
+_HALVES = "SELECT user_id, time_bucket(INTERVAL 30 MINUTE, ts, TIMESTAMP '2000-01-01') AS h FROM events"
+query("stream_tumbling", f"SELECT time_bucket(INTERVAL 1 HOUR, ts, TIMESTAMP '2000-01-01') AS start, user_id, count(*) AS n FROM events GROUP BY 1, 2 HAVING start + INTERVAL 1 HOUR <= {_OUT}")(lambda s, d: _start(_streamed(s, d, lambda x: S.windowed_pairs(x)), "window"))
+query("stream_sliding", f"SELECT start, user_id, count(*) AS n FROM (SELECT user_id, h AS start FROM ({_HALVES}) UNION ALL SELECT user_id, h - INTERVAL 30 MINUTE FROM ({_HALVES})) GROUP BY 1, 2 HAVING start + INTERVAL 1 HOUR <= {_OUT}")(lambda s, d: _start(_streamed(s, d, lambda x: S.windowed_pairs(x, slide="30 minutes")), "window"))
+query("stream_sessions", f"WITH f AS (SELECT user_id, ts, event_id, coalesce(ts > lag(ts) OVER w + INTERVAL 30 MINUTE, true) AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), g AS (SELECT *, sum(first::INT) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS s FROM f) SELECT min(ts) AS start, user_id, count(*) AS n FROM g GROUP BY user_id, s HAVING max(ts) + INTERVAL 30 MINUTE <= {_OUT}")(lambda s, d: _start(_streamed(s, d, S.sessions), "session_window"))
+query("stream_interval_join", "SELECT a.event_id AS src, b.event_id AS dst FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase'")(lambda s, d: _streamed(s, d, lambda x: S.interval_edges(x.filter("event_type = 'click'"), x.filter("event_type = 'purchase'"))))
+query("stream_dedup", "SELECT DISTINCT user_id % 50 AS src, length(event_type) AS dst FROM events")(lambda s, d: _streamed(s, d, lambda x: S.dedup_edges(x.select((F.col("user_id") % 50).alias("src"), F.length("event_type").cast("long").alias("dst"), "ts"), "10000 days")).select("src", "dst"))
 
 
 @query("stream_components", _users)

@@ -10,8 +10,11 @@ from farfield.algorithms import run as R
 from farfield.baselines import exact, handwritten
 from farfield.lang import dsl as L
 from farfield.lang.dsl import F as V
+from farfield.lang.check import ProgramError
 from farfield.lang.interp import INF, Interpreter, LocalGraph
+from farfield.lang.text import parse, pretty
 from farfield.operators import relational as O
+from farfield.plans import machine
 from farfield.plans.runtime import run
 from farfield.sources.graph import Graph
 
@@ -192,3 +195,111 @@ def test_read_and_write(spark, tmp_path):
         assert Graph.read(spark, f"{tmp_path}/{kind}/edges", kind).edges.count() == 2
     g.create_views("t")
     assert spark.sql("SELECT count(*) FROM t_edges").first()[0] == 2
+
+
+def test_msf_is_a_program(spark):
+    for edges in (random_edges(7, 16, 40), random_edges(8, 16, 12), [(0, 1, 1), (1, 2, 1), (2, 3, 1), (0, 3, 1)]):
+        once = list({(min(a, b), max(a, b)): (min(a, b), max(a, b), w) for a, b, w in edges}.values())
+        g = graph(spark, range(16), once, False)
+        for flags in ({}, {"peephole": False}, {"merge": False, "fuse": False}):
+            assert {tuple(r) for r in R.msf_program(g, **flags).collect()} == exact.forest(range(16), once)
+
+
+def test_scc_leaves_early(spark):
+    ids, edges = range(14), random_edges(2, 14, 22)
+    want = exact.strong_components(ids, [(a, b) for a, b, _ in edges])
+    early, late = (R.scc(graph(spark, ids, edges), early=x) for x in (True, False))
+    assert got(early.state, "Scc") == want == got(late.state, "Scc")
+    assert early.ledger.supersteps < late.ledger.supersteps and len(early.ledger.iterations) == len(late.ledger.iterations) - 2
+
+
+@pytest.mark.parametrize("reads", ["planned", "request_reply", "doubling"])
+def test_ways_to_read_chains(spark, reads):
+    """Chains of each length and of mixed fields, some of which end at no vertex, as the interpreter reads them."""
+    r = random.Random(4)
+    rows = [(i, r.randrange(12) if i % 5 else None, r.randrange(14), 10 * i) for i in range(12)]
+    at = lambda u, path: u if not path else getattr(V, path[-1])[at(u, path[:-1])]
+    paths = [("D",) * k for k in range(2, 9)] + [("D", "E", "X"), ("E", "D", "E", "X"), ("E", "E", "D", "X")]
+    p = L.step(lambda u: [L.local(getattr(V, f"Out{k}")[u], at(u, path)) for k, path in enumerate(paths)])
+    mine = run(p, Graph(spark.createDataFrame(rows, "id long, D long, E long, X long")), reads=reads).state
+    local = Interpreter(LocalGraph({i: {"D": INF if d is None else d, "E": e, "X": x} for i, d, e, x in rows}, [])).run(p)
+    names = [f"Out{k}" for k in range(len(paths))]
+    assert got(mine, *names) == {i: tuple(None if f[n] == INF else f[n] for n in names) for i, f in local.v.items()}
+
+
+def test_none_match_exit_and_limit(spark):
+    g = Graph(spark.createDataFrame([(i, i) for i in range(5)], "id long, X long"))
+    count = L.step(lambda u: [L.local(V.X[u], V.X[u] + 1)])
+    assert run(L.repeat(count, L.none_match(lambda u: V.X[u] < 7)), g).ledger.iterations == [7]
+    assert run(L.repeat(count >> L.exit_when("any", lambda u: V.X[u] > 9) >> count, L.rounds(50)), g).ledger.iterations == [4]
+    capped = run(L.repeat(count, L.none_match(lambda u: V.X[u] < 7), 3), g)
+    assert capped.ledger.iterations == [3] and not capped.ledger.converged
+    text = pretty(L.repeat(count >> L.exit_when("any", lambda u: V.X[u] > 9), L.none_match(lambda u: V.X[u] < 7)))
+    assert pretty(parse(text)) == text
+    for p in (L.repeat(count, L.none_match(lambda u: V.X[u] < 7)), L.repeat(count >> L.exit_when("any", lambda u: V.X[u] > 9) >> count, L.rounds(50))):
+        i = Interpreter(LocalGraph({k: {"X": k} for k in range(5)}, []))
+        assert {k: f["X"] for k, f in i.run(p).v.items()} == got(run(p, g).state, "X")
+
+
+def test_writes_to_what_is_not_there(spark):
+    g = Graph(spark.createDataFrame([(0, 1, 5), (1, 9, 7)], "id long, P long, X long"))
+    p = L.step(lambda u: [L.remote(V.X[V.P[u]], "max", 99)])
+    assert got(run(p, g).state, "X") == {0: 5, 1: 99}
+    with pytest.raises(Exception, match="not there or has stopped"):
+        run(p, g, on_missing="error").state.collect()
+    stopped = L.stop(lambda u: V.id[u].eq(1)) >> p
+    assert got(run(stopped, g).state, "X") == {0: 5, 1: 7}
+    with pytest.raises(Exception, match="not there or has stopped"):
+        run(stopped, g, on_missing="error").state.collect()
+
+
+def test_two_hops(spark):
+    edges = [(0, 1, 1), (1, 2, 5), (1, 3, 7), (0, 2, 1), (2, 3, 2)]
+    p = L.step(lambda u: [L.local(V.X[u], L.Out[u].total(lambda e: L.Out[e.ref].maximum(lambda f: f.val, "f"), "e"))])
+    with pytest.raises(ProgramError):
+        run(p, graph(spark, range(4), edges))
+    assert got(run(p, graph(spark, range(4), edges), allow_two_hop=True).state, "X") == {0: 9, 1: 2, 2: 0, 3: 0}
+
+
+def test_edges_are_derived_once(spark):
+    """However many passes a loop has, what the edges come from is read once, and buckets take exchanges away."""
+    seen = spark.sparkContext.accumulator(0)
+
+    def mark(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    edges = spark.range(40).selectExpr("id AS src", "id + 1 AS dst", "1L AS val").mapInArrow(mark, "src long, dst long, val long")
+    g = Graph(spark.range(41).select("id"), edges)
+    r = run(P.pagerank(6), Graph(g.vertices.selectExpr("id", "1.0D AS Rank", "1L AS Deg", "0.1D AS Base"), edges))
+    assert r.ledger.iterations == [6] and seen.value == 40
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        ids, pairs = SMALL["random"]
+        plain, dealt = (R.components(graph(spark, ids, pairs, False), measure=True, buckets=b) for b in (None, 4))
+        assert got(plain.state, "D") == got(dealt.state, "D")
+        assert dealt.ledger.exchanges < plain.ledger.exchanges
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_ledger_measures(spark):
+    ids, edges = SMALL["random"]
+    p = P.components()
+    r = R.components(graph(spark, ids, edges, False), measure=True)
+    assert r.ledger.supersteps == machine.supersteps(machine.build(p), r.ledger.iterations)
+    sent = [(kind, n) for kind, n, _ in r.ledger.messages]
+    assert ("from Nbr", 2 * len(edges)) in sent and all(receivers <= n for _, n, receivers in r.ledger.messages)
+    assert r.ledger.redundant == len(list(ids))  # each asks its pointer once more
+    quiet = R.sssp(graph(spark, ids, edges), measure=True)
+    assert quiet.ledger.redundant == 0 and not any(n for k, n, _ in quiet.ledger.messages[-1:])
+
+
+def test_adjacency_in_parts(spark):
+    g = graph(spark, range(9), [(0, k, k) for k in range(1, 8)] + [(1, 0, 3)])
+    rows = g.with_adjacency(3).collect()
+    assert sorted(len(r["adjacent"]) for r in rows if r["id"] == 0) == [1, 3, 3]
+    assert sorted(x["ref"] for r in rows if r["id"] == 0 for x in r["adjacent"]) == list(range(1, 8))
+    assert [r["adjacent"] for r in rows if r["id"] == 8] == [None]
