@@ -8,23 +8,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from farfield.algorithms import programs as P
+from farfield.functions.foreign import FUNCTIONS
 from farfield.lang import dsl as L
 from farfield.plans.runtime import Result, run
 from farfield.plans.store import materialise
 from farfield.sources.builders import predecessors
 from farfield.sources.graph import Graph
 
-FUNCTIONS = {
-    "toss": lambda *xs: F.xxhash64(*xs),
-    "second": lambda p: p["_2"],
-    "third": lambda p: p["_2"]["far"],
-    # orders equal weights by the edge, seen alike from both ends; far is the other end
-    "ends": lambda a, b, far: F.struct(F.least(a, b).alias("lo"), F.greatest(a, b).alias("hi"), far.alias("far")),
-    "far": lambda p: p["_2"]["far"],
-    "edge_key": lambda a, b: F.struct((-F.least(a, b)).alias("lo"), (-F.greatest(a, b)).alias("hi"), b.alias("far")),
-}
-
-
 def sssp(g: Graph, source: int = 0, unit: bool = False, active: bool = True, **flags) -> Result:
     return run(P.sssp(source, unit, active), g, **flags)
 

@@ -1,0 +1 @@
+"""Functions that programs call by name."""

@@ -5,11 +5,12 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.errors import AnalysisException
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from farfield.lang import ast as A
-from farfield.lang.check import check_program, hoist_two_hops, steps, walk
+from farfield.lang.check import check_program, hoist_two_hops, steps, walk, written_fields
 from farfield.plans import machine
 from farfield.plans.lower import LIVE, lower_step, lower_stop, with_condition, with_state, writes_of
 from farfield.plans.store import drop, materialise
@@ -46,11 +47,21 @@ class Left(Exception):
 
 @dataclass
 class Result:
-    state: DataFrame
+    """carried: the fields that the program names. Those that it does not name stay where they were, and are joined only where all of the state is asked for."""
+
+    carried: DataFrame
     ledger: Ledger
+    others: DataFrame | None = None
+
+    @property
+    def state(self) -> DataFrame:
+        return self.carried if self.others is None else self.carried.join(self.others, "id")
 
-    def select(self, *fields: str) -> DataFrame:
-        return self.state.select("id", *fields)
+    def select(self, *fields: str | Column) -> DataFrame:
+        try:
+            return self.carried.select("id", *fields)
+        except AnalysisException:  # a field that the program does not name
+            return self.state.select("id", *fields)
 
 
 class Runtime:
@@ -93,9 +104,15 @@ class Runtime:
         began = time.time()
         if any(isinstance(q, A.Repeat) for q in (p.parts if isinstance(p, A.Seq) else (p,))) and reads_edges(p):
             self.graph = self.graph.stored(self.buckets)
-        s = self._run(p, machine.build(p, self.options["reads"], self.options["peephole"]), self.graph.vertices)
+        s, others = self.graph.vertices, None
+        loops = any(isinstance(q, A.Repeat) for q in (p.parts if isinstance(p, A.Seq) else (p,)))
+        named = named_fields(p) | {"id", LIVE}
+        if loops and not named >= set(s.columns):
+            others = s.select("id", *(c for c in s.columns if c not in named))
+            s = s.select(*(c for c in s.columns if c in named))
+        s = self._run(p, machine.build(p, self.options["reads"], self.options["peephole"]), s)
         self.ledger.seconds = time.time() - began
-        return Result(s, self.ledger)
+        return Result(s, self.ledger, others)
 
     def _run(self, p: A.Program, m: machine.Machine, s: DataFrame) -> DataFrame:
         if not isinstance(p, (A.Seq, A.Repeat)):
@@ -199,6 +216,35 @@ class Runtime:
         return sum(n for _, n in got)
 
 
+def named_fields(p: A.Program) -> set[str]:
+    """Fields that a program reads or writes, or that ends of its loops look at."""
+    found = written_fields(p)
+
+    def look(e: A.Node) -> None:
+        found.update(n.field for n in walk(e) if isinstance(n, A.FieldAt))
+
+    def go(q: A.Program) -> None:
+        if isinstance(q, A.Seq):
+            for x in q.parts:
+                go(x)
+        elif isinstance(q, A.Repeat):
+            if q.until.kind in ("stable", "change_below"):
+                found.update(x for x in q.until.args if isinstance(x, str))
+            if q.until.kind == "none_match":
+                look(q.until.args[1])
+            go(q.body)
+        elif isinstance(q, (A.Stop, A.Exit)):
+            look(q.cond)
+        else:
+            for w in writes_of(q.block):
+                for e in (w.guard, w.stmt.target, w.stmt.expr):
+                    if e is not None:
+                        look(e)
+
+    go(p)
+    return found
+
+
 def reads_edges(p: A.Program) -> bool:
     return any(w.loop or any(isinstance(n, A.Reduce) for e in (w.guard, w.stmt.target, w.stmt.expr) if e is not None for n in walk(e)) for q in steps(p) if isinstance(q, A.Step) for w in writes_of(q.block))
 

@@ -30,6 +30,17 @@ def predecessors(df: DataFrame, id_: str, order: list[str], by: str | None = Non
     return within.join(F.broadcast(last), F.col("_part") == F.col("_p"), "left").withColumn("Pred", F.coalesce("Pred", "_last")).drop("_part", "_p", "_last")
 
 
+def global_rank(df: DataFrame, order: list[Column], name: str, partitions: int | None = None) -> DataFrame:
+    """Adds the rank from 1 of each row in a global order, without bringing all rows together: ranges are ranked on their own, and shifted by a prefix sum over
+    one row per range."""
+    n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranged, _ = materialise(df.repartitionByRange(n, *order).withColumn("_part", F.spark_partition_id()), "ranged")
+    sizes = ranged.groupBy(F.col("_part").alias("_p")).agg(F.count(F.lit(1)).alias("_n"))
+    before = sizes.select("_p", (F.sum("_n").over(Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_n")).alias("_before"))
+    own = F.row_number().over(Window.partitionBy("_part").orderBy(*order))
+    return ranged.withColumn(name, own).join(F.broadcast(before), F.col("_part") == F.col("_p")).withColumn(name, (F.col(name) + F.col("_before")).cast("long")).drop("_part", "_p", "_before")
+
+
 def add_heads(items: DataFrame, head: Column) -> DataFrame:
     """Lists need a head of value 0 that points to itself; head gives its id for each element."""
     rows = items.withColumn("_head", head)
@@ -94,7 +105,7 @@ def supplier_mesh(spark: SparkSession, d: str) -> Graph:
     lines = load(spark, d, "lineitem").filter(LINE_FILTERS["c"])
     p = lines.select(F.col("l_suppkey").alias("x"), F.lead("l_suppkey").over(w).alias("y")).filter("y IS NOT NULL AND x <> y")
     n = p.groupBy(F.least("x", "y").alias("src"), F.greatest("x", "y").alias("dst")).agg(F.count(F.lit(1)).alias("n"))
-    e = n.withColumn("val", F.row_number().over(Window.orderBy(F.desc("n"), "src", "dst")).cast("long"))
+    e = global_rank(n, [F.desc("n"), F.col("src"), F.col("dst")], "val")
     return Graph.of(load(spark, d, "supplier").select(F.col("s_suppkey").alias("id")), e.select("src", "dst", "val"), False)
 
 
@@ -120,11 +131,15 @@ def doc_exact(spark: SparkSession, d: str) -> Graph:
 
 
 def vec_knn(spark: SparkSession, d: str, k: int = 5, block: int = 256) -> Graph:
-    """k nearest by squared distance of components in thousandths. Rows meet block by block, so pairs are made and reduced within tasks."""
+    """k nearest by squared distance of components in thousandths. All pairs are looked at, as an exact answer needs, but a task holds one block of rows and makes
+    the pairs with it, and Spark keeps the k least of each row (a window group limit) before it shuffles them."""
     v = load(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: F.round(x.cast("double") * 1000).cast("long")).alias("x"), F.col("label").alias("Label"))
     side = lambda a: v.select(F.col("id").alias(a), F.col("x").alias(f"x{a}"))
     dist = F.aggregate(F.zip_with("xa", "xb", lambda p, q: (p - q) * (p - q)), F.lit(0).cast("long"), lambda s, y: s + y)
-    pairs = side("a").crossJoin(side("b")).filter("a <> b").select("a", "b", dist.alias("val"))
+    blocks = max(1, -(-v.count() // block))
+    mine = side("a").withColumn("_block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    theirs = side("b").withColumn("_block", F.pmod(F.xxhash64("b"), F.lit(blocks)).cast("int"))
+    pairs = mine.join(theirs, "_block").filter("a <> b").select("a", "b", dist.alias("val"))
     near = pairs.withColumn("r", F.row_number().over(Window.partitionBy("a").orderBy("val", "b"))).filter(F.col("r") <= k)
     e = near.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"), "val").distinct()
     return Graph.of(v.select("id", "Label"), materialise(e, "knn")[0], False)

@@ -8,7 +8,6 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from farfield.plans.store import materialise, shared_folder
 
@@ -82,11 +81,10 @@ class Components:
 
 
 def replay(spark: SparkSession, df: DataFrame, parts: int, order: str) -> str:
-    """A table as a directory of files in order, for streams over stored tables. Event times are made instants."""
+    """A table as a directory of files in order, for streams over stored tables; a part is a range of the order and one file. Event times are made instants."""
     path = f"{shared_folder(spark)}/replay-{uuid.uuid4().hex}"
     df = df.select(*(F.col(c).cast("timestamp").alias(c) if t == "timestamp_ntz" else F.col(c) for c, t in df.dtypes))
-    n = F.ntile(parts).over(Window.orderBy(order))
-    cut, _ = materialise(df.withColumn("_n", n), "cut")
+    cut, _ = materialise(df.repartitionByRange(parts, order).withColumn("_n", F.spark_partition_id() + 1), "cut")
     for k in range(1, parts + 1):
         cut.filter(F.col("_n") == k).drop("_n").coalesce(1).write.mode("overwrite" if k == 1 else "append").parquet(path)
     return path
