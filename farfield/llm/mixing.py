@@ -162,20 +162,17 @@ def op5_mixing(docs: DataFrame) -> DataFrame:
 
 
 def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline: for each epoch in which a document is taken, a row with the words that were; whole if all were. Rows of an output shard lie together
-    and in the order of its slots; a row belongs to the shard that took the first of its words. Null and shared doc_ids and null texts are rows
-    like any other, by row ids; a text without words is in no block, so it is not taken."""
+    """Pipeline: for each epoch in which a document is taken, a row with the words that the shards took; whole if all were. Null and shared doc_ids and
+    null texts are rows like any other, by row ids; a text without words is in no block, so it is not taken."""
     sizes = sized(docs, "text", "lang")
     goals = written(targets(sizes), "targets")
     got = taken_pieces(sizes, shard_counts(goals)).withColumn("nth", F.col("block") - F.floor(F.col("start") / BLOCK))
-    n = got.groupBy("rid", "epoch").agg(F.sum("words").alias("taken"), F.first("start").alias("start"), F.min(F.struct("block", "shard", "slot")).alias("at"))
+    n = got.groupBy("rid", "epoch").agg(F.sum("words").alias("taken"), F.first("start").alias("start"))
     flags = bitmaps(got, ["rid", "epoch"], "nth").withColumnsRenamed({"rid": "r", "epoch": "e"})
-    picked = n.join(flags, (F.col("rid") == F.col("r")) & (F.col("epoch") == F.col("e"))).select("r", "e", "taken", "start", "bits", "at.shard", "at.slot")
+    picked = n.join(flags, (F.col("rid") == F.col("r")) & (F.col("epoch") == F.col("e"))).select("r", "e", "taken", "start", "bits")
     words = F.regexp_extract_all("text", F.lit(r"([^\x20\x09-\x0D]+[\x20\x09-\x0D]*)"), F.lit(1))
     block_of = lambda i: F.floor((F.col("start") + i) / BLOCK) - F.floor(F.col("start") / BLOCK)
     part = F.regexp_replace(F.array_join(F.filter(words, lambda _, i: has_bit(F.col("bits"), block_of(i))), ""), r"[\x20\x09-\x0D]+\z", "")
     rows = sizes.join(picked, F.col("rid") == F.col("r"))
-    mixed = rows.select("doc_id", F.when(F.col("taken") == F.col("size"), F.col("text")).otherwise(part).alias("text"), "lang", "source", "shard", "slot")
-    # a shard is dealt to several tasks, so that their number grows with the rows
-    dealt = mixed.repartition("shard", F.pmod(F.col("slot"), F.lit(BUCKETS))).sortWithinPartitions("shard", "slot")
-    return dealt.select("doc_id", "text", "lang", "source", F.length("text").cast("long").alias("n_chars"))
+    mixed = rows.select("doc_id", F.when(F.col("taken") == F.col("size"), F.col("text")).otherwise(part).alias("text"), "lang", "source")
+    return mixed.withColumn("n_chars", F.length("text").cast("long"))
