@@ -15,10 +15,9 @@ Two bits are too few for near copies: texts that share 0.8 of their five-word sh
 finds these, for the stage of the pipeline. It has WIDE fingerprints of a text, from the same shingles with other hashes. In a group
 agree the 21 bits of one third of one fingerprint, and its trie is followed with a budget of 14 bits; a pair has to hold on the first
 fingerprint too (28 of 128 bits), and the pairs' five-word shingles are compared in full. Pairs whose sizes and parities of shingles show that they
-are no near copies are left out. This is done three times. First each group of a few fingerprints gives a chain of neighbours and a star around its
-most typical member, then each group of all fingerprints the forest of its nearest pairs; what these comparisons link is one class in the next
-search. So a class of very many different near copies isn't compared pair by pair. Last come all pairs between classes that were not compared yet,
-as a pair of a forest can fail its comparison, and then what it joined has not been compared.
+are no near copies are left out. This is done twice. First each group of a few fingerprints gives a chain of neighbours and a star around its
+most typical member, and what these comparisons link is one class in the second search, so a class of very many different near copies isn't compared
+pair by pair. Then come all pairs between classes, each from the first third that it agrees on.
 
 Defined results: a null or empty text has fingerprint 0 and is linked like any other; fewer words than a shingle has
 are one shingle; a null doc_id takes part but never names a class that has another id; repeated rows each get a row;
@@ -50,7 +49,7 @@ WIDE = 24
 THIRDS = 3
 WIDE_BUDGET, PAIR_BUDGET = 14, 28
 #: Longs of a shingle set's sketch.
-ODD = 2
+ODD = 4
 #: Fingerprints whose groups are searched first.
 FIRST = 4
 #: Node pairs that are followed down at once.
@@ -218,53 +217,27 @@ def _whole_groups(batches: Iterator[pa.RecordBatch], of) -> Iterator[pa.RecordBa
         yield of(*rest)
 
 
-def nearest_forest(n: int, a: np.ndarray, b: np.ndarray, off: np.ndarray) -> np.ndarray:
-    """Places of the pairs that make a spanning forest of 0..n-1 with the fewest differing bits: each class takes its nearest pair, until none is left."""
-    left, forest, chosen = np.argsort(off, kind="stable"), Forest(n), []
-    while True:
-        x, y = forest.least[a[left]], forest.least[b[left]]
-        left, x, y = left[x != y], x[x != y], y[x != y]
-        if not len(left):
-            return np.sort(np.concatenate(chosen)) if chosen else left
-        first = np.full(n, len(left))
-        np.minimum.at(first, x, np.arange(len(left)))
-        np.minimum.at(first, y, np.arange(len(left)))
-        take = left[np.unique(first[first < len(left)])]
-        chosen.append(take)
-        forest.link(a[take], b[take])
-
-
-def _wide_pairs_of_groups(budget: int, pair_budget: int):
-    def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray, *sketch: np.ndarray) -> pa.RecordBatch:
-        new, end = _bounds(mask_no, key)
-        many = end - new > 1
-        held = [np.zeros(0, np.int64)] * 3
-        for a, b in _member_pairs(fp, new[many], end[many], budget, cls):
-            off, near = _near(fp, other, cls, sketch, a, b, pair_budget)
-            held = [np.concatenate([h, x[near]]) for h, x in zip(held, (a, b, off))]
-            # All groups put pairs in the same order, by the same fingerprint and then by doc, so that they mostly choose the same.
-            x, y = doc[held[0]], doc[held[1]]
-            order = np.lexsort((np.maximum(x, y), np.minimum(x, y), held[2]))
-            held = [h[order] for h in held]
-            keep = nearest_forest(len(fp), *held)
-            held = [h[keep] for h in held]
-        return _pairs(doc, cls, held[0], held[1])
-
-    return lambda batches: _whole_groups(batches, of)
-
-
 def _every_pair_of_groups(budget: int, pair_budget: int):
     def of(mask_no: np.ndarray, key: np.ndarray, fp: np.ndarray, other: np.ndarray, doc: np.ndarray, cls: np.ndarray, *sketch: np.ndarray) -> Iterator[pa.RecordBatch]:
         new, end = _bounds(mask_no, key)
         many = end - new > 1
         for a, b in every_member_pair(fp, new[many], end[many], budget, cls):
-            near = _near(fp, other, cls, sketch, a, b, pair_budget)[1]
+            near = _near(fp, other, cls, sketch, a, b, pair_budget)[1] & _first_third(mask_no[a], fp[a] ^ fp[b])
             if near.any():
                 yield _pairs(doc, cls, a[near], b[near])
 
     return lambda batches: chain.from_iterable(_whole_groups(batches, of))
 
 
+def _first_third(mask_no: np.ndarray, differ: np.ndarray) -> np.ndarray:
+    """Whether a pair agrees on no third of the fingerprint before the one that its group goes by. A pair that agrees on several is in the groups of all of
+    them, and each of them finds it, so that of the first is enough."""
+    own, seen = mask_no % THIRDS, np.zeros(len(mask_no), bool)
+    for t in range(THIRDS - 1):
+        seen |= (t < own) & (differ & np.uint64(0x1FFFFF << (21 * t)) == 0)
+    return ~seen
+
+
 def _bounds(mask_no: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     new = np.flatnonzero(np.concatenate([[True], (mask_no[1:] != mask_no[:-1]) | (key[1:] != key[:-1])]))
     return new, np.append(new[1:], len(key))
@@ -313,20 +286,6 @@ def _first_pairs_of_groups(pair_budget: int):
     return lambda batches: _whole_groups(batches, of)
 
 
-def _member_pairs(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int, cls: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """As trie_pairs, where members may share a fingerprint: these follow each other in a chain, and their first stands for them in the trie."""
-    at = np.concatenate([np.arange(s, e) for s, e in zip(starts, ends)]) if len(starts) else np.zeros(0, np.int64)
-    if not len(at):
-        return
-    head = np.ones(len(at), bool)
-    head[1:] = (fp[at[1:]] != fp[at[:-1]]) | np.isin(at[1:], starts)
-    yield at[1:][~head[1:]] - 1, at[1:][~head[1:]]
-    heads = at[head]
-    lo = np.searchsorted(heads, starts)
-    for a, b in trie_pairs(fp[heads], lo, np.append(lo[1:], len(heads)), budget, cls[heads]):
-        yield heads[a], heads[b]
-
-
 def every_member_pair(fp: np.ndarray, starts: np.ndarray, ends: np.ndarray, budget: int, cls: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """As trie_pairs, where members may share a fingerprint: all pairs of all members whose classes may differ, a bounded number at once."""
     at = np.concatenate([np.arange(s, e) for s, e in zip(starts, ends)]) if len(starts) else np.zeros(0, np.int64)
@@ -373,9 +332,9 @@ def links(reps: DataFrame, budget: int = BUDGET, blocks: int = BLOCKS) -> DataFr
     return groups.repartition("m", "key").sortWithinPartitions("m", "key", "o").select("m", "key", "fp").mapInArrow(_links_of_groups(budget), "a long, b long")
 
 
-def wide_pairs(nodes: DataFrame, count: int = WIDE, first: bool = False, every: bool = False) -> DataFrame:
-    """(a, b, ca, cb), a < b: pairs of nodes.doc whose wide fingerprints are near and whose nodes.cls differ, with these; a forest of
-    each group, which can leave out near copies. If first, the chains and stars of the groups; if every, all pairs."""
+def wide_pairs(nodes: DataFrame, count: int = WIDE, first: bool = False) -> DataFrame:
+    """(a, b, ca, cb), a < b: pairs of nodes.doc whose wide fingerprints are near and whose nodes.cls differ, with these: all of them, or if first the
+    chains and stars of the groups."""
     let_workers_import(nodes.sparkSession)
     choices = F.array(*(
         F.struct(F.lit(THIRDS * k + j).alias("m"), F.get("wide", F.lit(k)).alias("fp"), F.get("wide", F.lit(int(k == 0))).alias("other"))
@@ -386,7 +345,7 @@ def wide_pairs(nodes: DataFrame, count: int = WIDE, first: bool = False, every:
     # What follows from m and fp is computed on both sides of the shuffle, not carried through it.
     key, order = F.expr(f"fp & shiftleft(2097151L, 21 * (m % {THIRDS}))"), F.expr("fp ^ (-9223372036854775807L - 1)")
     sorted_ = rows.repartition("m", key).sortWithinPartitions("m", key, order).select("m", key.alias("key"), "fp", "other", "doc", "cls", *(f"s{k}" for k in range(1 + ODD)))
-    of_groups = _first_pairs_of_groups(PAIR_BUDGET) if first else (_every_pair_of_groups if every else _wide_pairs_of_groups)(WIDE_BUDGET, PAIR_BUDGET)
+    of_groups = _first_pairs_of_groups(PAIR_BUDGET) if first else _every_pair_of_groups(WIDE_BUDGET, PAIR_BUDGET)
     return sorted_.mapInArrow(of_groups, "a long, b long, ca long, cb long").distinct()
 
 
@@ -451,7 +410,7 @@ def stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     close = written(_classes(fps.select("doc_id", "fp"), BUDGET, BLOCKS).select(F.col("doc_id").alias("doc"), F.col("component_id").alias("cls")), "close")
     nodes = written(fps.groupBy("wide", "sketch").agg(F.min("doc_id").alias("doc")).join(close, "doc"), "nodes")
     pairs = linked = roots = None
-    for kind in ({"count": FIRST, "first": True}, {}, {"every": True}):
+    for kind in ({"count": FIRST, "first": True}, {}):
         named = nodes if roots is None else nodes.join(roots, "cls", "left").select("doc", "wide", "sketch", F.coalesce("root", "cls").alias("cls"))
         new = wide_pairs(named, **kind)
         # what was compared and is still between classes was refuted

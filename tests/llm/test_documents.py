@@ -246,7 +246,7 @@ def test_simhash_stage_compares_what_a_failed_pair_joins(spark, monkeypatch):
     assert simhash.similarity(x, texts[2]) >= 0.8 > simhash.similarity(x, texts[1])
     r = random.Random(6)
     wide = {t: [v, v, *(r.getrandbits(63) for _ in range(simhash.WIDE - 2))] for t, v in zip(texts, (0, 0xF, 0xFF))}
-    table = spark.createDataFrame([(t, w[0], w, [100, 0, 0]) for t, w in wide.items()], "text string, fp long, wide array<long>, sketch array<long>")
+    table = spark.createDataFrame([(t, w[0], w, [100] + [0] * simhash.ODD) for t, w in wide.items()], "text string, fp long, wide array<long>, sketch array<long>")
     monkeypatch.setattr(simhash, "fingerprints", lambda docs, **kw: docs.select("doc_id", "text").join(table, "text").drop("text"))
     docs = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
     assert sorted(r["doc_id"] for r in simhash.stage(spark, docs, "").collect()) == [0, 1]
@@ -292,16 +292,12 @@ def test_chain_and_star():
     assert {(0, 1), (1, 2), (2, 3), (5, 6)} <= got and {(3, 0), (3, 1), (3, 2)} <= got and len(a) == 3 + 3 + 1 + 1
 
 
-def test_nearest_forest():
+def test_first_third():
     r = np.random.default_rng(8)
-    a, b, off = r.integers(0, 60, 900), r.integers(0, 60, 900), r.integers(0, 28, 900)
-    keep = simhash.nearest_forest(60, a, b, off)
-    for most in (2, 5, 28):  # the same classes at each number of bits
-        whole, part = simhash.Forest(60), simhash.Forest(60)
-        whole.link(a[off <= most], b[off <= most])
-        part.link(a[keep][off[keep] <= most], b[keep][off[keep] <= most])
-        assert (whole.least == part.least).all()
-    assert len(keep) <= 59
+    differ = r.integers(0, 1 << 63, 4000, dtype=np.uint64) & r.choice(np.array([~0, 0x1FFFFF, 0x1FFFFF << 21, 0x3FFFFFFFFFF, 0], np.int64), 4000).view(np.uint64)
+    agrees = np.array([(differ >> np.uint64(21 * t)) & np.uint64(0x1FFFFF) == 0 for t in range(3)])
+    found = np.array([agrees[t] & simhash._first_third(np.full(4000, 3 * 5 + t), differ) for t in range(3)])
+    assert (found.sum(axis=0) == agrees.any(axis=0)).all()  # once if at all
 
 
 def test_classes_of_long_paths(spark):
