@@ -6,7 +6,8 @@ joined back); requests are granted in hash order up to the shard's free places.
 so no round can overfill one, and a group larger than a quota fills shards one after the other. Rounds end when
 none is granted or after `ROUNDS`. Documents without links have no neighbours to move to; they fill the places
 left, so the law is `rows`: counts differ by one at most. Ranks come from two-level prefix sums, so a hot group, shard or
-text is no single task.
+text is no single task. All hashes and orders go by doc_id, text and the number of a repeated row, so neither the order of the rows nor the
+layout of the files matters.
 
 Defined results: a null text counts as an empty one (size 8, crc32 0) and is linked to empty ones; rows that repeat an id are
 documents of their own; fewer documents than shards fill the first shards; an empty table gives an empty table; extra columns are not
@@ -20,7 +21,9 @@ from pyspark.sql import functions as F
 
 from farfield.llm.common import Generations, bucketed_rank, written
 
-SHARDS, ROUNDS = 24, 10
+SHARDS = 24
+#: A round fills one shard for a group, so a group over many shards needs as many rounds.
+ROUNDS = SHARDS
 BUCKETS = 256
 
 
@@ -29,20 +32,25 @@ def _spread(*columns: str) -> Column:
 
 
 def prepared(docs: DataFrame) -> DataFrame:
-    """rid, doc_id, size, text_crc32, g (hash of the text), linked."""
+    """rid, doc_id, size, text_crc32, g (hash of the text), linked. rid is unique and hangs on doc_id, text and, among rows alike in both, a number."""
     bytes_ = F.encode(F.coalesce(F.col("text").cast("string"), F.lit("")), "utf-8")
     rows = written(
         docs.select(
-            F.monotonically_increasing_id().alias("rid"), "doc_id", (F.octet_length(bytes_) + 8).cast("long").alias("size"),
+            F.monotonically_increasing_id().alias("row"), "doc_id", (F.octet_length(bytes_) + 8).cast("long").alias("size"),
             F.crc32(bytes_).alias("text_crc32"), F.md5(bytes_).alias("g"),
         ),
         "shard-rows",
     )
     groups = rows.groupBy("g").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select(F.reverse("g").alias("k"))
     # joined by the reversed hash, so that both sides are exchanges and a hot group can be split
-    return rows.withColumn("k", F.reverse("g")).join(groups.withColumn("linked", F.lit(True)), "k", "left").select(
-        "rid", "doc_id", "size", "text_crc32", "g", F.coalesce("linked", F.lit(False)).alias("linked")
+    known = rows.withColumn("k", F.reverse("g")).join(groups.withColumn("linked", F.lit(True)), "k", "left").select(
+        F.md5(F.concat_ws("/", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), "g")).alias("alike"), "row", "doc_id", "size", "text_crc32", "g", F.coalesce("linked", F.lit(False)).alias("linked")
     )
+    known = written(known, "shard-known")
+    # rows alike in id and text can change places, so any order will do; rows without links have no such
+    repeats = bucketed_rank(known.filter("linked"), "alike", [F.col("row")], _spread("row"), "nth")
+    single = known.filter("NOT linked").withColumn("nth", F.lit(0).cast("long"))
+    return repeats.unionByName(single).select(F.concat_ws("/", "alike", "nth").alias("rid"), "doc_id", "size", "text_crc32", "g", "linked")
 
 
 def propagate(linked: DataFrame, quota: list[int], rounds: int = ROUNDS) -> DataFrame:

@@ -8,6 +8,7 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from farfield.llm import bpe, line_dedup, mixing, pii, sharding, simhash, toxicity
@@ -433,6 +434,19 @@ def test_sharding_law(spark):
     assert len(set(hot)) <= 10  # 67 rows in shards of 10 or 11 take 7 at least
 
 
+def test_sharding_hangs_on_no_layout(spark):
+    docs = [(i % 150, f"text {i}" if i % 3 else "hot") for i in range(200)] + [(None, "no id")] * 40 + [(300 + i, f"pair {i // 2}") for i in range(60)]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    columns = ["doc_id", "size", "text_crc32", "shard", "slot"]
+    a, b = (sorted((tuple(r) for r in sharding.op6_label_propagation(x).select(*columns).collect()), key=repr) for x in (df.repartition(1), df.orderBy(F.rand(3)).repartition(7)))
+    assert a == b
+    # moves leave fewer links cut than the hashes that they start from
+    rows = sharding.prepared(df)
+    quota = [13] * 12 + [12] * 12
+    start, end = (sharding.cut_links(sharding.propagate(rows.filter("linked"), quota, n)).first() for n in (0, 10))
+    assert start["linked"] == end["linked"] == 66 + 39 + 30 and end["cut"] < 0.75 * start["cut"]
+
+
 @pytest.fixture(scope="session")
 def tiktoken_encoding():
     import public_tokenizers as P
