@@ -14,6 +14,8 @@ from farfield.plans.knowledge import Knows, plan_reads
 from farfield.sources.graph import Graph
 
 LIVE = "_live"
+#: Readers of a vertex that very many read are dealt to so many tasks.
+SALTS = 32
 
 _EMPTY = {"total": 0, "count": 0, "any_": False, "all_": True, "product": 1}
 _ACCUMULATED = {"min": "minimum", "max": "maximum", "+": "total", "*": "product", "or": "any_", "and": "all_"}
@@ -127,12 +129,13 @@ class StepPlan:
     """Lowers one step over a graph. combine=False shuffles messages before any is reduced. reads: how chains are read, 'planned' by the messages of the
     read plan, 'request_reply' by asking vertex by vertex, 'doubling' by joins that double the length. peephole: a pointer that comes back is
     seen in one exchange. on_missing: what becomes of writes to vertices that are not there or have stopped, 'drop' or 'error'. count, if
-    given, is called with the name and the rows of each kind of message and returns them."""
+    given, is called with the name and the rows of each kind of message and returns them. hot: readers of one vertex beyond so many rows are dealt to SALTS
+    tasks, and what they read is sent to each; at most rows / hot vertices are so, and only their ids are broadcast."""
 
     def __init__(self, graph: Graph, var: str, writes: list[Write], combine: bool = True, functions: dict[str, Callable] | None = None, reads: str = "planned",
-                 peephole: bool = True, on_missing: str = "drop", count: Callable[[str, DataFrame], DataFrame] | None = None):
+                 peephole: bool = True, on_missing: str = "drop", count: Callable[[str, DataFrame], DataFrame] | None = None, hot: int | None = None):
         self.graph, self.var, self.writes, self.combine, self.functions = graph, var, writes, combine, functions or {}
-        self.reads, self.peephole, self.on_missing, self.count = reads, peephole, on_missing, count or (lambda _, df: df)
+        self.reads, self.peephole, self.on_missing, self.count, self.hot = reads, peephole, on_missing, count or (lambda _, df: df), hot
         self.reduces: dict[A.Reduce, str] = {}
         self.computed: dict[A.Node, str] = {}
 
@@ -157,6 +160,19 @@ class StepPlan:
             visit(root)
         return found
 
+    def _meet(self, readers: DataFrame, at: str, spread: str, read: DataFrame, how: str, of: DataFrame | None = None) -> DataFrame:
+        """readers joined with read, one row a `_k`, where `at` is `_k`. Readers of hot vertices, and those that read nowhere, are dealt by the column `spread`.
+        of: what the readers are counted in, if it is cheaper to read than they are."""
+        if self.hot is None:
+            return readers.join(read, F.col(at) == F.col("_k"), how)
+        hot = (readers if of is None else of).groupBy(F.col(at).alias("_hot")).agg(F.count(F.lit(1)).alias("_n")).filter((F.col("_n") > self.hot) & F.col("_hot").isNotNull()).select("_hot")
+        dealt = F.pmod(F.xxhash64(spread), F.lit(SALTS)).cast("int")
+        salted = readers.join(F.broadcast(hot), F.col(at) == F.col("_hot"), "left")
+        salted = salted.withColumn("_salt", F.when(F.col("_hot").isNotNull() | F.col(at).isNull(), dealt).otherwise(0)).drop("_hot")
+        each = F.when(F.col("_hot").isNotNull(), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
+        copies = read.join(F.broadcast(hot), F.col("_k") == F.col("_hot"), "left").withColumn("_to_salt", F.explode(each)).drop("_hot")
+        return salted.join(copies, (F.col(at) == F.col("_k")) & (F.col("_salt") == F.col("_to_salt")), how).drop("_salt", "_to_salt")
+
     def _walk(self, e: A.Node):
         """The nodes of e that no column stands for yet."""
         if e not in self.computed:
@@ -202,9 +218,9 @@ class StepPlan:
             for x in plan.sends:
                 at, value = x.goal.at, x.goal.value
                 if value == () and at not in streams:  # at(u) learns of u from those that know both
-                    streams[at] = self.count(f"round {x.round}", streams[x.via].join(column(at[len(x.via) :]), F.col("_at") == F.col("_k")).filter("_v IS NOT NULL").select(F.col("_v").alias("_at"), "_asker"))
+                    streams[at] = self.count(f"round {x.round}", self._meet(streams[x.via], "_at", "_asker", column(at[len(x.via) :]), "inner").filter("_v IS NOT NULL").select(F.col("_v").alias("_at"), "_asker"))
                 elif value != () and value not in columns:
-                    columns[value] = self.count(f"round {x.round}", streams[x.via].join(column(value[len(x.via) :]), F.col("_at") == F.col("_k")).filter("_v IS NOT NULL").select(F.col("_asker").alias("_k"), "_v"))
+                    columns[value] = self.count(f"round {x.round}", self._meet(streams[x.via], "_at", "_asker", column(value[len(x.via) :]), "inner").filter("_v IS NOT NULL").select(F.col("_asker").alias("_k"), "_v"))
         for p in paths:
             s = s.join(columns[p].withColumnRenamed("_v", name_of(p)), F.col("id") == F.col("_k"), "left").drop("_k")
         return s.select(*kept, *map(name_of, paths))
@@ -228,7 +244,7 @@ class StepPlan:
             base = s
             for left, some in sorted(by_left.items()):
                 far = base.select(F.col("id").alias("_k"), *(F.col(name_of(p[len(left) :])).alias(name_of(p)) for p in sorted(some)))
-                s = self.count(f"by {'.'.join(left)}", s.join(far, F.col(name_of(left)) == F.col("_k"), "left").drop("_k"))
+                s = self.count(f"by {'.'.join(left)}", self._meet(s, name_of(left), "id", far, "left", base).drop("_k"))
             done |= set(ready)
         return s
 
@@ -347,7 +363,7 @@ class StepPlan:
                         found[n] = f"_x{len(found)}"
         for n, name in found.items():
             far = base.select(F.col("id").alias("_k"), F.col(LIVE if n.field == "Live" else n.field).alias(name))
-            s = s.withColumn("_at", self.column(n.index)).join(far, F.col("_at") == F.col("_k"), "left").drop("_k", "_at")
+            s = self._meet(s.withColumn("_at", self.column(n.index)), "_at", "id", far, "left").drop("_k", "_at")
         self.computed.update(found)
         return s
 

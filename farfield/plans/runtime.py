@@ -20,6 +20,8 @@ from farfield.sources.graph import Graph
 MAX_STEPS = 8
 #: A loop without a limit that has not ended after so many passes is an error.
 MOST_PASSES = 100_000
+#: From so many vertices on, reads of a vertex by more than one in HOT_PART of all are split.
+HOT_FROM, HOT_PART = 10_000_000, 1000
 
 
 @dataclass
@@ -68,13 +70,15 @@ class Runtime:
     """merge: sequences are composed into one plan, else each part is written. fuse: the test rides on the job that writes a pass,
     else it is a job of its own. combine: messages are reduced before the shuffle. measure: count exchanges and messages, at the price of more
     jobs. reads, peephole, on_missing: see StepPlan. allow_two_hop: comprehensions may hold one over the neighbour's edges. buckets: state and edges are kept
-    bucketed by id and by both ends, so that joins leave them where they are. The edges are written once, before the first step."""
+    bucketed by id and by both ends, so that joins leave them where they are. hot: see StepPlan; if not given, loops over HOT_FROM vertices or more
+    split from the second pass on, by the rows that the first one saw; the state read by pointers is then exchanged even if bucketed. The edges are written
+    once, before the first step."""
 
     def __init__(self, graph: Graph, merge: bool = True, fuse: bool = True, combine: bool = True, functions: dict | None = None, measure: bool = False, reads: str = "planned",
-                 peephole: bool = True, on_missing: str = "drop", allow_two_hop: bool = False, buckets: int | None = None):
+                 peephole: bool = True, on_missing: str = "drop", allow_two_hop: bool = False, buckets: int | None = None, hot: int | None = None):
         self.graph = with_state(graph)
         self.merge, self.fuse, self.measure, self.allow_two_hop, self.buckets = merge, fuse, measure, allow_two_hop, buckets
-        self.options = {"combine": combine, "functions": functions, "reads": reads, "peephole": peephole, "on_missing": on_missing}
+        self.options = {"combine": combine, "functions": functions, "reads": reads, "peephole": peephole, "on_missing": on_missing, "hot": hot}
         if measure:
             self.options["count"] = self._count
         self.ledger = Ledger()
@@ -161,7 +165,7 @@ class Runtime:
             except Left as left:
                 s = left.state.drop(*old.values())
                 break
-            metrics = [F.sum(F.col(LIVE).cast("int")).alias("live")]
+            metrics = [F.sum(F.col(LIVE).cast("int")).alias("live"), F.count(F.lit(1)).alias("rows")]
             if until.kind == "stable":
                 changed = [~F.col(f).eqNullSafe(F.col(o)) for f, o in old.items()]
                 any_ = changed[0]
@@ -184,6 +188,8 @@ class Runtime:
                 got = kept.agg(*metrics).first().asDict()
                 self.ledger.jobs += 1
                 s = kept.drop(*extra)
+            if self.options["hot"] is None and got["rows"] >= HOT_FROM:
+                self.options["hot"] = got["rows"] // HOT_PART
             if (until.kind == "stable" and not got["changed"]) or (until.kind == "no_live" and not got["live"]) or (until.kind == "none_match" and not got["match"]):
                 break
             if until.kind == "change_below" and (got["most"] is None or got["most"] < until.args[1]):

@@ -227,6 +227,30 @@ def test_ways_to_read_chains(spark, reads):
     assert got(mine, *names) == {i: tuple(None if f[n] == INF else f[n] for n in names) for i, f in local.v.items()}
 
 
+@pytest.mark.parametrize("reads", ["planned", "doubling"])
+def test_hot_vertices_are_read_by_many_tasks(spark, reads):
+    """All but two vertices point to one, some nowhere; splitting its readers changes no value."""
+    rows = [(i, 3 if i % 4 else None, (i + 1) % 30, 10 * i) for i in range(40)]
+    g = Graph(spark.createDataFrame(rows, "id long, D long, E long, X long"))
+    p = L.step(lambda u: [L.local(V.A[u], V.D[V.D[u]]), L.local(V.B[u], V.X[V.E[V.D[u]]]), L.local(V.C[u], V.X[V.D[u] + 1])])
+    plain, split = (run(p, g, reads=reads, hot=n).state for n in (None, 5))
+    assert got(plain, "A", "B", "C") == got(split, "A", "B", "C") == {i: (None if d is None else 3, None if d is None else 40, None if d is None else 40) for i, d, _, _ in rows}
+    plans = [x._jdf.queryExecution().optimizedPlan().toString() for x in (plain, split)]
+    assert "_salt" not in plans[0] and "_salt" in plans[1]
+
+
+def test_hot_roots_of_components(spark, monkeypatch):
+    from farfield.plans import runtime
+
+    edges = [(5, i, 1) for i in range(30) if i != 5] + [(40, 41, 1)]
+    g = graph(spark, range(43), edges, False)
+    want = exact.components(range(43), [(a, b) for a, b, _ in edges])
+    monkeypatch.setattr(runtime, "HOT_FROM", 10)  # from the second pass on, without being asked to
+    monkeypatch.setattr(runtime, "HOT_PART", 10)
+    rt = runtime.Runtime(g)
+    assert got(rt.run(P.components()).state, "D") == want and rt.options["hot"] == 4
+
+
 def test_none_match_exit_and_limit(spark):
     g = Graph(spark.createDataFrame([(i, i) for i in range(5)], "id long, X long"))
     count = L.step(lambda u: [L.local(V.X[u], V.X[u] + 1)])
