@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from farfield.plans.store import materialise
+from farfield.plans.store import let_workers_import, materialise
 
 #: Rows of a block at least (fewer if the table has not so many) and at most, and the rows of one that are compared with another at a time.
 LEAST_BLOCK, MOST_BLOCK, AT_ONCE = 1024, 16_384, 256
@@ -57,6 +57,7 @@ def nearest(vectors: DataFrame, k: int) -> DataFrame:
     """(a, b, val): for each row of (id, x array<long>) the k rows with another id that are nearest by squared distance, ties to the smaller id. All pairs
     are looked at, by products of matrices without rounding. A task holds two blocks of rows and gives back k rows for each of the one. Vectors that are
     null, hold nulls, differ in length from the most or are too long for exact products are compared pair by pair."""
+    let_workers_import(vectors.sparkSession)
     rows, _ = materialise(vectors.select("id", "x"), "vectors")
     common = rows.filter("x IS NOT NULL").groupBy(F.size("x").alias("d")).count().orderBy(F.desc("count"), F.desc("d")).limit(1).collect()
     d = common[0]["d"] if common else 0
