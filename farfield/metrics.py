@@ -2,15 +2,12 @@
 
 from __future__ import annotations
 
-import inspect
 import re
 import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame
 
-from farfield.lang.text import pretty
-
 
 def time3(fn: Callable[[], object], n: int = 3) -> float:
     """Mean seconds of n runs."""
@@ -22,12 +19,6 @@ def time3(fn: Callable[[], object], n: int = 3) -> float:
     return sum(took) / n
 
 
-def lines_of(x) -> int:
-    """Lines of a program's text form, or of a function's source without blanks and comments."""
-    text = inspect.getsource(x) if callable(x) else pretty(x)
-    return sum(1 for line in text.splitlines() if line.strip() and not line.strip().startswith(("#", '"""')))
-
-
 def plan_stats(df: DataFrame) -> dict[str, int]:
     """Counts of operators in the plan as it is before adaptive changes."""
     plan = df._jdf.queryExecution().executedPlan().toString()
