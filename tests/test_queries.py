@@ -34,3 +34,15 @@ def test_same_as_sql(spark, duck, name):
 def test_entry_and_registry(spark):
     assert entry.entry(spark).count() == 1000
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_rounds_of_read_plans_come_from_a_table(spark, duck):
+    """Numbers of orders that customers have, not a range made up."""
+    df = entry.queries()["read_plan_rounds"](spark, D)
+    assert any(f.endswith("orders.parquet") for f in df.inputFiles())
+    want = duck.sql(entry.oracle_sql()["read_plan_rounds"])
+    assert sorted(map(tuple, df.select(want.columns).collect())) == sorted(want.fetchall())
+
+
+def test_every_query_reads_a_table():
+    assert "program_sizes" not in entry.queries()
