@@ -57,13 +57,15 @@ STRETCH = 512
 
 _LETTER, _SYMBOL, _SPACER = r"[^\W\d_]", "[" + re.escape("".join(STANDS_FOR)) + "]", "[" + re.escape(SPACERS) + "]"
 _ONE = f"(?:{_LETTER}|{_SYMBOL})"
-#: Spaced characters, which may stand in quotes and before punctuation; symbols between, before and behind letters; repeated letters.
+#: Spaced characters, which may stand in quotes and before punctuation; symbols between, before and behind letters; repeated letters. What begins with a letter is one branch,
+#: as most places are letters, and each branch would look at them again.
 _NOISE = re.compile(
-    rf"(?<![^\W_]){_ONE}(?:{_SPACER}{{1,3}}{_ONE}){{2,}}(?![^\W_])|{_LETTER}[{re.escape(''.join(STANDS_FOR) + SPACERS[1:])}]+{_LETTER}|(?P<double>({_LETTER})\2)|(?<!\S){_SYMBOL}{_LETTER}{{2}}|[0-9@$€£¡§|+]{_LETTER}|{_LETTER}[0-9@$€£§|]"
+    rf"(?<![^\W_]){_ONE}(?:{_SPACER}{{1,3}}{_ONE}){{2,}}(?![^\W_])"
+    rf"|({_LETTER})(?:[{re.escape(''.join(STANDS_FOR) + SPACERS[1:])}]+{_LETTER}|(?P<double>\1)|[0-9@$€£§|])|(?<!\S){_SYMBOL}{_LETTER}{{2}}|[0-9@$€£¡§|+]{_LETTER}"
 )
 _FACTORS, _TERMS = (np.random.default_rng(k).integers(1, 1 << 61, BANDS * _PER_BAND, dtype=np.uint64) for k in (7, 8))
 _FACTORS |= np.uint64(1)
-_NOT_LETTERS = re.compile(r"[\W\d_]+")
+_LETTERS = re.compile(_LETTER + "+")
 
 
 @lru_cache(1)
@@ -214,7 +216,7 @@ class Restorer:
 
 
 def words_of(restored: str) -> set[str]:
-    return set(_NOT_LETTERS.sub(" ", restored).split())
+    return set(_LETTERS.findall(restored))
 
 
 def features_of(words: set[str]) -> set[str]:
@@ -288,13 +290,13 @@ class ToxicityModel:
 
     def scorer(self):
         restorer, weights = Restorer(self.chars), self.weights
-        known, words = set(weights), {w for w in weights if w[-1] == " "}
+        known, words = set(weights), {w[:-1] for w in weights if w[-1] == " "}
         stems = {k: {w for w in known if len(w) == k and w[-1] != " "} for k in STEMS}
 
         def score(text: str | None) -> tuple[float, int]:
             restored, places = restorer.restore(text or "")
             own = words_of(restored)
-            hits = {w + " " for w in own} & words if words else set()
+            hits = {w + " " for w in own & words}
             for k, of in stems.items():
                 if of:
                     hits |= {w[:k] for w in own if len(w) > k} & of
