@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import re
 import sys
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -19,6 +20,9 @@ DOCUMENT_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 #: Words are runs of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
+#: What a worker keeps between the tasks of an operator, by its name: functions that drop it.
+KEPT: dict[str, Callable[[], None]] = {}
+_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None)
 #: The rows of a hot key are dealt to so many tasks.
 SALTS = 16
 
@@ -94,12 +98,18 @@ def looked_up(rows: DataFrame, key: str, found: DataFrame, found_key: str, sprea
     return dealt.join(each, (dealt[key] == each[found_key]) & (F.col("__salt") == F.col("__to")), "left").drop("__salt", "__to")
 
 
-def slices(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
-    """Batches in short slices, so that what a worker makes of one is small; in the end the worker gives back what Arrow holds."""
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 256, keeps: str | None = None) -> Iterator[pa.RecordBatch]:
+    """Batches in short slices, so that what a worker makes of one is small. A worker lives on from task to task, so it first drops what tasks of other operators
+    kept, and in the end gives back what Arrow and the C library hold."""
+    for name, forget in KEPT.items():
+        if name != keeps:
+            forget()
     for b in batches:
         for at in range(0, b.num_rows, rows):
             yield b.slice(at, rows)
     pa.default_memory_pool().release_unused()
+    if _TRIM is not None:
+        _TRIM(0)
 
 
 def n_words(text: Column) -> Column:
